@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, line_dedup
+from . import exact_dedup, line_dedup, secret_scan, token_count
 
 QUERIES = {
+    "op3_secret_scan": secret_scan.op3_secret_scan,
+    "op4_token_count": token_count.op4_token_count,
     "op5_exact_dedup": exact_dedup.op5_exact_dedup,
     "op10_line_dedup": line_dedup.op10_line_dedup,
 }
