@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import doc_blocks, materialize, small_side, table, text_buffer
+from .common import doc_blocks, materialize, table, text_buffer
 from .kernels import BYTE_VALUE_2, LOWER, SPACE, span_hashes
 from .mphf import LineIndex
 
@@ -184,7 +184,7 @@ def line_dedup(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHARS,
     """
     lost = losing_lines(spark, docs, min_chars, shards, hot_share).groupBy("doc_id").agg(F.collect_set("line").alias("lost"))
     lost = materialize(spark, lost, "lost-lines")  # a document's own line numbers: bounded by its length
-    joined = docs.select("doc_id", "text").join(lost, "doc_id", "left").select("doc_id", "text", "lost")
+    joined = docs.select("doc_id", "text").join(lost.hint("merge"), "doc_id", "left").select("doc_id", "text", "lost")
     return joined.mapInArrow(lambda it: _rewrite(it, with_text), "doc_id long, n_lines long, n_dropped long, kept_sha256 string" + ", kept_text string" * with_text)
 
 
