@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, line_dedup, packing, secret_scan, token_count
+from . import exact_dedup, line_dedup, near_dedup, packing, secret_scan, token_count
 
 QUERIES = {
+    "op1_minhash_near_dedup": near_dedup.op1_minhash_near_dedup,
     "op9_best_fit_packing": packing.op9_best_fit_packing,
     "op3_secret_scan": secret_scan.op3_secret_scan,
     "op4_token_count": token_count.op4_token_count,
