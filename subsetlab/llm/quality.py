@@ -16,10 +16,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import table, text_buffer
-from .kernels import SPACE
+from .kernels import LOWER, SPACE, span_hashes, word_spans
 from .line_dedup import line_spans
 
-TRAIN_ROWS = 2500  # labelled documents of each label that training takes at most
+TRAIN_ROWS = 1500  # labelled documents of each label that training takes at most
 THRESHOLD = 0.3
 FOLDS = 5
 
@@ -33,7 +33,7 @@ _KINDS[4, [ord("!")]] = True
 _KINDS[5, [ord(c) for c in "#$%&*@^~<>{}[]\\_=+"]] = True
 _KINDS[6, [ord(c) for c in ".,;:?"]] = True
 _KINDS[7] = SPACE
-N_OWN = 15
+N_OWN = 17
 N_FEATURES = 3 * N_OWN + 2
 
 
@@ -47,17 +47,22 @@ def line_features(data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.nd
         return (sums[ends] - sums[starts]).astype(np.float32)
 
     n = [per_line(k[data]) for k in _KINDS]
-    space = SPACE[data]
-    begins = ~space
-    begins[1:] &= space[:-1]
-    begins[starts[ends > starts]] = ~space[starts[ends > starts]]
-    words = np.maximum(per_line(begins), 1)
+    low = LOWER[data]
+    begin, stop, at = word_spans(low, np.append(starts, len(data)))  # a line's words: at[i] up to at[i + 1]
+    words = np.maximum(np.diff(at), 1).astype(np.float32)
+    h = span_hashes(low, begin, stop) if len(begin) else np.zeros(0, np.uint64)
+    again = np.zeros((2, len(h) + 1), np.int32)
+    line = np.repeat(np.arange(len(starts)), np.diff(at))
+    for lag in (1, 2):  # words that repeat the one before, or the one before that
+        again[lag - 1, lag + 1 :] = (h[lag:] == h[:-lag]) & (line[lag:] == line[:-lag])
+    again = again.cumsum(axis=1)
+    repeats = (again[:, at[1:]] - again[:, at[:-1]]) / words
     letters = np.maximum(n[0] + n[1], 1)
     full = np.maximum(size, 1)
     own = np.column_stack([
         np.ones(len(size), np.float32), np.minimum(np.log1p(size) / 8, 1), size == 0, n[0] / letters, (n[0] > 0.6 * letters).astype(np.float32), n[2] / full,
         np.minimum(n[3] / words, 1), np.minimum(n[4] / words, 1), np.minimum(n[5] / words / 3, 1), np.minimum(n[6] / words, 1), np.minimum(n[7] / full, 1),
-        np.minimum(full / words / 16, 1), np.minimum(words / 8, 1), n[3] > 0, n[4] + n[5] > 0,
+        np.minimum(full / words / 16, 1), np.minimum(words / 8, 1), n[3] > 0, n[4] + n[5] > 0, repeats[0], repeats[1],
     ]).astype(np.float32)
     before, after = np.roll(own, 1, axis=0), np.roll(own, -1, axis=0)
     at_start, at_end = np.zeros(len(size), bool), np.zeros(len(size), bool)
@@ -99,7 +104,7 @@ class LineField:
         s = ahead + back
         return 1 / (1 + np.exp(np.clip(s[:, 0] - s[:, 1], -60, 60)))
 
-    def fit(self, x: np.ndarray, first: np.ndarray, label: np.ndarray, weight: np.ndarray, steps: int = 150, rate: float = 0.15, penalty: float = 1e-3) -> LineField:
+    def fit(self, x: np.ndarray, first: np.ndarray, label: np.ndarray, weight: np.ndarray, steps: int = 100, rate: float = 0.2, penalty: float = 1e-3) -> LineField:
         """label and weight are a row's; gradient ascent with adaptive moments."""
         rows = np.repeat(np.arange(len(label)), np.diff(first))
         y, v = label[rows].astype(float), weight[rows]

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import decontaminate, exact_dedup, line_dedup, near_dedup, packing, secret_scan, token_count
+from . import decontaminate, exact_dedup, line_dedup, near_dedup, packing, quality, secret_scan, token_count
 
 QUERIES = {
+    "op6_line_field_quality": quality.op6_line_field_quality,
     "op7_simhash_decontamination": decontaminate.op7_simhash_decontamination,
     "op1_minhash_near_dedup": near_dedup.op1_minhash_near_dedup,
     "op9_best_fit_packing": packing.op9_best_fit_packing,
