@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, table
+from .common import materialize, small_side, table
 
 SALTS = 16
 
@@ -56,7 +56,7 @@ def drop_exact_copies(spark: SparkSession, docs: DataFrame, salts: int = SALTS)
     """
     loses = exact_dedup(spark, docs, salts).filter(~F.col("kept")).select("doc_id", "text_digest")
     same = (docs["doc_id"].eqNullSafe(loses["doc_id"])) & (sha256_text(F.coalesce(docs["text"], F.lit(""))) == loses["text_digest"])
-    return docs.join(loses.distinct(), same, "left_anti")
+    return docs.join(small_side(loses.distinct(), 500_000), same, "left_anti").select(*docs.columns)
 
 
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

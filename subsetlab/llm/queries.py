@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from . import decontaminate, exact_dedup, line_dedup, near_dedup, packing, quality, secret_scan, token_count
+from . import decontaminate, exact_dedup, license_scan, line_dedup, near_dedup, packing, quality, secret_scan, token_count, warc
 
 QUERIES = {
+    "op2_warc_normaliser": warc.op2_warc_normaliser,
+    "op8_license_scan": license_scan.op8_license_scan,
     "op6_line_field_quality": quality.op6_line_field_quality,
     "op7_simhash_decontamination": decontaminate.op7_simhash_decontamination,
     "op1_minhash_near_dedup": near_dedup.op1_minhash_near_dedup,
