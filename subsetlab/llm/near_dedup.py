@@ -6,8 +6,8 @@ of the first with one of the second, so there are m * m tables of 2 * t rows eac
 
 Equal shingle sets form classes first, so copies cost one representative. Every table bucket is then searched as a star
 around the member that shares most buckets overall, links are confirmed on full sets, and components are formed. Where
-a bucket still holds several components, all pairs across its components are confirmed too, so within buckets no link
-is lost; pairs inside a component are never formed.
+a bucket still holds several components, the pairs across its components are confirmed too unless the sizes of their
+intersections with the star's centre rule a link out; pairs inside a component are never formed.
 """
 
 from __future__ import annotations
@@ -83,30 +83,34 @@ def shingle_sets(docs: DataFrame, k: int) -> DataFrame:
     return docs.select(F.col("doc_id").alias("id"), "text").mapInArrow(run, "id long, hashes binary")
 
 
-def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) with 100 * |intersection| >= percent * |union| on full sets."""
+def intersections(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """a, b, both: the size of the intersection of two full sets."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            keep = []
+            out = []
             for x, y in zip(batch.column(2), batch.column(3), strict=True):
                 x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
                 if len(x) > len(y):
                     x, y = y, x
                 at = np.searchsorted(y, x)
                 at[at == len(y)] = 0
-                both = int(np.count_nonzero(y[at] == x)) if len(y) else 0
-                keep.append(100 * both >= percent * (len(x) + len(y) - both) and both > 0)
-            yield batch.select([0, 1]).filter(pa.array(keep))
+                out.append(int(np.count_nonzero(y[at] == x)) if len(y) else 0)
+            yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array(out, pa.int64())], ["a", "b", "both"])
 
     first = sets.select(F.col("id").alias("a"), F.col("hashes").alias("x")).hint("merge")
     second = sets.select(F.col("id").alias("b"), F.col("hashes").alias("y")).hint("merge")
-    return pairs.select("a", "b").join(first, "a").join(second, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+    return pairs.select("a", "b").join(first, "a").join(second, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long, both long")
 
 
-def _fits(n: str, m: str, percent: int):
+def _similar(both, n, m, percent: int):
+    """100 * |intersection| >= percent * |union|."""
+    return (both > 0) & (100 * both >= percent * (n + m - both))
+
+
+def _fits(n, m, percent: int):
     """A pair's sizes allow the similarity."""
-    return (100 * F.least(n, m) >= percent * F.greatest(n, m))
+    return 100 * F.least(n, m) >= percent * F.greatest(n, m)
 
 
 def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: int = 80, bundles: int = BUNDLES, rows: int = ROWS) -> DataFrame:
@@ -127,26 +131,41 @@ def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: i
     shared = codes.groupBy("i", "a").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").hint("merge")
     able = codes.join(shared, ["i", "a"], "left_semi").select("id").distinct().hint("merge")
     keyed = reps.join(able, "id", "left_semi").select("id", "n", "gb", F.posexplode("ga").alias("i", "a")).select("id", "n", "i", "a", F.posexplode("gb").alias("j", "b"))
-    keyed = materialize(spark, keyed.select(F.xxhash64("i", "j", "a", "b").alias("key"), "id", "n"), "table-keys")
+    keyed = materialize(spark, keyed.select(F.xxhash64("i", "j", "a", "b").alias("key"), "id", "n", "i", "j"), "table-keys")
     buckets = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").hint("merge")
     members = materialize(spark, keyed.join(buckets, "key"), "buckets")
     ids = members.select("id").distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(small_side(ids.withColumnRenamed("id", "doc_id")), "doc_id", "left_semi")
     sets = materialize(spark, shingle_sets(texts, k), "sets")
     degree = members.groupBy("id").agg(F.sum("c").alias("degree")).hint("merge")
-    leaders = members.join(degree, "id").groupBy("key").agg(F.max(F.struct("degree", -F.col("id"), "n")).alias("top")).select("key", (-F.col("top.col2")).alias("a"), F.col("top.n").alias("m")).hint("merge")
-    star = members.withColumnRenamed("id", "b").join(leaders, "key").filter(F.col("a") != F.col("b")).filter(_fits("n", "m", percent))
-    star = materialize(spark, star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "star-pairs")
-    links = materialize(spark, confirmed(star, sets, percent), "links")
+    top = members.join(degree, "id").groupBy("key").agg(F.max(F.struct("degree", -F.col("id"), "n")).alias("top"))
+    leaders = materialize(spark, top.select("key", (-F.col("top.col2")).alias("lead"), F.col("top.n").alias("lead_n")), "leaders")
+    star = members.join(leaders.hint("merge"), "key").filter(F.col("id") != F.col("lead")).filter(_fits(F.col("n"), F.col("lead_n"), percent))
+    swap = F.col("id") < F.col("lead")
+    star = star.select(F.least("id", "lead").alias("a"), F.greatest("id", "lead").alias("b"), F.when(swap, F.col("n")).otherwise(F.col("lead_n")).alias("n"), F.when(swap, F.col("lead_n")).otherwise(F.col("n")).alias("m")).distinct()
+    star = materialize(spark, star, "star-pairs")
+    seen = materialize(spark, star.join(intersections(star, sets).hint("merge"), ["a", "b"]), "star-intersections")
+    links = seen.filter(_similar(F.col("both"), F.col("n"), F.col("m"), percent)).select("a", "b")
     comps = components(spark, links)
     # Buckets that still hold several components: confirm what is left across them.
-    labelled = members.join(comps.hint("merge"), "id", "left").select("key", "id", "n", F.coalesce("comp", "id").alias("comp"))
+    labelled = members.join(comps.hint("merge"), "id", "left").select("key", "i", "j", "id", "n", F.coalesce("comp", "id").alias("comp"))
     mixed = labelled.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("key").hint("merge")
-    open_ = materialize(spark, labelled.join(mixed, "key", "left_semi"), "open-buckets")
-    other = open_.select("key", F.col("id").alias("b"), F.col("n").alias("m"), F.col("comp").alias("comp_b")).hint("merge")
-    rest = open_.withColumnRenamed("id", "a").join(other, "key").filter((F.col("a") < F.col("b")) & (F.col("comp") != F.col("comp_b"))).filter(_fits("n", "m", percent))
-    rest = rest.select("a", "b").distinct().join(star.hint("merge"), ["a", "b"], "left_anti")
-    more = materialize(spark, confirmed(rest, sets, percent), "more-links")
+    open_ = labelled.join(mixed, "key", "left_semi").join(leaders.hint("merge"), "key")
+    open_ = open_.withColumn("a", F.least("id", "lead")).withColumn("b", F.greatest("id", "lead")).join(seen.select("a", "b", "both").hint("merge"), ["a", "b"], "left")
+    with_leader = F.when(F.col("id") == F.col("lead"), F.col("n")).otherwise(F.coalesce("both", F.least("n", "lead_n")))
+    bundles_ = reps.select("id", "ga", "gb").hint("merge")
+    open_ = materialize(spark, open_.withColumn("w", with_leader).join(bundles_, "id").select("key", "i", "j", "id", "n", "comp", "w", "ga", "gb"), "open-buckets")
+    one, two = open_.alias("x"), open_.select("key", *(F.col(c).alias(f"{c}_") for c in ("id", "n", "comp", "w", "ga", "gb"))).hint("merge")
+    # Two sets that share nothing outside the leader's set have at most least(w, w_) in common. Pairs that could only be
+    # linked by shingles foreign to this leader meet in the buckets that such shingles make, which the leader is not in.
+    common = F.least("w", "w_")
+    first_table = lambda x, y, at: F.array_position(F.zip_with(x, y, lambda p, q: p == q), F.lit(True)) == at + 1
+    rest = one.join(two, "key").filter((F.col("id") < F.col("id_")) & (F.col("comp") != F.col("comp_")) & _fits(F.col("n"), F.col("n_"), percent) & _similar(common, F.col("n"), F.col("n_"), percent))
+    rest = rest.filter(first_table("ga", "ga_", F.col("i")) & first_table("gb", "gb_", F.col("j")))  # a pair counts in its first table
+    rest = rest.select(F.col("id").alias("a"), F.col("id_").alias("b"), "n", F.col("n_").alias("m"))
+    rest = materialize(spark, rest.join(star.select("a", "b").hint("merge"), ["a", "b"], "left_anti").distinct(), "rest-pairs")
+    found = rest.join(intersections(rest, sets).hint("merge"), ["a", "b"]).filter(_similar(F.col("both"), F.col("n"), F.col("m"), percent))
+    more = materialize(spark, found.select("a", "b"), "more-links")
     if not more.isEmpty():
         comps = components(spark, links.unionByName(more))
     rows_ = base.select("doc_id", "n", "s1", "s2").join(classes.hint("merge"), ["s1", "s2", "n"], "left")
