@@ -124,7 +124,8 @@ def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: i
     """
     base = materialize(spark, signatures(docs, k, bundles, rows), "signatures")
     named = base.filter("doc_id IS NOT NULL AND n > 0")
-    classes = named.groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep"))
+    # As a table, so that joins by set read plain exchanges, which Spark splits where a set is very frequent.
+    classes = materialize(spark, named.groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep")), "classes")
     reps = named.join(classes.withColumnRenamed("rep", "doc_id").hint("merge"), ["doc_id", "s1", "s2", "n"], "left_semi").select(F.col("doc_id").alias("id"), "n", "ga", "gb")
     # A pair must agree on a bundle of the first collection at least: the other documents need no table keys.
     codes = reps.select("id", F.posexplode("ga").alias("i", "a"))
