@@ -131,7 +131,7 @@ def tokenized_pieces(docs: DataFrame, capacity: int = CAPACITY, tokenizer: str |
             i = 0
             while i < len(texts):
                 j, total = i, 0
-                while j < len(texts) and (j == i or total + len(texts[j]) <= 4_000_000):
+                while j < len(texts) and (j == i or total + len(texts[j]) <= 2_000_000):
                     total += len(texts[j])
                     j += 1
                 rows: list[tuple] = []
