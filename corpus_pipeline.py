@@ -52,6 +52,7 @@ ORACLE_SQL = None  # a trained line field, confirmed links and tokenizer ids hav
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Apply the stages to documents. Each result is a table in the shared folder; cleanup() in subsetlab.llm.common deletes them."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
         docs = materialize(spark, stage(spark, docs, sf_dir), f"stage-{name}")

@@ -27,8 +27,20 @@ def shared_dir(spark: SparkSession) -> str:
     return conf.rstrip("/")
 
 
+_made: list[str] = []
+
+
 def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:12]}"
+    _made.append(f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:12]}")
+    return _made[-1]
+
+
+def cleanup(spark: SparkSession, keep: tuple[str, ...] = ()) -> None:
+    """Delete the folders that this driver made in the shared folder, but those in keep; results that still read them are lost."""
+    for path in [p for p in _made if p not in keep]:
+        place = spark._jvm.org.apache.hadoop.fs.Path(path)
+        place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+        _made.remove(path)
 
 
 def materialize(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
