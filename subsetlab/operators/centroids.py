@@ -82,7 +82,10 @@ def _partial_sums(ref: DataFrame, centres: np.ndarray) -> DataFrame:
             z = z[ok]
             sim = z @ c.T
             at = best_of(sim)
-            np.add.at(sums, at, z)
+            order = np.argsort(at, kind="stable")
+            begin = np.flatnonzero(np.diff(at[order], prepend=-1))
+            if len(begin):
+                sums[at[order][begin]] += np.add.reduceat(z[order], begin)
             n += np.bincount(at, minlength=len(c))
             gain += np.bincount(at, weights=sim[np.arange(len(at)), at], minlength=len(c))
         some = np.flatnonzero(n)
@@ -94,7 +97,11 @@ def _partial_sums(ref: DataFrame, centres: np.ndarray) -> DataFrame:
 
 def best_of(sim: np.ndarray) -> np.ndarray:
     """Index of the largest similarity rounded to 9 digits; the smaller index on ties."""
-    return np.round(sim, 9).argmax(axis=1)
+    at = sim.argmax(axis=1)
+    close = sim >= (sim[np.arange(len(sim)), at] - 1e-9)[:, None]
+    rows = np.flatnonzero(close.sum(axis=1) > 1)  # only near ties are rounded
+    at[rows] = np.round(sim[rows], 9).argmax(axis=1)
+    return at
 
 
 def fit_centroids(ref: DataFrame, k: int, iters: int = 5, init: str = "first_k", seed: int = 42, tol: float = 0.0) -> CentroidModel:
