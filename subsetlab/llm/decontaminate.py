@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import doc_blocks, small_side, table, text_buffer
+from .common import doc_blocks, released, small_side, table, text_buffer
 from .kernels import NOT_ALNUM, mix, ranges, text_shingles
 
 WORDS = 5
@@ -50,8 +50,13 @@ class HammingIndex:
         masks = [sum(1 << i for i in c) for n in range(radius // BLOCKS + 1) for c in combinations(range(16), n)]
         self.masks = np.array(masks, np.uint16)
 
-    def search(self, queries: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(query, stored, distance) for every pair within the radius."""
+    def search(self, queries: np.ndarray, part: int = 512) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(query, stored, distance) for every pair within the radius; part queries at a time, to bound the neighbours in memory."""
+        found = [self._search(queries[i : i + part]) for i in range(0, len(queries), part)] or [self._search(queries)]
+        q, s, d = zip(*found, strict=True)
+        return np.concatenate([x + i * part for i, x in enumerate(q)]), np.concatenate(s), np.concatenate(d)
+
+    def _search(self, queries: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         n = len(self.prints)
         found = []
         for b in range(BLOCKS):
@@ -117,39 +122,40 @@ class BenchmarkIndex:
         return both / (len(shingles) + int(self.sizes[item]) - both)
 
 
+    def best_windows(self, shingles: np.ndarray, found: list[tuple[int, int, int]], least: float) -> dict[int, tuple]:
+        """item -> (-similarity, start, words, distance) of the best verified window of one row."""
+        start, size, wanted = (np.array(x) for x in zip(*found, strict=True))
+        low, high = int(start.min()), int((start + size).max())
+        ones = np.concatenate((np.zeros((1, BITS), np.int32), np.cumsum(hash_bits(shingles[low:high]), axis=0, dtype=np.int32)))
+        best: dict[int, tuple] = {}
+        for k in range(0, len(start), 4096):
+            s, n = start[k : k + 4096], size[k : k + 4096]
+            prints = fingerprints(ones[s + n - low] - ones[s - low], n)
+            for q, item, distance in zip(*(x.tolist() for x in self.index.search(prints)), strict=True):
+                if self.sizes[item] != wanted[k + q]:
+                    continue
+                value = self.similarity(shingles[s[q] : s[q] + n[q]], item)
+                if value >= least - 1e-12:
+                    row = (-value, int(s[q]), int(n[q]) + self.words - 1, distance)
+                    best[item] = min(best.get(item, row), row)
+        return best
+
+
 def scan_batch(index: BenchmarkIndex, ids: list, data: np.ndarray, offs: np.ndarray, least: float) -> list[tuple]:
     """(doc_id, item_id, start, words, similarity, distance): the best window of every document and item."""
-    owners, windows, kept, sums = [], [], [], []
+    best: dict[tuple, tuple] = {}
     floor = least * index.lengths.min() if len(index.lengths) else math.inf  # fewer benchmark shingles never suffice
     for i, j in doc_blocks(offs):
         flat, at = text_shingles(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], index.words, NOT_ALNUM)
         hit = index.member(flat)
         total = np.concatenate(([0], np.cumsum(hit)))[at]
         for row in np.flatnonzero(np.diff(total) >= max(1, floor - 1e-9)).tolist():
-            own, own_hit = flat[at[row] : at[row + 1]], hit[at[row] : at[row + 1]]
-            found = index.windows(own, own_hit, least)
-            if not found:
-                continue
-            ones = np.concatenate((np.zeros((1, BITS), np.int64), np.cumsum(hash_bits(own), axis=0, dtype=np.int64)))
-            start, size = np.array([f[0] for f in found]), np.array([f[1] for f in found])
-            sums.append(fingerprints(ones[start + size] - ones[start], size))
-            owners += [i + row] * len(found)
-            windows += found
-            kept += [own[s : s + n] for s, n, _ in found]
-    if not windows:
-        return []
-    wanted = np.array([w[2] for w in windows])
-    best: dict[tuple, tuple] = {}
-    for q, item, distance in zip(*(x.tolist() for x in index.index.search(np.concatenate(sums))), strict=True):
-        if index.sizes[item] != wanted[q]:
-            continue
-        value = index.similarity(kept[q], item)
-        if value >= least - 1e-12:
-            start, size, _ = windows[q]
-            row = (-value, start, size + index.words - 1, distance)
-            key = (owners[q], int(index.ids[item]))
-            best[key] = min(best.get(key, row), row)
-    return [(ids[o], item, s, w, -v, d) for (o, item), (v, s, w, d) in sorted(best.items())]
+            own = flat[at[row] : at[row + 1]]
+            found = index.windows(own, hit[at[row] : at[row + 1]], least)
+            if found:
+                for item, value in index.best_windows(own, found, least).items():
+                    best[i + row, item] = value
+    return [(ids[o], int(index.ids[item]), s, w, -v, d) for (o, item), (v, s, w, d) in sorted(best.items())]
 
 
 def contaminated(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, least: float = SIMILARITY, words: int = WORDS, radius: int = RADIUS, shard_items: int = SHARD_ITEMS) -> DataFrame:
@@ -171,7 +177,7 @@ def contaminated(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, lea
         def run(batches: Iterator[pa.RecordBatch], index=index) -> Iterator[pa.RecordBatch]:
             names = ["doc_id", "item_id", "start_word", "n_words", "similarity", "distance"]
             kinds = [pa.int64()] * 4 + [pa.float64(), pa.int32()]
-            for batch in batches:
+            for batch in released(batches):
                 if len(index.value.ids):
                     rows = scan_batch(index.value, batch.column(0).to_pylist(), *text_buffer(batch.column(1)), least)
                     cols = list(zip(*rows, strict=True)) or [()] * 6

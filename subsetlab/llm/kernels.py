@@ -35,7 +35,7 @@ def powers(base: int, n: int) -> np.ndarray:
         out = np.full(size, base, np.uint64)
         out[0] = 1
         have = np.multiply.accumulate(out)
-        if size <= 1 << 22:
+        if size <= 1 << 20:
             _powers[base] = have
     return have[:n]
 

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import doc_blocks, materialize, table, text_buffer
+from .common import doc_blocks, materialize, released, table, text_buffer
 from .kernels import BYTE_VALUE_2, LOWER, SPACE, span_hashes
 from .mphf import LineIndex
 
@@ -57,7 +57,7 @@ def line_keys(data: np.ndarray, offs: np.ndarray, min_chars: int) -> tuple[np.nd
 
 
 def _keys_of_batches(batches: Iterator[pa.RecordBatch], min_chars: int, distinct: bool) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in released(batches):
         ids = np.asarray(batch.column(0).to_numpy(zero_copy_only=False), np.int64)
         data, offs = text_buffer(batch.column(1))
         for i, j in doc_blocks(offs):
@@ -87,7 +87,7 @@ def _index_of(keys: dict[str, np.ndarray]) -> LineIndex:
 def _probe_shards(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows sorted by (shard, kind, ...): a shard's index rows (kind 0) come before the probes (kind 1)."""
     shard, parts, index = None, [], None
-    for batch in batches:
+    for batch in released(batches):
         c = {n: batch.column(k).to_numpy(zero_copy_only=False) for k, n in enumerate(batch.schema.names)}
         cuts = np.concatenate(([0], np.flatnonzero(np.diff(c["shard"]) | np.diff(c["kind"])) + 1, [len(c["shard"])]))
         for i, j in zip(cuts[:-1], cuts[1:], strict=True):
@@ -121,7 +121,7 @@ def losing_lines(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHAR
     def probe_hot(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Answers hot keys here (lost: true or false) and leaves the others to their shard (lost: null)."""
         index = _index_of(hot.value)
-        for batch in batches:
+        for batch in released(batches):
             h1, h2 = batch.column(2).to_numpy().view(np.uint64), batch.column(3).to_numpy().view(np.uint64)
             count, owner = index.probe(h1, h2)
             lost = pa.array(owner != batch.column(0).to_numpy(), mask=count == 0)
@@ -157,7 +157,7 @@ def losing_lines(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHAR
 
 
 def _rewrite(batches: Iterator[pa.RecordBatch], with_text: bool) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in released(batches):
         ids, texts, drops = batch.column(0), batch.column(1), batch.column(2)
         n_lines, n_dropped, digest, kept = [], [], [], []
         for text, drop in zip(texts, drops, strict=True):

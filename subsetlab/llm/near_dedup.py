@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import doc_blocks, materialize, small_side, table, text_buffer
+from .common import doc_blocks, materialize, released, small_side, table, text_buffer
 from .graph import components
 from .kernels import MinHasher, mix, text_shingles
 
@@ -44,7 +44,7 @@ def signatures(docs: DataFrame, k: int, bundles: int = BUNDLES, rows: int = ROWS
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = MinHasher(2 * bundles * rows)
-        for batch in batches:
+        for batch in released(batches):
             data, offs = text_buffer(batch.column(1))
             for i, j in doc_blocks(offs):
                 flat, at = distinct_sets(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], k)
@@ -73,7 +73,7 @@ def shingle_sets(docs: DataFrame, k: int) -> DataFrame:
     """id, hashes: the sorted distinct 64-bit shingle hashes of a text as bytes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in released(batches):
             data, offs = text_buffer(batch.column(1))
             for i, j in doc_blocks(offs):
                 flat, at = distinct_sets(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], k)
@@ -87,7 +87,7 @@ def intersections(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """a, b, both: the size of the intersection of two full sets."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in released(batches):
             out = []
             for x, y in zip(batch.column(2), batch.column(3), strict=True):
                 x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from .common import materialize, small_side, table
+from .common import materialize, released, small_side, table
 from .word_bpe import word_bpe
 
 CAPACITY = 2048
@@ -126,12 +126,12 @@ def tokenized_pieces(docs: DataFrame, capacity: int = CAPACITY, tokenizer: str |
 
         bpe = word_bpe(tokenizer or public_tokenizers.path("word_bpe_49k.json"))
         close = np.zeros(1, np.int32)
-        for batch in batches:
+        for batch in released(batches):
             ids, texts = batch.column(0).to_pylist(), ["" if t is None else t for t in batch.column(1).to_pylist()]
             i = 0
             while i < len(texts):
                 j, total = i, 0
-                while j < len(texts) and (j == i or total + len(texts[j]) <= 2_000_000):
+                while j < len(texts) and (j == i or total + len(texts[j]) <= 800_000):
                     total += len(texts[j])
                     j += 1
                 rows: list[tuple] = []

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table, text_buffer
+from .common import released, table, text_buffer
 from .kernels import LOWER, SPACE, span_hashes, word_spans
 from .line_dedup import line_spans
 
@@ -139,7 +139,7 @@ class LineField:
         out = []
         i, n = 0, len(offs) - 1
         while i < n:
-            j = max(i + 1, int(np.searchsorted(offs, offs[i] + (1 << 22), "right")) - 1)
+            j = max(i + 1, int(np.searchsorted(offs, offs[i] + (1 << 20), "right")) - 1)
             x, size, first = line_features(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i])
             p = self.marginals(x, first) * size
             out.append(np.add.reduceat(p, first[:-1]) / np.add.reduceat(size, first[:-1]))
@@ -164,7 +164,7 @@ def train(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) -> LineFie
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")  # at most 2 * rows ids
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in released(batches):
             x, _, first = line_features(*text_buffer(batch.column(1)))
             lists = [x[a:b].tobytes() for a, b in zip(first[:-1], first[1:], strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(lists, pa.binary())], ["doc_id", "quality", "x"])
@@ -188,7 +188,7 @@ def quality_scores(spark: SparkSession, docs: DataFrame, labels: DataFrame, rows
     field = spark.sparkContext.broadcast(train(docs, labels, rows))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in released(batches):
             s = field.value.scores(*text_buffer(batch.column(1)))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(s), pa.array((s >= threshold).astype(np.int32))], ["doc_id", "score", "predicted"])
 
@@ -202,7 +202,7 @@ def keep_good(spark: SparkSession, docs: DataFrame, labels: DataFrame, rows: int
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in released(batches):
             yield batch.filter(pa.array(field.value.scores(*text_buffer(batch.column(at))) >= threshold))
 
     return docs.mapInArrow(run, docs.schema)

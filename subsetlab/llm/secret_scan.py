@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from .automaton import Automaton
-from .common import table, text_buffer
+from .common import released, table, text_buffer
 
 
 @dataclass(frozen=True)
@@ -95,7 +95,7 @@ def secret_scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64())]))
-        for batch in batches:
+        for batch in released(batches):
             found = scan_texts(*text_buffer(batch.column(1)), rules)
             rows = [[{"kind": rules[k].kind, "start": a, "end": b} for a, k, b in spans] for spans in found]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, kind)], ["doc_id", "spans"])
@@ -107,7 +107,7 @@ def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = {r.kind for r in BASE_RULES}
 
     def digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in released(batches):
             cols = {n: [] for n in ("n_assign", "n_access", "n_hex", "base_sha256", "spans")}
             for spans in batch.column(1).to_pylist():
                 text = lambda keep: ",".join(f"{s['kind']}:{s['start']}:{s['end']}" for s in spans if keep(s["kind"]))

@@ -17,7 +17,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import table
+from .common import released, table
 
 BLANK = "▁"
 _STRETCH = re.compile(rf"{BLANK}*[^{BLANK}\n]+|{BLANK}+|\n")
@@ -133,7 +133,7 @@ def token_counts(docs: DataFrame, model_file: str | None = None, limit: int = 40
         import public_tokenizers
 
         own = counter(model_file or public_tokenizers.path("piece_bpe_32k.model"))
-        for batch in batches:
+        for batch in released(batches):
             texts = ["" if t is None else t for t in batch.column(1).to_pylist()]
             n_bytes = [len(t) if t.isascii() else len(t.encode()) for t in texts]
             if prefixes:

@@ -20,7 +20,7 @@ from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, new_path, small_side, table
+from .common import materialize, new_path, released, small_side, table
 
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 DATE = "2024-01-01T00:00:00Z"
@@ -88,7 +88,7 @@ def write_archives(spark: SparkSession, pages: DataFrame, folder: str, at_least:
                 done.append((path, records))
                 out = None
 
-        for batch in batches:
+        for batch in released(batches):
             for page, url, html, answer in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 raw = html.encode()
                 if out is None:
@@ -176,7 +176,7 @@ def normalise(spark: SparkSession, files: DataFrame, folder: str, level: int = 6
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         store, root = fs.FileSystem.from_uri(folder)
-        for batch in batches:
+        for batch in released(batches):
             for path in batch.column(0).to_pylist():
                 name = f"{root}/records-{uuid.uuid4().hex}.warc.gz"
                 entries = []
@@ -206,7 +206,7 @@ def read_records(index: DataFrame, folder: str, payloads: bool = False) -> DataF
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         store, _ = fs.FileSystem.from_uri(folder)
         name, source = None, None
-        for batch in batches:
+        for batch in released(batches):
             rows = []
             for archive, offset, length in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
                 if archive != name:

@@ -17,7 +17,7 @@ from .kernels import BYTE_VALUE_2, ranges, span_hashes, word_spans
 
 _PLAIN = regex.compile("[^\t\n\x0b\x0c\r\x20-\x7e¡-ÿ]|<\\|")
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
-TABLE_ENTRIES = 1_500_000
+TABLE_ENTRIES = 800_000
 NONE = np.int32(2**31 - 1)
 
 
@@ -109,7 +109,7 @@ class WordBpe:
             self._reset()
         cut = [_WORDS.findall(s) for s in stretches]
         new = list({w for ws in cut for w in ws} - self.words.keys())
-        if len(self.words) + len(new) > self.limit // 3:
+        if len(self.words) + len(new) > self.limit // 5:
             self.words.clear()
             new = list({w for ws in cut for w in ws})
         self.words.update(zip(new, self.merge_words(new), strict=True))
