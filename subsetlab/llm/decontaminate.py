@@ -46,7 +46,8 @@ class HammingIndex:
     def __init__(self, prints: np.ndarray, radius: int = RADIUS):
         self.prints, self.radius = prints, radius
         self.order = [np.argsort(prints[:, b], kind="stable") for b in range(BLOCKS)]
-        self.sorted = [prints[o, b] for b, o in enumerate(self.order)]
+        kinds = [np.unique(prints[o, b], return_index=True, return_counts=True) for b, o in enumerate(self.order)]
+        self.values, self.first, self.count = ([k[i] for k in kinds] for i in range(3))
         masks = [sum(1 << i for i in c) for n in range(radius // BLOCKS + 1) for c in combinations(range(16), n)]
         self.masks = np.array(masks, np.uint16)
 
@@ -61,13 +62,17 @@ class HammingIndex:
         found = []
         for b in range(BLOCKS):
             values, back = np.unique(queries[:, b], return_inverse=True)
-            near = (values[:, None] ^ self.masks[None, :]).ravel()
-            lo, hi = np.searchsorted(self.sorted[b], near), np.searchsorted(self.sorted[b], near, "right")
-            full = np.flatnonzero(hi > lo)
-            value = np.repeat(full // len(self.masks), (hi - lo)[full])
-            stored = self.order[b][ranges(lo[full], (hi - lo)[full])]
-            by_value = np.argsort(value, kind="stable")
-            value, stored = value[by_value], stored[by_value]
+            own = self.values[b]
+            if len(own) <= len(self.masks):  # comparing with every stored value is less work than trying all neighbours
+                value, hit = np.nonzero(np.bitwise_count(values[:, None] ^ own[None, :]) <= self.radius // BLOCKS)
+            else:
+                near = (values[:, None] ^ self.masks[None, :]).ravel()
+                hit = np.minimum(np.searchsorted(own, near), len(own) - 1)
+                full = np.flatnonzero(own[hit] == near)
+                value, hit = full // len(self.masks), hit[full]
+            count = self.count[b][hit]
+            stored = self.order[b][ranges(self.first[b][hit], count)]
+            value = np.repeat(value, count)
             first, count = np.searchsorted(value, back), np.searchsorted(value, back, "right")
             count -= first
             found.append(np.repeat(np.arange(len(queries)), count) * n + stored[ranges(first, count)])

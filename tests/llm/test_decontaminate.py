@@ -41,10 +41,11 @@ def test_query_against_brute_force(spark, where):
     assert got == want
 
 
-def test_every_fingerprint_within_the_radius():
+@pytest.mark.parametrize("n", [0, 1, 300, 3000])
+def test_every_fingerprint_within_the_radius(n):
     rng = np.random.default_rng(5)
-    stored = rng.integers(0, 1 << 16, (300, 8), dtype=np.uint16)
-    queries = stored[rng.integers(0, 300, 200)].copy()
+    stored = rng.integers(0, 1 << 16, (n, 8), dtype=np.uint16)
+    queries = stored[rng.integers(0, n, 600)].copy() if n else rng.integers(0, 1 << 16, (5, 8), dtype=np.uint16)
     for q in queries:
         for bit in rng.choice(128, rng.integers(0, 45), replace=False):
             q[bit // 16] ^= np.uint16(1 << (bit % 16))
