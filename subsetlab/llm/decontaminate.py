@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import doc_blocks, released, small_side, table, text_buffer
+from .common import doc_blocks, materialize, released, small_side, table, text_buffer
 from .kernels import NOT_ALNUM, mix, ranges, text_shingles
 
 WORDS = 5
@@ -195,7 +195,7 @@ def contaminated(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, lea
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, least: float = SIMILARITY) -> DataFrame:
     """docs without the documents that hold a benchmark item; columns unchanged. Rows without doc_id stay."""
-    bad = contaminated(spark, docs, benchmark, least).select("doc_id").distinct()
+    bad = materialize(spark, contaminated(spark, docs, benchmark, least).select("doc_id").distinct(), "contaminated")
     return docs.join(small_side(bad), "doc_id", "left_anti").select(*docs.columns)
 
 

@@ -54,9 +54,10 @@ def drop_exact_copies(spark: SparkSession, docs: DataFrame, salts: int = SALTS)
 
     A doc_id that repeats with the same text leaves all its rows; ids are unique in the tables this runs on.
     """
-    loses = exact_dedup(spark, docs, salts).filter(~F.col("kept")).select("doc_id", "text_digest")
+    loses = exact_dedup(spark, docs, salts).filter(~F.col("kept")).select("doc_id", "text_digest").distinct()
+    loses = materialize(spark, loses, "exact-copies")
     same = (docs["doc_id"].eqNullSafe(loses["doc_id"])) & (sha256_text(F.coalesce(docs["text"], F.lit(""))) == loses["text_digest"])
-    return docs.join(small_side(loses.distinct(), 500_000), same, "left_anti").select(*docs.columns)
+    return docs.join(small_side(loses, 500_000), same, "left_anti").select(*docs.columns)
 
 
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

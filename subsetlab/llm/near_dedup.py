@@ -177,7 +177,7 @@ def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: i
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """docs with one document, the smallest doc_id, of each component; columns unchanged."""
-    lost = near_components(spark, docs, k, percent).filter(~F.col("kept")).select("doc_id").distinct()
+    lost = materialize(spark, near_components(spark, docs, k, percent).filter(~F.col("kept")).select("doc_id").distinct(), "near-copies")
     return docs.join(small_side(lost), "doc_id", "left_anti").select(*docs.columns)
 
 

@@ -17,7 +17,7 @@ from .kernels import BYTE_VALUE_2, ranges, span_hashes, word_spans
 
 _PLAIN = regex.compile("[^\t\n\x0b\x0c\r\x20-\x7e¡-ÿ]|<\\|")
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
-TABLE_ENTRIES = 800_000
+TABLE_ENTRIES = 400_000
 NONE = np.int32(2**31 - 1)
 
 
