@@ -17,7 +17,8 @@ from .kernels import BYTE_VALUE_2, ranges, span_hashes, word_spans
 
 _PLAIN = regex.compile("[^\t\n\x0b\x0c\r\x20-\x7e¡-ÿ]|<\\|")
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
-TABLE_ENTRIES = 400_000
+TABLE_ENTRIES = 1_200_000  # stretches, in arrays
+WORD_ENTRIES = 100_000  # words, in a dictionary
 NONE = np.int32(2**31 - 1)
 
 
@@ -109,7 +110,7 @@ class WordBpe:
             self._reset()
         cut = [_WORDS.findall(s) for s in stretches]
         new = list({w for ws in cut for w in ws} - self.words.keys())
-        if len(self.words) + len(new) > self.limit // 5:
+        if len(self.words) + len(new) > min(WORD_ENTRIES, self.limit):
             self.words.clear()
             new = list({w for ws in cut for w in ws})
         self.words.update(zip(new, self.merge_words(new), strict=True))
@@ -118,10 +119,9 @@ class WordBpe:
         size = np.array([len(i) for i in ids], np.int64)
         at = len(self.flat) + np.cumsum(size) - size
         self.flat = np.concatenate([self.flat, *ids])
-        merged = np.concatenate([self.hashes, hashes])
-        order = np.argsort(merged, kind="stable")
-        self.hashes, self.prints = merged[order], np.concatenate([self.prints, prints])[order]
-        self.at, self.size = np.concatenate([self.at, at])[order], np.concatenate([self.size, size])[order]
+        to = np.searchsorted(self.hashes, hashes)  # hashes come sorted
+        self.hashes, self.prints = np.insert(self.hashes, to, hashes), np.insert(self.prints, to, prints)
+        self.at, self.size = np.insert(self.at, to, at), np.insert(self.size, to, size)
 
     def _find(self, h: np.ndarray, p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         if not len(self.hashes):
