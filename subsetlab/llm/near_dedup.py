@@ -6,8 +6,9 @@ of the first with one of the second, so there are m * m tables of 2 * t rows eac
 
 Equal shingle sets form classes first, so copies cost one representative. Every table bucket is then searched as a star
 around the member that shares most buckets overall, links are confirmed on full sets, and components are formed. Where
-a bucket still holds several components, the pairs across its components are confirmed too unless the sizes of their
-intersections with the star's centre rule a link out; pairs inside a component are never formed.
+a bucket still holds several components, the pairs across its components are confirmed too. Sets are cut by hash into
+BINS parts for that: the smaller counts of each part add up to an upper bound of the intersection, so a pair below the
+similarity by that bound needs no full sets. Pairs inside a component are never formed.
 """
 
 from __future__ import annotations
@@ -25,6 +26,8 @@ from .kernels import MinHasher, mix, text_shingles
 
 BUNDLES = 14  # m
 ROWS = 4  # t
+BINS = 128  # parts of a set in its sketch
+BLOCK = 2_000  # members of a bucket compared in one go; larger buckets are dealt out as pairs of blocks
 
 
 def distinct_sets(data: np.ndarray, offs: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -103,6 +106,75 @@ def intersections(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.select("a", "b").join(first, "a").join(second, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long, both long")
 
 
+def sketches(sets: DataFrame) -> DataFrame:
+    """id, sketch: how many of a set's hashes fall into each of BINS parts, a byte each; 255 stands for any larger count."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in released(batches):
+            counts = [np.bincount((np.frombuffer(x.as_buffer(), np.uint64) >> np.uint64(57)).astype(np.int64), minlength=BINS) for x in batch.column(1)]
+            out = [np.minimum(c, 255).astype(np.uint8).tobytes() for c in counts]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], ["id", "sketch"])
+
+    return sets.mapInArrow(run, "id long, sketch binary")
+
+
+def _possible(ids: np.ndarray, n: np.ndarray, comp: np.ndarray, block: np.ndarray, sketch: np.ndarray, percent: int, part: int = 1 << 16) -> tuple[np.ndarray, np.ndarray]:
+    """Positions of the pairs across components, and across blocks where there are two, that sizes and sketches allow to be similar."""
+    order = np.argsort(n, kind="stable")
+    size, comp, block, sketch, two = n[order], comp[order], block[order], sketch[order], len(np.unique(block)) > 1
+    full = (sketch == 255).any(axis=1)
+    high = np.searchsorted(size, size * 100 // percent, "right")  # larger sets share too little with this one
+    step = max(1, part // len(ids))
+    first, second = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    for lo in range(0, len(ids), step):
+        rows, top = np.arange(lo, min(lo + step, len(ids))), int(high[min(lo + step, len(ids)) - 1])
+        cols = np.arange(lo, top)
+        go = (cols > rows[:, None]) & (cols < high[rows][:, None]) & (comp[rows][:, None] != comp[cols])
+        if two:
+            go &= block[rows][:, None] != block[cols]
+        x, y = np.nonzero(go)
+        x, y = rows[x], cols[y]
+        both = np.minimum(sketch[x], sketch[y]).sum(axis=1, dtype=np.int64)
+        both = np.where(full[x] | full[y], np.minimum(size[x], size[y]), both)
+        fit = 100 * both >= percent * (size[x] + size[y] - both)
+        first.append(order[x[fit]])
+        second.append(order[y[fit]])
+    return np.concatenate(first), np.concatenate(second)
+
+
+def across_components(members: DataFrame, percent: int, block: int = BLOCK) -> DataFrame:
+    """a, b, n, m: the pairs of a bucket's members (key, c, id, n, comp, sketch) in different components that may be similar."""
+    cells = F.ceil(F.col("c") / block).cast("int")
+    dealt = members.withColumn("u", F.pmod(F.xxhash64("id"), cells).cast("int")).withColumn("v", F.explode(F.sequence(F.lit(0), cells - 1)))
+    dealt = dealt.select("key", F.least("u", "v").alias("p"), F.greatest("u", "v").alias("q"), "id", "n", "comp", "u", "sketch")
+
+    def pairs(held: list[pa.RecordBatch]) -> pa.RecordBatch:
+        t = pa.Table.from_batches(held)
+        ids, n, comp, u = (t[c].to_numpy() for c in ("id", "n", "comp", "u"))
+        x, y = _possible(ids, n, comp, u, np.frombuffer(b"".join(t["sketch"].to_pylist()), np.uint8).reshape(-1, BINS), percent)
+        swap = ids[x] > ids[y]
+        x, y = np.where(swap, y, x), np.where(swap, x, y)
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in (ids[x], ids[y], n[x], n[y])], ["a", "b", "n", "m"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, last = [], None  # the cell at the end of a batch may go on in the next
+        for batch in released(batches):
+            if not batch.num_rows:
+                continue
+            cell = np.column_stack([batch.column(c).to_numpy() for c in range(3)])
+            edges = [0, *(np.flatnonzero((cell[1:] != cell[:-1]).any(axis=1)) + 1).tolist(), len(cell)]
+            for i, j in zip(edges[:-1], edges[1:], strict=True):
+                if held and tuple(cell[i]) != last:
+                    yield pairs(held)
+                    held = []
+                held.append(batch.slice(i, j - i))
+                last = tuple(cell[i])
+        if held:
+            yield pairs(held)
+
+    return dealt.repartition("key", "p", "q").sortWithinPartitions("key", "p", "q").mapInArrow(run, "a long, b long, n long, m long")
+
+
 def _similar(both, n, m, percent: int):
     """100 * |intersection| >= percent * |union|."""
     return (both > 0) & (100 * both >= percent * (n + m - both))
@@ -132,7 +204,7 @@ def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: i
     shared = codes.groupBy("i", "a").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").hint("merge")
     able = codes.join(shared, ["i", "a"], "left_semi").select("id").distinct().hint("merge")
     keyed = reps.join(able, "id", "left_semi").select("id", "n", "gb", F.posexplode("ga").alias("i", "a")).select("id", "n", "i", "a", F.posexplode("gb").alias("j", "b"))
-    keyed = materialize(spark, keyed.select(F.xxhash64("i", "j", "a", "b").alias("key"), "id", "n", "i", "j"), "table-keys")
+    keyed = materialize(spark, keyed.select(F.xxhash64("i", "j", "a", "b").alias("key"), "id", "n"), "table-keys")
     buckets = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").hint("merge")
     members = materialize(spark, keyed.join(buckets, "key"), "buckets")
     ids = members.select("id").distinct()
@@ -149,22 +221,11 @@ def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: i
     links = seen.filter(_similar(F.col("both"), F.col("n"), F.col("m"), percent)).select("a", "b")
     comps = components(spark, links)
     # Buckets that still hold several components: confirm what is left across them.
-    labelled = members.join(comps.hint("merge"), "id", "left").select("key", "i", "j", "id", "n", F.coalesce("comp", "id").alias("comp"))
+    labelled = members.join(comps.hint("merge"), "id", "left").select("key", "c", "id", "n", F.coalesce("comp", "id").alias("comp"))
     mixed = labelled.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("key").hint("merge")
-    open_ = labelled.join(mixed, "key", "left_semi").join(leaders.hint("merge"), "key")
-    open_ = open_.withColumn("a", F.least("id", "lead")).withColumn("b", F.greatest("id", "lead")).join(seen.select("a", "b", "both").hint("merge"), ["a", "b"], "left")
-    with_leader = F.when(F.col("id") == F.col("lead"), F.col("n")).otherwise(F.coalesce("both", F.least("n", "lead_n")))
-    bundles_ = reps.select("id", "ga", "gb").hint("merge")
-    open_ = materialize(spark, open_.withColumn("w", with_leader).join(bundles_, "id").select("key", "i", "j", "id", "n", "comp", "w", "ga", "gb"), "open-buckets")
-    one, two = open_.alias("x"), open_.select("key", *(F.col(c).alias(f"{c}_") for c in ("id", "n", "comp", "w", "ga", "gb"))).hint("merge")
-    # Two sets that share nothing outside the leader's set have at most least(w, w_) in common. Pairs that could only be
-    # linked by shingles foreign to this leader meet in the buckets that such shingles make, which the leader is not in.
-    common = F.least("w", "w_")
-    first_table = lambda x, y, at: F.array_position(F.zip_with(x, y, lambda p, q: p == q), F.lit(True)) == at + 1
-    rest = one.join(two, "key").filter((F.col("id") < F.col("id_")) & (F.col("comp") != F.col("comp_")) & _fits(F.col("n"), F.col("n_"), percent) & _similar(common, F.col("n"), F.col("n_"), percent))
-    rest = rest.filter(first_table("ga", "ga_", F.col("i")) & first_table("gb", "gb_", F.col("j")))  # a pair counts in its first table
-    rest = rest.select(F.col("id").alias("a"), F.col("id_").alias("b"), "n", F.col("n_").alias("m"))
-    rest = materialize(spark, rest.join(star.select("a", "b").hint("merge"), ["a", "b"], "left_anti").distinct(), "rest-pairs")
+    open_ = labelled.join(mixed, "key", "left_semi").join(sketches(sets).hint("merge"), "id")
+    rest = across_components(open_, percent)
+    rest = materialize(spark, rest.distinct().join(star.select("a", "b").hint("merge"), ["a", "b"], "left_anti"), "rest-pairs")
     found = rest.join(intersections(rest, sets).hint("merge"), ["a", "b"]).filter(_similar(F.col("both"), F.col("n"), F.col("m"), percent))
     more = materialize(spark, found.select("a", "b"), "more-links")
     if not more.isEmpty():

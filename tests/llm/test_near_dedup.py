@@ -1,10 +1,11 @@
 import re
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from subsetlab.llm.graph import components
-from subsetlab.llm.near_dedup import drop_near_copies, near_components, op1_minhash_near_dedup
+from subsetlab.llm.near_dedup import drop_near_copies, across_components, near_components, op1_minhash_near_dedup, sketches
 
 
 def shingles(text, k):
@@ -63,6 +64,38 @@ def test_star_chain_and_edge_cases(spark):
     assert near_components(spark, df.limit(0)).count() == 0
 
 
+def test_links_outside_of_every_leader(spark):
+    docs = {}
+    for g in range(6):  # x and y are similar, but every leader lacks seven of their words, and with each alone they might not be
+        word = lambda c, n: [f"g{g}{c}{i}" for i in range(n)]  # noqa: B023, E731
+        core, left, right = word("c", 92), word("l", 6), word("r", 6)
+        docs[1000 * g], docs[1000 * g + 1] = core + left + word("x", 2), core + right + word("y", 2)
+        for i in range(13):
+            lead = core[: 7 * i] + core[7 * i + 7 :] + left + right + word(f"o{i}-", 3)
+            for j in range(7):
+                docs[1000 * g + 10 * i + j + 10] = lead[:98] + word(f"z{i}-{j}-", 2) if j else lead
+    docs = {d: " ".join(w) for d, w in docs.items()}
+    got = near_components(spark, spark.createDataFrame(list(docs.items()), "doc_id long, text string"), 1, 85).collect()
+    want = brute(docs, 1, 85)
+    assert all(want[1000 * g + 1][1] == 1000 * g for g in range(6))
+    assert {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in got} == want
+
+
+def test_pairs_of_a_bucket_in_blocks(spark):
+    rng = np.random.default_rng(5)
+    sets = {i: np.sort(rng.choice(60, rng.integers(30, 45), replace=False).astype(np.uint64) * np.uint64(2**57 + 2**53)) for i in range(70)}
+    sets[70] = np.arange(0, 90_000, dtype=np.uint64)  # counts over a byte
+    sets[71] = np.arange(9, 90_000, dtype=np.uint64)
+    rows = [(5, len(sets), i, len(s), i % 9 if i < 70 else i, bytearray(s.tobytes())) for i, s in sets.items()]
+    df = spark.createDataFrame(rows, "key long, c long, id long, n long, comp long, hashes binary")
+    members = df.drop("hashes").join(sketches(df.select("id", "hashes")), "id")
+    similar = {(a, b) for _, _, a, n, p, _ in rows for _, _, b, m, q, _ in rows if a < b and p != q and 100 * len(np.intersect1d(sets[a], sets[b])) >= 50 * len(np.union1d(sets[a], sets[b]))}
+    assert len(similar) > 100 and (70, 71) in similar
+    for block in (7, 1000):
+        got = across_components(members, 50, block).collect()
+        assert similar <= {(r.a, r.b) for r in got} and all(r.a < r.b and (r.n, r.m) == (len(sets[r.a]), len(sets[r.b])) for r in got)
+
+
 def test_components_of_a_path(spark):
     n = 40
     edges = spark.range(n - 1).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b"))
