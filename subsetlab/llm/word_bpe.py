@@ -106,8 +106,6 @@ class WordBpe:
         return out
 
     def _learn(self, stretches: list[str], hashes: np.ndarray, prints: np.ndarray) -> None:
-        if len(self.hashes) + len(stretches) > self.limit:
-            self._reset()
         cut = [_WORDS.findall(s) for s in stretches]
         new = list({w for ws in cut for w in ws} - self.words.keys())
         if len(self.words) + len(new) > min(WORD_ENTRIES, self.limit):
@@ -146,14 +144,15 @@ class WordBpe:
             p = span_hashes(data, starts[one], ends[one], BYTE_VALUE_2)
             at, known = self._find(kinds, p)
             if not known.all():
+                if len(self.hashes) + np.count_nonzero(~known) > self.limit:  # learn all stretches of these texts anew
+                    self._reset()
+                    known[:] = False
                 miss = np.flatnonzero(~known)
                 joined = data.tobytes()
                 self._learn([joined[a:b].decode() for a, b in zip(starts[one[miss]].tolist(), ends[one[miss]].tolist(), strict=True)], kinds[miss], p[miss])
                 at, known = self._find(kinds, p)
-                if not known.all():  # the table was emptied on the way
-                    miss = np.flatnonzero(~known)
-                    self._learn([joined[a:b].decode() for a, b in zip(starts[one[miss]].tolist(), ends[one[miss]].tolist(), strict=True)], kinds[miss], p[miss])
-                    at, _ = self._find(kinds, p)
+                if not known.all():
+                    raise ValueError("stretches are still unknown after learning")
             at = at[back]
             size = self.size[at]
             ids = self.flat[ranges(self.at[at], size)]
@@ -162,6 +161,8 @@ class WordBpe:
             ids, edge = np.zeros(0, np.int32), np.zeros(len(plain) + 1, np.int64)
         for k, i in enumerate(plain):
             out[i] = ids[edge[k] : edge[k + 1]]
+        if len(self.hashes) > self.limit:  # a table for these texts only
+            self._reset()
         return out
 
 

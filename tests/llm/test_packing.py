@@ -75,6 +75,14 @@ def test_ids_equal_the_library(texts):
     assert [i.tolist() for i in bpe.encode(texts)] == [bpe.library.encode(t, add_special_tokens=False).ids for t in texts]
 
 
+def test_texts_of_more_stretches_than_the_table_holds():
+    bpe = WordBpe(PATH, table_entries=60)
+    long = " ".join(f"word{i}" for i in range(200))
+    for texts in (["the cat word3 word7 sat"], [long], ["word3 word150 dog"], [long + " the cat", long]):
+        assert [i.tolist() for i in bpe.encode(texts)] == [bpe.library.encode(t, add_special_tokens=False).ids for t in texts]
+        assert len(bpe.hashes) <= 60
+
+
 def test_nulls_and_empty_table(spark):
     docs = spark.createDataFrame([(1, None, 9), (2, "", 9), (2, "", 9)], "doc_id long, text string, length long")
     out = pack_documents(spark, docs).collect()
