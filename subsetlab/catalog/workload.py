@@ -67,13 +67,12 @@ def _(spark, d):
 
 
 RHOS = [5000, 7000, 9000]
-_CURVE = ("random", "entropy", "two_stage")
-_CC = [c for r in RHOS for c in (sel_random(f"r{r}", "cand", f"({N}) * {10000 - r} // 10000"), P.top_h(f"h{r}", "(SELECT id, h FROM cand JOIN eh USING (id))", f"({N}) * {10000 - r} // 10000"), two_stage_cte(f"t{r}", r, default_stage1_keep(r), K_E, "m_c"))]
+_CURVES = {r: _methods(r, f"c{r}_") for r in RHOS}
 
 
-@R.add("wl_curves", P.with_(*MS, REF_MODEL, *_CC, union({f"'{r}:{m}'": f"{p}{r}" for r in RHOS for p, m in zip("rht", _CURVE, strict=True)}, "method"), curves_sql("u", 16), select="SELECT method, step, n, round(moment, 6) AS moment FROM cv"))
+@R.add("wl_curves", P.with_(*MS, REF_MODEL, *[c for ctes, _ in _CURVES.values() for c in ctes], union({f"'{r}:{m}'": f"c{r}_{m}" for r in RHOS for m in WL.METHODS}, "method"), curves_sql("u", 16), select="SELECT method, step, n, round(moment, 6) AS moment FROM cv"))
 def _(spark, d):
-    return r6(WL.convergence_curves(bench(spark, d), RHOS, K_E, ITERS, 16, _CURVE), "moment")
+    return r6(WL.convergence_curves(bench(spark, d), RHOS, K_E, ITERS, 16, WL.METHODS), "moment")
 
 
 _GRID = {(r, p): f"g{r}_{p}" for r in (8500, 9000) for p in sorted({10000 - r, 3000, 5000, 7000})}

@@ -39,6 +39,15 @@ def test_query_equals_sql(spark, sf, duck, name):
     assert sorted((tuple(plain(r[c]) for c in cols) for r in df.collect()), key=repr) == want
 
 
+def test_curves_of_all_methods(spark, sf, duck):
+    from subsetlab.plans.workloads import METHODS
+
+    got = {(r.method, r.step): (r.n, plain(r.moment)) for r in entry.queries()["wl_curves"](spark, sf).collect()}
+    assert {m for m, _ in got} == {f"{r}:{m}" for r in (5000, 7000, 9000) for m in METHODS}
+    want = duck.execute(f"SELECT method, step, n, moment FROM ({entry.oracle_sql()['wl_curves']})").fetchall()
+    assert got == {(m, s): (n, plain(x)) for m, s, n, x in want}
+
+
 def test_every_sql_has_a_query_and_entry_runs(spark):
     assert entry.oracle_sql().keys() <= entry.queries().keys()
     assert entry.entry(spark).count() > 0
