@@ -6,6 +6,7 @@ unions them and computes the measures in one grouped pass.
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 from functools import reduce
 
@@ -123,15 +124,29 @@ def ratio_sweep(b: Bench, rhos_bp: list[int], k: int, iters: int) -> DataFrame:
     return _measured(_union(parts), b.test, ["rho_bp"])
 
 
-def cluster_sources(b: Bench, sources: dict[str, DataFrame], k: int, iters: int, rho_bp: int = 7000, timed: bool = False) -> DataFrame:
+@dataclass
+class Source:
+    """Rows that centroids are learnt on, with a fitting function of its own and a projection of rows and candidates."""
+
+    data: DataFrame
+    fit: Callable[[DataFrame], CentroidModel]
+    project: Callable[[DataFrame], DataFrame]
+    rounds: float  # passes over the rows that the fitting amounts to
+
+
+def cluster_sources(b: Bench, sources: dict[str, DataFrame | Source], k: int, iters: int, rho_bp: int = 7000, timed: bool = False) -> DataFrame:
     """source, rows, products (T * rows * K * d), n, classes, moment (and seconds)."""
     spark, parts, facts = b.cand.sparkSession, [], []
     for name, data in sources.items():
-        rows = data.count()
+        source = data if isinstance(data, Source) else Source(data, lambda rows: fit_centroids(rows, k, iters), lambda rows: rows, iters)
+        rows = source.data.count()
         with M.CostReport() as cost:
-            model = fit_centroids(data, k, iters)
-        facts.append((name, rows, rows * k * model.matrix.shape[1] * iters, cost.seconds))
-        parts.append(b.rows(two_stage(b, model, rho_bp, default_stage1_keep(rho_bp)), source=name))
+            model = source.fit(source.project(source.data))
+        facts.append((name, rows, round(rows * k * model.matrix.shape[1] * source.rounds), cost.seconds))
+        keep = default_stage1_keep(rho_bp)
+        survivors = b.scores if keep >= 10_000 else prune_top_fraction(b.scores, keep, b.n)
+        cand = b.cand.join(survivors.select("sample_id"), "sample_id", "left_semi")
+        parts.append(b.rows(two_stage(b, model, rho_bp, keep, assign_clusters(source.project(cand), model)), source=name))
     frame = spark.createDataFrame(facts, "source string, rows long, products long, seconds double")
     return _measured(_union(parts), b.test, ["source"]).join(frame if timed else frame.drop("seconds"), "source")
 

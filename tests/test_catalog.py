@@ -48,6 +48,15 @@ def test_curves_of_all_methods(spark, sf, duck):
     assert got == {(m, s): (n, plain(x)) for m, s, n, x in want}
 
 
+def test_six_cluster_sources(spark, sf, duck):
+    rows = {r.source: r for r in entry.queries()["wl_cluster_sources_timed"](spark, sf).collect()}
+    assert rows.keys() == {"full", "narrow", "broad", "three", "five", "pruned_reduced"}
+    assert len({r.n for r in rows.values()}) == 1 and all(r.seconds > 0 for r in rows.values())
+    assert 0 < rows["pruned_reduced"].rows < rows["full"].rows and rows["pruned_reduced"].products == rows["pruned_reduced"].rows * 10 * 8
+    want = duck.execute(f"SELECT source, n, rows, products, moment FROM ({entry.oracle_sql()['wl_cluster_sources']})").fetchall()
+    assert {(s, n, k, p, plain(round(m, 6))) for s, n, k, p, m in want} == {(r.source, r.n, r.rows, r.products, plain(round(r.moment, 6))) for s, r in rows.items() if s != "pruned_reduced"}
+
+
 def test_every_sql_has_a_query_and_entry_runs(spark):
     assert entry.oracle_sql().keys() <= entry.queries().keys()
     assert entry.entry(spark).count() > 0
