@@ -4,7 +4,10 @@ from __future__ import annotations
 
 import ctypes
 import tempfile
+import threading
 import uuid
+from collections.abc import Callable
+from functools import wraps
 
 import numpy as np
 import pyarrow as pa
@@ -17,6 +20,8 @@ except (AttributeError, OSError, TypeError):  # another C library
     _trim = None
 
 BROADCAST_ROWS = 2_000_000  # narrow rows (a few longs); beyond it joins shuffle
+HOT_KEYS = 20_000  # a key is hot when over 1/HOT_KEYS of all rows (and over HOT_ROWS) are its own, so fewer than HOT_KEYS are
+HOT_ROWS = 100
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -24,29 +29,61 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that the driver and all executors share: spark.checkpoint.dir, or one of our own where that is unset."""
+    """Folder that the driver and all executors share: spark.checkpoint.dir. In local mode one of our own where that is unset; on a cluster it must be set."""
     conf = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not conf:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         conf = getattr(shared_dir, "own", None)
         if conf is None:
             conf = shared_dir.own = "file://" + tempfile.mkdtemp(prefix="subsetlab-")
     return conf.rstrip("/")
 
 
-_made: list[str] = []
+_here = threading.local()
+
+
+def _made() -> list[str]:
+    """Folders that this thread made and nobody deleted yet."""
+    if not hasattr(_here, "made"):
+        _here.made = []
+    return _here.made
 
 
 def new_path(spark: SparkSession, name: str) -> str:
-    _made.append(f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:12]}")
-    return _made[-1]
+    _made().append(f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:12]}")
+    return _made()[-1]
 
 
-def cleanup(spark: SparkSession, keep: tuple[str, ...] = ()) -> None:
-    """Delete the folders that this driver made in the shared folder, but those in keep; results that still read them are lost."""
-    for path in [p for p in _made if p not in keep]:
+def cleanup(spark: SparkSession, keep: tuple[str, ...] = (), since: int = 0) -> None:
+    """Delete the folders that this thread made in the shared folder (from the since-th on), but those in keep; results that still read them are lost."""
+    for path in [p for p in _made()[since:] if p not in keep]:
         place = spark._jvm.org.apache.hadoop.fs.Path(path)
         place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
-        _made.remove(path)
+        _made().remove(path)
+
+
+def keep_read(spark: SparkSession, since: int, *results: DataFrame, folders: tuple[str, ...] = ()) -> None:
+    """Delete the folders made from the since-th on that neither the results read nor folders names."""
+    read = {part for r in results for file in r.inputFiles() for part in file.split("/")}
+    cleanup(spark, tuple(p for p in _made() if p in folders or p.rsplit("/", 1)[1] in read), since)
+
+
+def made_so_far() -> int:
+    return len(_made())
+
+
+def tidy(build: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
+    """Decorator of a function of (spark, ...): when it returns, the tables that it wrote on the way and its result does not read are deleted."""
+
+    @wraps(build)
+    def run(spark: SparkSession, *args, **kwargs) -> DataFrame:
+        since = made_so_far()
+        out = build(spark, *args, **kwargs)
+        keep_read(spark, since, out)
+        return out
+
+    return run
 
 
 def materialize(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
@@ -61,6 +98,25 @@ def small_side(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if df.count() <= limit else df
 
 
+def join_group(left: DataFrame, groups: DataFrame, key: str, weight: str, id_: str) -> DataFrame:
+    """left LEFT JOIN groups, which has a row for each key and in weight the number of left's rows of that key.
+
+    Hot keys are broadcast: there are fewer than HOT_KEYS of them, whatever the size of the tables. Their rows find their
+    group before the exchange and pass it under keys of their own, dealt by id_, so no task gets a hot key's rows.
+    Nulls of key stay unmatched and are dealt likewise. groups is read twice and should be a table.
+    """
+    values = [c for c in groups.columns if c != key]
+    total = groups.agg(F.coalesce(F.sum(weight), F.lit(0))).first()[0]
+    bound = max(HOT_ROWS, total // HOT_KEYS)
+    hot = groups.filter(F.col(weight) > bound).select(F.col(key).alias("_key"), F.struct(*values).alias("_hot"))
+    cold = groups.filter(F.col(weight) <= bound).select(F.col(key).cast("string").alias("_key"), F.struct(*values).alias("_cold"))
+    found = left.join(F.broadcast(hot), left[key] == hot["_key"], "left").drop("_key")
+    alone = F.concat(F.lit("#"), F.xxhash64(id_).cast("string"))  # no group has such a key
+    dealt = found.withColumn("_key", F.when(F.col("_hot").isNull() & F.col(key).isNotNull(), F.col(key).cast("string")).otherwise(alone))
+    both = dealt.join(cold.hint("merge"), "_key", "left").withColumn("_group", F.coalesce("_hot", "_cold"))
+    return both.select(*left.columns, *[F.col("_group")[v].alias(v) for v in values])
+
+
 def released(batches):
     """The batches; after each one, memory that Arrow and the C library hold unused goes back to the system."""
     for batch in batches:

@@ -3,7 +3,8 @@
 Rows with equal whole texts (null counts as empty) form a group. Three combining steps compare full content as the
 grouping key: inside each task before any exchange (partial aggregation), in salted digest groups, and over the salt
 winners of a digest. A hot group leaves a task as one row, a salt group as one row, so no task sees its members.
-Members then find their group by digest; should different texts ever share one, those members are matched by text.
+Members then find their group by digest, hot digests by a broadcast of bounded size; should different texts ever share
+one, those members are matched by text.
 """
 
 from __future__ import annotations
@@ -11,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, small_side, table
+from .common import join_group, materialize, small_side, table, tidy
 
 SALTS = 16
 
@@ -28,6 +29,7 @@ def content_groups(docs: DataFrame, salts: int = SALTS, digest=sha256_text) -> D
     return salted.groupBy("digest", "text").agg(F.max("id").alias("keep_id"), F.sum("n").alias("group_size"))
 
 
+@tidy
 def exact_dedup(spark: SparkSession, docs: DataFrame, salts: int = SALTS, digest=sha256_text) -> DataFrame:
     """One row per input row: doc_id, keep_id, group_size, kept, text_digest.
 
@@ -36,10 +38,10 @@ def exact_dedup(spark: SparkSession, docs: DataFrame, salts: int = SALTS, digest
     kept true. An empty table gives no rows; extra columns are ignored.
     """
     groups = content_groups(docs, salts, digest)
-    by_digest = groups.groupBy("digest").agg(F.count(F.lit(1)).alias("n_texts"), F.max("keep_id").alias("keep_id"), F.max("group_size").alias("group_size"))
+    by_digest = groups.groupBy("digest").agg(F.count(F.lit(1)).alias("n_texts"), F.max("keep_id").alias("keep_id"), F.sum("group_size").alias("group_size"))
     by_digest = materialize(spark, by_digest, "exact-groups")
     members = docs.select("doc_id", digest(F.coalesce("text", F.lit(""))).alias("digest"))
-    found = members.join(by_digest.filter("n_texts = 1"), "digest").select("doc_id", "keep_id", "group_size", "digest")
+    found = join_group(members, by_digest, "digest", "group_size", "doc_id").filter("n_texts = 1").select("doc_id", "keep_id", "group_size", "digest")
     shared = by_digest.filter("n_texts > 1").select("digest")
     if not shared.isEmpty():  # different texts under one digest: only those rows are matched by content
         inner = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("digest", digest(F.col("text")))
@@ -49,6 +51,7 @@ def exact_dedup(spark: SparkSession, docs: DataFrame, salts: int = SALTS, digest
     return found.select("doc_id", "keep_id", "group_size", kept.alias("kept"), F.col("digest").alias("text_digest"))
 
 
+@tidy
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, salts: int = SALTS) -> DataFrame:
     """docs without the rows whose text also stands in a row of larger doc_id; columns unchanged.
 

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import doc_blocks, materialize, released, table, text_buffer
-from .kernels import BYTE_VALUE_2, LOWER, SPACE, span_hashes
+from .kernels import LOWER, SECOND, SPACE, span_hashes
 from .mphf import LineIndex
 
 MIN_CHARS = 10
@@ -53,7 +53,7 @@ def line_keys(data: np.ndarray, offs: np.ndarray, min_chars: int) -> tuple[np.nd
     full, begin, stop = full[long], begin[long], stop[long]
     row = np.searchsorted(first, full, "right") - 1
     low = LOWER[data]
-    return row, full - first[row], span_hashes(low, begin, stop), span_hashes(low, begin, stop, BYTE_VALUE_2)
+    return row, full - first[row], span_hashes(low, begin, stop), span_hashes(low, begin, stop, SECOND)
 
 
 def _keys_of_batches(batches: Iterator[pa.RecordBatch], min_chars: int, distinct: bool) -> Iterator[pa.RecordBatch]:

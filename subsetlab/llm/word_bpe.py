@@ -13,7 +13,7 @@ from functools import cache
 import numpy as np
 import regex
 
-from .kernels import BYTE_VALUE_2, ranges, span_hashes, word_spans
+from .kernels import SECOND, ranges, span_hashes, word_spans
 
 _PLAIN = regex.compile("[^\t\n\x0b\x0c\r\x20-\x7e¡-ÿ]|<\\|")
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
@@ -141,7 +141,7 @@ class WordBpe:
         if len(starts):
             h = span_hashes(data, starts, ends)
             kinds, one, back = np.unique(h, return_index=True, return_inverse=True)
-            p = span_hashes(data, starts[one], ends[one], BYTE_VALUE_2)
+            p = span_hashes(data, starts[one], ends[one], SECOND)
             at, known = self._find(kinds, p)
             if not known.all():
                 if len(self.hashes) + np.count_nonzero(~known) > self.limit:  # learn all stretches of these texts anew

@@ -34,14 +34,38 @@ def test_exact(spark, weak):
 @given(st.sets(st.integers(0, 2**64 - 1), max_size=400))
 def test_perfect_hash(keys):
     keys = np.array(sorted(keys), np.uint64)
-    h = MinimalPerfectHash(keys)
-    assert sorted(h(keys).tolist()) == list(range(len(keys)))
+    h = MinimalPerfectHash(keys, keys)
+    assert sorted(h(keys, keys).tolist()) == list(range(len(keys)))
     index = LineIndex(keys, keys ^ np.uint64(9), np.full(len(keys), 70_000), np.arange(len(keys)))
     count, owner = index.probe(keys, keys ^ np.uint64(9))
     assert (count == 65535).all() and (owner == np.arange(len(keys))).all()
     assert not index.probe(keys, keys)[0].any()
 
 
+def test_keys_that_agree_in_one_hash():
+    keys, prints = np.repeat(np.arange(50, dtype=np.uint64), 4), np.tile(np.arange(4, dtype=np.uint64) << np.uint64(40), 50)
+    h = MinimalPerfectHash(keys, prints)
+    assert sorted(h(keys, prints).tolist()) == list(range(200))
+    index = LineIndex(keys, prints, np.arange(200), np.arange(200))
+    count, owner = index.probe(keys, prints)
+    assert count.tolist() == owner.tolist() == list(range(200))
+    assert not index.probe(keys, prints + np.uint64(1))[0].any()
+
+
+def alternating(n):
+    """A text of a and b whose two halves cancel out in polynomial hashes, and the text with both letters exchanged."""
+    a, b = "a", "b"
+    while len(a) < n:
+        a, b = a + b, b + a
+    return a, b
+
+
+def test_unique_lines_of_like_structure_stay(spark):
+    a, b = alternating(1024)
+    df = spark.createDataFrame([(1, a), (2, b), (3, a)], "doc_id long, text string")
+    assert {r.doc_id: r.n_dropped for r in line_dedup(spark, df).collect()} == {1: 0, 2: 0, 3: 1}
+
+
 def brute_lines(docs, least=10):
     key = lambda x: "".join(c.lower() if c.isascii() else c for c in re.sub(r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", "", x))
     first, holders = {}, {}
