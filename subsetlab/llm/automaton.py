@@ -24,6 +24,17 @@ class _Parser:
         self.empty.append([])
         return len(self.moves) - 1
 
+    def turn(self) -> None:
+        """Turn all moves round."""
+        moves, empty = [[] for _ in self.moves], [[] for _ in self.empty]
+        for a, here in enumerate(self.moves):
+            for bytes_, b in here:
+                moves[b].append((bytes_, a))
+        for a, here in enumerate(self.empty):
+            for b in here:
+                empty[b].append(a)
+        self.moves, self.empty = moves, empty
+
     def add(self, pattern: str) -> tuple[int, int]:
         self.p, self.i = pattern, 0
         out = self._alternatives()
@@ -146,17 +157,19 @@ class Automaton:
     """Minimal deterministic automaton of several rules. table[state * n_classes + class] is the next state times n_classes.
 
     labels[k] is the bit set of rules that accept in state k; accepting states have the largest numbers. State 0 is the start;
-    with search=True every rule may begin anywhere. In an anchored automaton ``dead`` is the state without return, or -1.
+    with search=True every rule may begin anywhere. backward=True compiles the rules' mirror images, for a pass from a
+    text's end to its start. In an anchored automaton ``dead`` is the state without return, or -1.
     """
 
-    def __init__(self, patterns: list[str], search: bool):
+    def __init__(self, patterns: list[str], search: bool, backward: bool = False):
         nfa = _Parser()
-        ends: dict[int, int] = {}
+        spans = [nfa.add(p) for p in patterns]
+        if backward:
+            nfa.turn()
+            spans = [(e, s) for s, e in spans]
         start = nfa.state()
-        for k, p in enumerate(patterns):
-            s, e = nfa.add(p)
-            nfa.empty[start].append(s)
-            ends[e] = 1 << k
+        nfa.empty[start] = [s for s, _ in spans]
+        ends = {e: 1 << k for k, (_, e) in enumerate(spans)}
         signature = np.zeros(256, object)
         for at, b in enumerate({b for m in nfa.moves for b, _ in m}):
             for x in b:
@@ -209,41 +222,38 @@ class Automaton:
         stay = (self.table.reshape(-1, n) == (np.arange(self.n_states) * n)[:, None]).all(axis=1) & (self.labels == 0)
         self.dead = int(np.flatnonzero(stay)[0]) if stay.any() and not search else -1
         self.as_list = self.table.tolist()
-        go = self.table.reshape(-1, n)[self.start] != self.dead * n
-        self.openers = go[self.classes]
+        self.label_list = self.labels.tolist()
 
-    def scan_rows(self, data: np.ndarray, offs: np.ndarray, lanes: int = 64) -> np.ndarray:
-        """Bit set of the rules that accept anywhere in each row: one pass over every byte, rows side by side."""
+    def mark_backward(self, data: np.ndarray, offs: np.ndarray, lanes: int = 64) -> np.ndarray:
+        """Bit set, for each byte, of the rules that begin there: one pass over every byte, rows side by side from their ends."""
+        marks = np.zeros(len(data), np.uint16)
         size = np.diff(offs)
-        found = np.zeros(len(size), np.int64)
         order = np.argsort(-size, kind="stable")
-        at, left = offs[:-1][order], size[order]
-        cls, n, limit = self.classes[data], self.n_classes, self.first_accepting * self.n_classes
+        at, left = offs[1:][order] - 1, size[order]
+        cls, n, labels = self.classes[data], self.n_classes, self.labels.astype(np.uint16)
         state = np.full(len(order), self.start * n, np.int32)
-        hits = np.zeros(len(order), np.int64)
         k, p = int(np.count_nonzero(left)), 0
         ascending = left[::-1]
         while k > lanes:
             until = int(left[k - 1])
             for p in range(p, until):
-                s = self.table[state[:k] + cls[at[:k] + p]]
+                here = at[:k] - p
+                s = self.table[state[:k] + cls[here]]
                 state[:k] = s
-                m = s >= limit
-                if m.any():
-                    w = np.flatnonzero(m)
-                    hits[w] |= self.labels[s[w] // n]
+                marks[here] = labels[s // n]
             p = until
             k = len(left) - int(np.searchsorted(ascending, p, "right"))
-        table, labels = self.as_list, self.labels.tolist()
+        table, bits, limit = self.as_list, self.label_list, self.first_accepting * n
         for row in range(k):
-            s, f = int(state[row]), 0
-            for c in cls[at[row] + p : at[row] + left[row]].tobytes():
+            s, end = int(state[row]), int(at[row]) - p
+            begin = end - (int(left[row]) - p)
+            found = np.zeros(end - begin, np.uint16)
+            for i, c in enumerate(cls[begin + 1 : end + 1][::-1].tobytes()):
                 s = table[s + c]
                 if s >= limit:
-                    f |= labels[s // n]
-            hits[row] |= f
-        found[order] = hits
-        return found
+                    found[i] = bits[s // n]
+            marks[begin + 1 : end + 1] = found[::-1]
+        return marks
 
     def longest(self, raw: bytes, begin: int) -> tuple[int, int]:
         """End and label of the longest accepted stretch from begin, or (-1, 0)."""
@@ -255,4 +265,4 @@ class Automaton:
                 break
             if s >= limit:
                 end, label = i + 1, s
-        return end, int(self.labels[label // n]) if end >= 0 else 0
+        return end, self.label_list[label // n] if end >= 0 else 0

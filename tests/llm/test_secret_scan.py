@@ -1,5 +1,6 @@
 import hashlib
 import re
+import time
 
 import numpy as np
 from hypothesis import given, settings
@@ -49,6 +50,41 @@ def test_more_rules():
     assert kinds == ["private_key", "code_host", "cloud_key"]
 
 
+def test_time_is_linear_in_one_text():
+    def seconds(n):
+        start = time.process_time()
+        assert scan(["eyJ" * n, "eyJa." * n, "-----BEGIN " * n, "token:" * n], RULES) == [[]] * 4
+        return time.process_time() - start
+
+    seconds(1000)
+    assert seconds(80_000) < 16 * max(seconds(20_000), 0.05)  # a quadratic scan takes hours here
+    token = "eyJ" + "a" * 9 + ".eyJ" + "b" * 9 + "." + "c" * 9
+    assert scan(["eyJ." * 50 + token], RULES) == [[(200, 7, 200 + len(token))]]
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.lists(st.sampled_from(["a", "b", "ab", "c", "x"]), max_size=12).map("".join))
+def test_marks_are_all_begins(text):
+    patterns = ["a(b|c)+", "ab{2,3}c*", "[^a]b?x"]
+    auto = Automaton(patterns, search=True, backward=True)
+    raw = np.frombuffer(text.encode(), np.uint8)
+    for lanes in (0, 64):
+        marks = auto.mark_backward(raw, np.array([0, len(raw)]), lanes)
+        assert marks.tolist() == [sum(1 << k for k, p in enumerate(patterns) if re.compile(p).match(text, i)) for i in range(len(text))]
+
+
+def test_edge_rows_of_a_table(spark):
+    from subsetlab.llm.secret_scan import secret_scan
+
+    long = "word " * 300_000 + "token=abcdefgh1"
+    rows = [(1, None, "x", 5), (2, "", "x", 5), (3, "token=abcdefgh", "x", 5), (3, "token=abcdefgh", "x", 5), (None, "AKIA" + "A" * 12, "x", 5), (4, long, "x", 5)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, spans string, kind int")
+    got = sorted(((r.doc_id or -1, [tuple(s) for s in r.spans]) for r in secret_scan(df).collect()), key=repr)
+    assert got == sorted([(1, []), (2, []), (3, [("assign", 0, 14)]), (3, [("assign", 0, 14)]), (-1, [("access", 0, 16)]), (4, [("assign", 1_500_000, 1_500_015)])], key=repr)
+    empty = secret_scan(df.limit(0))
+    assert empty.columns == ["doc_id", "spans"] and empty.count() == 0
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.text(alphabet="abc", max_size=12))
 def test_automaton_against_re(text):
