@@ -20,12 +20,14 @@ from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, new_path, released, small_side, table
+from .common import join_group, keep_read, made_so_far, materialize, new_path, released, table
 
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 DATE = "2024-01-01T00:00:00Z"
 FILE_BYTES = 64 << 20  # uncompressed bytes of an archive before the next one begins
-SPLIT_BYTES = 8 << 20  # compressed bytes that one read group takes
+SPLIT_BYTES = 1 << 20  # compressed bytes that are read in one go
+TASK_BYTES = 8 << 20  # compressed bytes of a reading task
+ANSWER_ROWS = 200_000  # shared payloads whose digests and pages are broadcast at most
 CHUNK = 1 << 18
 
 
@@ -62,10 +64,10 @@ def _page_of(urn: str) -> int | None:
 
 
 def decide(pages: DataFrame, at_least: int = 0) -> DataFrame:
-    """digest, answer: payloads of at least at_least bytes that stand in several pages, with the largest page_id."""
+    """digest, answer, n: payloads of at least at_least bytes that stand in several pages, with the largest page_id and the number of pages."""
     payload = F.coalesce("html", F.lit(""))
     rows = pages.filter(F.octet_length(payload) >= at_least).select("page_id", F.sha2(payload, 256).alias("digest"))
-    return rows.groupBy("digest").agg(F.max("page_id").alias("answer"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
+    return rows.groupBy("digest").agg(F.max("page_id").alias("answer"), F.count(F.lit(1)).alias("n")).filter("n > 1")
 
 
 def write_archives(spark: SparkSession, pages: DataFrame, folder: str, at_least: int = 0, level: int = 6) -> DataFrame:
@@ -73,7 +75,10 @@ def write_archives(spark: SparkSession, pages: DataFrame, folder: str, at_least:
     answers = materialize(spark, decide(pages, at_least), "answers")
     payload = F.coalesce("html", F.lit(""))
     rows = pages.select("page_id", "url", payload.alias("html"), F.when(F.octet_length(payload) >= at_least, F.sha2(payload, 256)).alias("digest"))
-    rows = rows.join(small_side(answers), "digest", "left")
+    if answers.count() <= ANSWER_ROWS:
+        rows = rows.join(F.broadcast(answers), "digest", "left")
+    else:
+        rows = join_group(rows, answers, "digest", "n", "page_id")
     revisit = F.when(~F.col("page_id").eqNullSafe(F.col("answer")), F.col("answer"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -231,8 +236,11 @@ def read_records(index: DataFrame, folder: str, payloads: bool = False) -> DataF
         if source:
             source.close()
 
-    group = (F.col("offset") / SPLIT_BYTES).cast("long")
-    rows = index.select("archive", "offset", "length").repartition("archive", group).sortWithinPartitions("archive", "offset")
+    # The number of tasks follows from the bytes to read: by the index's own few bytes Spark would merge them into one.
+    size = index.agg(F.coalesce(F.sum("length"), F.lit(0))).first()[0]
+    tasks = max(index.sparkSession.sparkContext.defaultParallelism, -(-size // TASK_BYTES))
+    group = F.floor(F.col("offset") / SPLIT_BYTES)
+    rows = index.select("archive", "offset", "length").repartition(tasks, "archive", group).sortWithinPartitions("archive", "offset")
     return rows.mapInArrow(run, "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long" + ", payload binary" * payloads)
 
 
@@ -241,14 +249,19 @@ def archive_round_trip(spark: SparkSession, pages: DataFrame, folder: str | None
 
     Null html is an empty payload. Of equal payloads of at least at_least bytes the largest page_id is the response and
     the others revisit it; rows that repeat that page_id with that payload are responses too. A null page_id is written
-    without number and revisits if it can. Null urls are left out of the header. An empty table gives no rows.
+    without number and revisits if it can. Null urls are left out of the header. An empty table gives no rows. The
+    normalised archives and their indexes stay in folder; the whole-file ones are deleted.
     """
-    folder = folder or new_path(spark, "warc")
+    since = made_so_far()
+    folder, whole = folder or new_path(spark, "warc"), new_path(spark, "warc-whole")
     _make(folder)
+    _make(whole)
     pages = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html")
-    files = write_archives(spark, pages, folder, at_least)
-    n = max(1, files.count())
-    return read_records(normalise(spark, files.repartition(n), folder), folder, payloads)
+    files = write_archives(spark, pages, whole, at_least)
+    index = normalise(spark, files.repartition(max(1, files.count())), folder)
+    out = read_records(index, folder, payloads)
+    keep_read(spark, since, out, folders=(folder,))
+    return out
 
 
 def _make(folder: str) -> None:
