@@ -3,8 +3,9 @@
 Leaves pack their own pieces, longest first, each into the open bin with the least room that still fits. Bins without
 useful room are final. The others go up a tree of merge nodes, where they are items themselves and are packed best-fit
 again. Two bins can share a sequence only if one of them is at most half full, and best-fit leaves at most one such bin
-in a node. So a node passes up its half-empty bin and, of the rest, the roomiest as hosts for the half-empty bins that
-may come from elsewhere: as many as there are leaves, which is all that could ever be used. That bounds every node.
+in a node. So a merge node sees at most FAN_IN half-empty bins and needs no more than FAN_IN hosts for them. A node
+passes up its half-empty bin and, of the rest, the FAN_IN roomiest for each level above it, which is all that could
+ever be used there: a merge node holds some FAN_IN * FAN_IN * levels bins at most, whatever the number of pieces.
 """
 
 from __future__ import annotations
@@ -19,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from .common import materialize, released, small_side, table
+from .common import materialize, released, small_side, table, tidy
 from .word_bpe import word_bpe
 
 CAPACITY = 2048
@@ -54,10 +55,15 @@ def best_fit(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray,
     return bins, offset, np.array(fill, np.int64)
 
 
-def _passed_up(fill: np.ndarray, capacity: int, leaves: int, slack: int) -> np.ndarray:
-    """Which bins go to the next node."""
+def _levels(nodes: int) -> int:
+    """Merge levels above so many nodes."""
+    return 0 if nodes <= 1 else 1 + _levels(-(-nodes // FAN_IN))
+
+
+def _passed_up(fill: np.ndarray, capacity: int, levels: int, slack: int) -> np.ndarray:
+    """Which bins go to the next node, with so many merge levels above."""
     rest = np.flatnonzero((fill > capacity // 2) & (fill < capacity - slack))
-    rest = rest[np.argsort(fill[rest], kind="stable")[:leaves]]
+    rest = rest[np.argsort(fill[rest], kind="stable")[: FAN_IN * levels]]
     up = fill <= capacity // 2
     up[rest] = True
     return up
@@ -80,7 +86,7 @@ def pack(spark: SparkSession, pieces: DataFrame, capacity: int = CAPACITY, size:
     def leaf(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values([c for c in rows.columns if c != "_node"], kind="stable", ignore_index=True)
         bins, offset, fill = best_fit(rows[size].to_numpy(np.int64), capacity)
-        up = _passed_up(fill, capacity, leaves, slack) if leaves > 1 else np.zeros(len(fill), bool)
+        up = _passed_up(fill, capacity, _levels(leaves), slack) if leaves > 1 else np.zeros(len(fill), bool)
         return rows.assign(_bin=(key[0] << 32) + bins, offset=offset, _fill=fill[bins], _up=up[bins])
 
     node = F.pmod(F.xxhash64(*pieces.columns), F.lit(leaves)).alias("_node")
@@ -92,16 +98,19 @@ def pack(spark: SparkSession, pieces: DataFrame, capacity: int = CAPACITY, size:
     bins = packed.filter("_up AND offset = 0").select(F.col("_bin").alias("bin"), F.col("_node").alias("node"), F.col("_fill").alias("fill"))
     moved, nodes = None, leaves
 
-    def merge(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values(["fill", "bin"], ascending=[False, True], ignore_index=True)
-        at, shift, fill = best_fit(rows["fill"].to_numpy(np.int64), capacity)
-        host = rows["bin"].to_numpy()[np.unique(at, return_index=True)[1]]
-        up = _passed_up(fill, capacity, leaves, slack)
-        return pd.DataFrame({"bin": rows["bin"], "root": host[at], "shift": shift, "node": rows["node"] // FAN_IN, "fill": fill[at], "up": up[at]})
+    def merger(levels: int):
+        def merge(rows: pd.DataFrame) -> pd.DataFrame:
+            rows = rows.sort_values(["fill", "bin"], ascending=[False, True], ignore_index=True)
+            at, shift, fill = best_fit(rows["fill"].to_numpy(np.int64), capacity)
+            host = rows["bin"].to_numpy()[np.unique(at, return_index=True)[1]]
+            up = _passed_up(fill, capacity, levels, slack)
+            return pd.DataFrame({"bin": rows["bin"], "root": host[at], "shift": shift, "node": rows["node"] // FAN_IN, "fill": fill[at], "up": up[at]})
+
+        return merge
 
     while nodes > 1:
         nodes = -(-nodes // FAN_IN)
-        step = bins.groupBy((F.col("node") / FAN_IN).cast("long").alias("parent")).applyInPandas(merge, "bin long, root long, shift long, node long, fill long, up boolean")
+        step = bins.groupBy((F.col("node") / FAN_IN).cast("long").alias("parent")).applyInPandas(merger(_levels(nodes)), "bin long, root long, shift long, node long, fill long, up boolean")
         step = materialize(spark, step, "merged")
         here = step.select("bin", "root", "shift")
         if moved is None:
@@ -151,6 +160,7 @@ def tokenized_pieces(docs: DataFrame, capacity: int = CAPACITY, tokenizer: str |
     return docs.select("doc_id", "text").mapInArrow(run, out)
 
 
+@tidy
 def pack_documents(spark: SparkSession, docs: DataFrame, capacity: int = CAPACITY, tokenizer: str | None = None) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
     return pack(spark, materialize(spark, tokenized_pieces(docs, capacity, tokenizer), "pieces"), capacity)
