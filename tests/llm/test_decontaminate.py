@@ -4,7 +4,7 @@ from collections import Counter
 import numpy as np
 import pytest
 
-from subsetlab.llm.decontaminate import RADIUS, BenchmarkIndex, HammingIndex, contaminated, drop_contaminated, op7_simhash_decontamination
+from subsetlab.llm.decontaminate import RADIUS, BenchmarkIndex, HammingIndex, contaminated, drop_contaminated, op7_simhash_decontamination, scan_batch
 
 
 def grams(text, k=5):
@@ -74,6 +74,24 @@ def test_near_copies_and_edge_cases(spark):
     assert contaminated(spark, df.limit(0), bench).count() == contaminated(spark, df, bench.limit(0)).count() == 0
 
 
+def test_repeated_shingles_weigh_like_others(spark):
+    words = [f"w{i}" for i in range(124)]
+    items = [(1, " ".join(words + ["r"] * 14)), (2, " ".join(["n"] * 90)), (3, " ".join(["m", "k"] * 30))]
+    docs = [(1, " ".join(words + ["q"] * 14)), (2, " ".join(["z"] * 9 + ["n"] * 85)), (3, " ".join(["n"] * 60)), (4, " ".join(["k", "m"] * 500)), (5, " ".join(words[:90] + ["q"] * 40))]
+    got = {(r.doc_id, r.item_id): (r.similarity, r.start_word) for r in contaminated(spark, spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    assert got == brute(docs, items) and {(1, 1), (2, 2), (4, 3)} <= got.keys()
+
+
+def test_recall_at_the_threshold():
+    texts = [" ".join(f"i{k}w{i}" for i in range(100)) for k in range(1500)]
+    index = BenchmarkIndex(list(range(len(texts))), texts)
+    near = [t.rsplit(" ", 10)[0] + " " + " ".join(f"x{k}y{i}" for i in range(10)) for k, t in enumerate(texts)]  # similarity 86 / 106
+    raw = [t.encode() for t in near]
+    offs = np.concatenate(([0], np.cumsum([len(r) for r in raw]))).astype(np.int64)
+    rows = scan_batch(index, list(range(len(near))), np.frombuffer(b"".join(raw), np.uint8), offs, 0.8)
+    assert {r[:2] for r in rows} == {(k, k) for k in range(len(texts))}
+
+
 def test_index_of_long_items():
     index = BenchmarkIndex([1], [" ".join(f"v{i % 700}" for i in range(2000))])
     assert index.similarity(np.repeat(index.items[0][0], index.items[0][1]), 0) == 1.0
