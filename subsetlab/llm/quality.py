@@ -20,6 +20,7 @@ from .kernels import LOWER, SPACE, span_hashes, word_spans
 from .line_dedup import line_spans
 
 TRAIN_ROWS = 1500  # labelled documents of each label that training takes at most
+TRAIN_LINES = 512  # labelled documents of more lines take no part in training, so 2 * TRAIN_ROWS * TRAIN_LINES lines of 212 bytes bound what it gathers
 THRESHOLD = 0.3
 FOLDS = 5
 
@@ -104,29 +105,33 @@ class LineField:
         s = ahead + back
         return 1 / (1 + np.exp(np.clip(s[:, 0] - s[:, 1], -60, 60)))
 
-    def fit(self, x: np.ndarray, first: np.ndarray, label: np.ndarray, weight: np.ndarray, steps: int = 100, rate: float = 0.2, penalty: float = 1e-3) -> LineField:
-        """label and weight are a row's; gradient ascent with adaptive moments."""
-        rows = np.repeat(np.arange(len(label)), np.diff(first))
-        y, v = label[rows].astype(float), weight[rows]
-        x = x.astype(np.float64)
-        scale = v.sum()
-        inner = np.ones(len(rows), bool)
+    def objective(self, theta: np.ndarray, x: np.ndarray, first: np.ndarray, y: np.ndarray, v: np.ndarray, penalty: float) -> tuple[float, np.ndarray]:
+        """Penalised mean log-likelihood of the lines' labels y under line weights v (equal within a row), and its gradient; sets the weights to theta."""
+        self.w, self.moves = theta[:N_FEATURES], theta[N_FEATURES:].reshape(2, 2)
+        inner = np.ones(len(y), bool)
         inner[first[:-1]] = False
         second = np.flatnonzero(inner)
         seen = np.zeros((2, 2))
-        np.add.at(seen, (label[rows[second]], label[rows[second]]), v[second])
+        np.add.at(seen, (y[second - 1], y[second]), v[second])
+        local, ahead, back = self._sweep(x @ self.w, first)
+        s = ahead + back
+        total = np.logaddexp(s[:, 0], s[:, 1])  # a row's log-partition, at each of its lines
+        good = np.exp(s[:, 1] - total)
+        grad = np.empty_like(theta)
+        grad[:N_FEATURES] = x.T @ (v * (y - good))
+        pair = ahead[second - 1][:, :, None] + self.moves + (local[second] + back[second])[:, None, :] - total[second][:, None, None]
+        grad[N_FEATURES:] = (seen - (np.exp(pair) * v[second][:, None, None]).sum(axis=0)).ravel()
+        value = v @ local[np.arange(len(y)), y] + (seen * self.moves).sum() - v[first[:-1]] @ total[first[:-1]]
+        scale = v.sum()
+        return value / scale - penalty * theta @ theta / 2, grad / scale - penalty * theta
+
+    def fit(self, x: np.ndarray, first: np.ndarray, label: np.ndarray, weight: np.ndarray, steps: int = 100, rate: float = 0.2, penalty: float = 1e-3) -> LineField:
+        """label and weight are a row's; gradient ascent with adaptive moments."""
+        rows = np.repeat(np.arange(len(label)), np.diff(first))
+        y, v, x = label[rows], weight[rows], x.astype(np.float64)
         theta, m1, m2 = np.zeros(N_FEATURES + 4), 0.0, 0.0
         for step in range(1, steps + 1):
-            self.w, self.moves = theta[:N_FEATURES], theta[N_FEATURES:].reshape(2, 2)
-            local, ahead, back = self._sweep(x @ self.w, first)
-            s = ahead + back
-            total = np.logaddexp(s[:, 0], s[:, 1])
-            good = np.exp(s[:, 1] - total)
-            grad = np.empty_like(theta)
-            grad[:N_FEATURES] = x.T @ (v * (y - good))
-            pair = ahead[second - 1][:, :, None] + self.moves + (local[second] + back[second])[:, None, :] - total[second][:, None, None]
-            grad[N_FEATURES:] = (seen - (np.exp(pair) * v[second][:, None, None]).sum(axis=0)).ravel()
-            grad = grad / scale - penalty * theta
+            _, grad = self.objective(theta, x, first, y, v, penalty)
             m1, m2 = 0.9 * m1 + 0.1 * grad, 0.99 * m2 + 0.01 * grad**2
             theta = theta + rate * (m1 / (1 - 0.9**step)) / (np.sqrt(m2 / (1 - 0.99**step)) + 1e-8)
         self.w, self.moves = theta[:N_FEATURES], theta[N_FEATURES:].reshape(2, 2)
@@ -151,8 +156,8 @@ def held_out(doc_id) -> F.Column:
     return F.crc32(doc_id.cast("string").cast("binary")) % FOLDS == 0
 
 
-def train(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) -> LineField:
-    """Fit on at most rows labelled documents of each label, chosen by hash, none of the held-out fold.
+def train(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS, lines: int = TRAIN_LINES) -> LineField:
+    """Fit on at most rows labelled documents of each label, chosen by hash, none of the held-out fold, none of over lines lines.
 
     Rows without label or id are left out. Without both labels the field stays flat and scores every line 0.5.
     """
@@ -167,7 +172,8 @@ def train(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) -> LineFie
         for batch in released(batches):
             x, _, first = line_features(*text_buffer(batch.column(1)))
             lists = [x[a:b].tobytes() for a, b in zip(first[:-1], first[1:], strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(lists, pa.binary())], ["doc_id", "quality", "x"])
+            all_ = pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(lists, pa.binary())], ["doc_id", "quality", "x"])
+            yield all_.filter(pa.array(np.diff(first) <= lines))
 
     got = sample.mapInArrow(run, "doc_id long, quality int, x binary").toArrow().sort_by([("doc_id", "ascending"), ("x", "ascending")])
     label = got.column("quality").to_numpy().astype(np.int64)
