@@ -2,7 +2,9 @@
 
 A pair-merge tokenizer encodes a prefix as the encoding of a shorter prefix and one last piece. Piece t may end a prefix
 exactly when the piece before it and t stay apart if encoded together. So one pass from left to right finds, for every
-prefix, its last piece and its count, and truncation or budget questions are look-ups. Pieces never cross the stretches
+prefix, its last piece and its count, and truncation or budget questions are look-ups. An automaton of all pieces names
+those that end at a position, longest first; whether two stay apart is read off the merges along their touching edges,
+in the order in which the tokenizer makes them. Pieces never cross the stretches
 ``blanks + ink`` or a line feed, so the table of a stretch is built once and reused (bounded memory), and a text's
 prefix counts are the running sums over its stretches.
 """
@@ -12,9 +14,11 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 from functools import cache
+from math import inf
 
 import numpy as np
 import pyarrow as pa
+from ahocorasick import Automaton
 from pyspark.sql import DataFrame, SparkSession
 
 from .common import released, table
@@ -22,6 +26,7 @@ from .common import released, table
 BLANK = "▁"
 _STRETCH = re.compile(rf"{BLANK}*[^{BLANK}\n]+|{BLANK}+|\n")
 CACHE_ENTRIES = 500_000  # stretches, and as many piece pairs, per worker
+CACHE_CHARS = 64  # longer stretches are counted anew each time, so the entries' bytes are bounded too
 
 
 class PrefixCounter:
@@ -40,7 +45,11 @@ class PrefixCounter:
         self.score = {p.piece: p.score for p in model.pieces if p.type == 1}
         if any((BLANK in p.strip(BLANK)) or p.endswith(BLANK) and p.strip(BLANK) or "\n" in p for p in self.score):
             raise ValueError("pieces cross blanks or line feeds")
-        self.longest = max(map(len, self.score))
+        self.edges: dict[str, tuple[list, list]] = {}
+        self.pieces = Automaton()
+        for piece in self.score:
+            self.pieces.add_word(piece, piece)
+        self.pieces.make_automaton()
         self.apart: dict[tuple[str, str], bool] = {}
         self.totals: dict[str, int] = {}
         self.limit = cache_entries
@@ -58,37 +67,90 @@ class PrefixCounter:
                 return parts
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
 
+    def _edges(self, piece: str) -> tuple[list, list]:
+        """(part, score) of the parts that grow along a piece's left and right edge until it is whole, in the order of merging."""
+        known = self.edges.get(piece)
+        if known is None:
+            parts, score, left, right = list(piece), self.score, [(piece[0], 0.0)], [(piece[-1], 0.0)]
+            while len(parts) > 1:
+                ranked = [(score.get(a + b, -inf), -i) for i, (a, b) in enumerate(zip(parts, parts[1:], strict=False))]
+                best, at = max(ranked)
+                if best == -inf:
+                    raise ValueError(f"no merges lead to the piece {piece!r}")
+                at = -at
+                parts[at : at + 2] = [parts[at] + parts[at + 1]]
+                if at == 0:
+                    left.append((parts[0], best))
+                if at == len(parts) - 1:
+                    right.append((parts[-1], best))
+            if any(x[1] < y[1] for edge in (left, right) for x, y in zip(edge[1:], edge[2:], strict=False)):
+                raise ValueError(f"the merges of {piece!r} are out of order")
+            known = self.edges[piece] = (left, right)
+        return known
+
     def _stay_apart(self, left: str, right: str) -> bool:
+        """Whether left and right, written together, are encoded as these two pieces: no merge across their border comes first."""
         key = (left, right)
         known = self.apart.get(key)
         if known is None:
             if len(self.apart) >= self.limit:
                 self.apart.clear()
-            known = self.apart[key] = self.merged(left + right) == [left, right]
+            known = self.apart[key] = self._no_merge_across(left, right)
         return known
 
+    def _no_merge_across(self, left: str, right: str) -> bool:
+        if len(left) > 1 and left not in self.score or len(right) > 1 and right not in self.score:
+            return self.merged(left + right) == [left, right]
+        ends, begins, score = self._edges(left)[1], self._edges(right)[0], self.score
+        i = j = 0
+        while True:
+            across = score.get(ends[i][0] + begins[j][0], -inf)
+            before = ends[i + 1][1] if i + 1 < len(ends) else -inf
+            after = begins[j + 1][1] if j + 1 < len(begins) else -inf
+            if across > before and across >= after:  # of equal scores the leftmost is merged
+                return False
+            if before == after == -inf:
+                return True
+            if before >= after:
+                i += 1
+            else:
+                j += 1
+
     def prefixes(self, stretch: str) -> list[int]:
         """Token count of every prefix of a stretch, from the empty one on."""
-        score, longest, apart = self.score, self.longest, self._stay_apart
+        apart, known, score = self._stay_apart, self.apart, self.score
         counts, last = [0], [""]
-        for end in range(1, len(stretch) + 1):
-            for begin in range(max(0, end - longest), end):
-                piece = stretch[begin:end]
-                if (piece in score or begin == end - 1) and (begin == 0 or apart(last[begin], piece)):
-                    cost = 1 if piece in score else len(piece.encode())
-                    counts.append(counts[begin] + cost)
-                    last.append(piece)
-                    break
-            else:
-                raise AssertionError(f"no last piece for {stretch[:end]!r}")
+
+        def unknown_up_to(end: int) -> None:
+            for c in stretch[len(counts) - 1 : end]:  # characters outside the pieces, written as their bytes
+                if c in score:
+                    raise AssertionError(f"no last piece for {stretch[: len(counts)]!r}")
+                counts.append(counts[-1] + len(c.encode()))
+                last.append(c)
+
+        for at, piece in self.pieces.iter(stretch):
+            if at + 1 < len(counts):
+                continue  # a longer piece ends here
+            if at >= len(counts):
+                unknown_up_to(at)
+            begin = at + 1 - len(piece)
+            if begin:
+                fits = known.get((last[begin], piece))
+                if not (apart(last[begin], piece) if fits is None else fits):
+                    continue
+            counts.append(counts[begin] + 1)
+            last.append(piece)
+        unknown_up_to(len(stretch))
         return counts
 
     def total(self, stretch: str) -> int:
         known = self.totals.get(stretch)
         if known is None:
-            if len(self.totals) >= self.limit:
-                self.totals.clear()
-            known = self.totals[stretch] = self.prefixes(stretch)[-1]
+            known = self.prefixes(stretch)[-1]
+            if len(stretch) <= CACHE_CHARS:
+                if len(self.totals) >= self.limit:
+                    self.totals.clear()
+                self.totals[stretch] = known
         return known
 
     def stretches(self, text: str) -> list[str]:

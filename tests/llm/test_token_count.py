@@ -1,3 +1,5 @@
+import random
+
 import public_tokenizers
 import pytest
 import sentencepiece
@@ -23,6 +25,24 @@ def test_every_prefix_equals_the_library(both, text):
     assert own.count(text) == counts[-1]
 
 
+def test_pieces_stay_apart_exactly_when_merging_leaves_them(both):
+    own, rng = both[0], random.Random(3)
+    pieces = sorted(own.score)
+    pairs = [(rng.choice(pieces), rng.choice(pieces)) for _ in range(4000)]
+    cut = [(p[:i], p[i:]) for p in rng.sample(pieces, 2000) for i in range(1, len(p)) if p[:i] in own.score and p[i:] in own.score]
+    pairs += cut + [("a", "aa"), ("aa", "a"), ("aa", "aa"), ("é", "漢"), ("漢", "字")]
+    seen = {own._no_merge_across(a, b) for a, b in pairs if a in own.score and b in own.score}
+    assert seen == {True, False}
+    assert all(own._no_merge_across(a, b) == (own.merged(a + b) == [a, b]) for a, b in pairs)
+
+
+def test_very_long_texts(both):
+    own, library = both
+    for text in ("ab" * 60_000, "word " * 40_000, "\n" * 30_000, "漢" * 20_000 + "𐍈" * 20_000):
+        assert own.count(text) == len(library.encode(text))
+    assert all(len(k) <= 64 for k in own.totals)
+
+
 def test_budget(both):
     own, library = both
     text = "the quick brown fox jumps over the lazy dog\n" * 3
