@@ -18,28 +18,13 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import table
+from .license_texts import TEMPLATES
 
 WORDS = 5
 CONTAINMENT = 0.8
 BANDS = 16
 
-#: Names and notices of public licenses.
-TEMPLATES = (
-    ("MIT", "Released under the MIT License."),
-    ("MIT", "This project is licensed under the terms of the MIT license."),
-    ("MIT", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction"),
-    ("Apache-2.0", "Licensed under the Apache License, Version 2.0."),
-    ("Apache-2.0", "Licensed under the Apache License, Version 2.0 (the \"License\"); you may not use this file except in compliance with the License. You may obtain a copy of the License at"),
-    ("GPL-3.0", "This work is licensed under the GNU General Public License, version 3."),
-    ("GPL-2.0", "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version."),
-    ("GPL-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version."),
-    ("BSD-3-Clause", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"),
-    ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
-    ("CC-BY-NC-4.0", "Licensed under CC BY-NC 4.0."),
-    ("CC-BY-4.0", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
-    ("CC-BY-SA-4.0", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
-    ("Unlicense", "This is free and unencumbered software released into the public domain."),
-)
+TEMPLATE_ROWS, TEMPLATE_BYTES = 500, 4 << 20  # a table of templates may have so many rows and bytes
 
 
 def words_of(text: str) -> list[str]:
@@ -87,12 +72,25 @@ def template_table(spark: SparkSession, templates=TEMPLATES) -> DataFrame:
     return spark.range(1, numPartitions=1).select(F.explode(F.array(*rows)).alias("t")).select("t.*")
 
 
+def templates_of(templates) -> tuple[tuple[str, str], ...]:
+    """(license_id, text) pairs from such pairs or from a table with these columns, whose size is checked; rows without either are left out."""
+    if not isinstance(templates, DataFrame):
+        return tuple(templates)
+    rows = templates.select("license_id", "text").filter("license_id IS NOT NULL AND text IS NOT NULL")
+    n, size = rows.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    if n > TEMPLATE_ROWS or size > TEMPLATE_BYTES:
+        raise ValueError(f"{n} templates of {size} bytes; at most {TEMPLATE_ROWS} of {TEMPLATE_BYTES} are meant")
+    return tuple(sorted(tuple(r) for r in rows.collect()))
+
+
 def license_scan(spark: SparkSession, docs: DataFrame, templates=TEMPLATES, containment: float = CONTAINMENT) -> DataFrame:
     """doc_id, license_id, containment, start_word: licenses whose template's shingles stand in the text to containment or more.
 
+    templates are (license_id, text) pairs or a table with these columns.
     One row for each doc_id and license, the best template and the earliest best window. Rows that share a doc_id are answered together. Null
     and empty texts hold nothing. Extra columns are ignored; an empty table gives no rows.
     """
+    templates = templates_of(templates)
     gate = gate_words(templates, containment)
     sizes = sorted({len(words_of(t)) for _, t in templates} - {0})
     low = F.lower(F.col("text"))
@@ -121,5 +119,23 @@ def license_scan(spark: SparkSession, docs: DataFrame, templates=TEMPLATES, cont
     return best.select("doc_id", "license_id", "b.containment", (-F.col("b.col2")).cast("long").alias("start_word"))
 
 
+def license_sql(templates=TEMPLATES, containment: float = CONTAINMENT) -> str:
+    """DuckDB SQL for the scan's rows: every window of every template's width that shares a shingle with it, no retrieval before."""
+    cells = []
+    for name, text in templates:
+        w = words_of(text)
+        stride = max(1, len(w) // 4)
+        cells.append(f"('{name}', {len(cells)}, {stride}, {len(w) + stride - 1}, [{', '.join(repr(g) for g in sorted(set(grams(w))))}])")
+    return f"""
+WITH t AS (SELECT license_id, template, stride, width, len(g) AS size, unnest(g) AS g FROM (VALUES {", ".join(cells)}) v(license_id, template, stride, width, g)),
+d AS (SELECT doc_id, list_filter(string_split_regex(lower(text), '[^a-z0-9]+'), lambda w: w <> '') AS w FROM documents),
+s AS (SELECT doc_id, unnest(range(len(w) - {WORDS - 1})) AS i, unnest(list_transform(range(1, len(w) - {WORDS - 2}), lambda i: {" || ' ' || ".join(f"w[i + {k}]" for k in range(WORDS))})) AS g FROM d WHERE len(w) >= {WORDS}),
+m AS (SELECT doc_id, license_id, template, size, g, stride, unnest(range(greatest(0, CAST(ceil((i + {WORDS} - width) / stride) AS BIGINT)), i // stride + 1)) AS n FROM s JOIN t USING (g)),
+c AS (SELECT doc_id, license_id, count(DISTINCT g) / any_value(size) AS containment, n * any_value(stride) AS start_word FROM m GROUP BY doc_id, license_id, template, n)
+SELECT doc_id, license_id, containment, start_word FROM c WHERE containment >= {containment}
+QUALIFY row_number() OVER (PARTITION BY doc_id, license_id ORDER BY containment DESC, start_word) = 1
+"""
+
+
 def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan(spark, table(spark, sf_dir, "documents"))

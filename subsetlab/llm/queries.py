@@ -17,6 +17,7 @@ QUERIES = {
     "op10_line_dedup": line_dedup.op10_line_dedup,
 }
 ORACLE_SQL = {
+    "op8_license_scan": license_scan.license_sql(),
     "op5_exact_dedup": exact_dedup.OP5_SQL,
     "op10_line_dedup": line_dedup.OP10_SQL,
 }
