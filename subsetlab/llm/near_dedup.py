@@ -6,9 +6,9 @@ of the first with one of the second, so there are m * m tables of 2 * t rows eac
 
 Equal shingle sets form classes first, so copies cost one representative. Every table bucket is then searched as a star
 around the member that shares most buckets overall, links are confirmed on full sets, and components are formed. Where
-a bucket still holds several components, the pairs across its components are confirmed too. Sets are cut by hash into
-BINS parts for that: the smaller counts of each part add up to an upper bound of the intersection, so a pair below the
-similarity by that bound needs no full sets. Pairs inside a component are never formed.
+a bucket still holds several components, the pairs across its components are confirmed too, each in the first table where
+it meets. Sets are cut by hash into BINS parts for that: the smaller counts of each part add up to an upper bound of the
+intersection, so a pair below the similarity by that bound needs no full sets. Pairs inside a component are never formed.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import doc_blocks, materialize, released, small_side, table, text_buffer
+from .common import doc_blocks, materialize, released, small_side, table, text_buffer, tidy
 from .graph import components
 from .kernels import MinHasher, mix, text_shingles
 
@@ -118,43 +118,63 @@ def sketches(sets: DataFrame) -> DataFrame:
     return sets.mapInArrow(run, "id long, sketch binary")
 
 
-def _possible(ids: np.ndarray, n: np.ndarray, comp: np.ndarray, block: np.ndarray, sketch: np.ndarray, percent: int, part: int = 1 << 16) -> tuple[np.ndarray, np.ndarray]:
-    """Positions of the pairs across components, and across blocks where there are two, that sizes and sketches allow to be similar."""
-    order = np.argsort(n, kind="stable")
-    size, comp, block, sketch, two = n[order], comp[order], block[order], sketch[order], len(np.unique(block)) > 1
-    full = (sketch == 255).any(axis=1)
-    high = np.searchsorted(size, size * 100 // percent, "right")  # larger sets share too little with this one
-    step = max(1, part // len(ids))
-    first, second = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-    for lo in range(0, len(ids), step):
-        rows, top = np.arange(lo, min(lo + step, len(ids))), int(high[min(lo + step, len(ids)) - 1])
-        cols = np.arange(lo, top)
-        go = (cols > rows[:, None]) & (cols < high[rows][:, None]) & (comp[rows][:, None] != comp[cols])
-        if two:
-            go &= block[rows][:, None] != block[cols]
-        x, y = np.nonzero(go)
-        x, y = rows[x], cols[y]
-        both = np.minimum(sketch[x], sketch[y]).sum(axis=1, dtype=np.int64)
-        both = np.where(full[x] | full[y], np.minimum(size[x], size[y]), both)
-        fit = 100 * both >= percent * (size[x] + size[y] - both)
-        first.append(order[x[fit]])
-        second.append(order[y[fit]])
-    return np.concatenate(first), np.concatenate(second)
-
-
-def across_components(members: DataFrame, percent: int, block: int = BLOCK) -> DataFrame:
-    """a, b, n, m: the pairs of a bucket's members (key, c, id, n, comp, sketch) in different components that may be similar."""
+class _Members:
+    """Members of a bucket in order of set size; table is the bucket's pair of bundles (i, j)."""
+
+    def __init__(self, held: list[pa.RecordBatch], table_bits: int):
+        t = pa.Table.from_batches(held)
+        n = t["n"].to_numpy()
+        order = np.argsort(n, kind="stable")
+        self.id, self.n, self.comp, self.block = (t[c].to_numpy()[order] for c in ("id", "n", "comp", "u"))
+        self.sketch = np.frombuffer(b"".join(t["sketch"].to_pylist()), np.uint8).reshape(-1, BINS)[order]
+        self.full = (self.sketch == 255).any(axis=1)
+        self.ga, self.gb = (t[c].combine_chunks().flatten().to_numpy().reshape(len(n), -1)[order] for c in ("ga", "gb"))
+        self.table = divmod(int(t["key"][0].as_py()) & (1 << table_bits) - 1, self.ga.shape[1])
+
+    def first_here(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        """Pairs that agree in no earlier bundle of either collection, so in no earlier table."""
+        out = np.ones(len(x), bool)
+        for codes, upto in zip((self.ga, self.gb), self.table, strict=True):
+            for c in range(upto):
+                out &= codes[x, c] != codes[y, c]
+        return out
+
+    def possible(self, percent: int, part: int = 1 << 16) -> tuple[np.ndarray, np.ndarray]:
+        """The pairs across components, and across blocks where there are two, that are new here and that sizes and sketches allow to be similar."""
+        size, two = self.n, len(np.unique(self.block)) > 1
+        high = np.searchsorted(size, size * 100 // percent, "right")  # larger sets share too little with this one
+        step = max(1, part // len(size))
+        first, second = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for lo in range(0, len(size), step):
+            rows, top = np.arange(lo, min(lo + step, len(size))), int(high[min(lo + step, len(size)) - 1])
+            cols = np.arange(lo, top)
+            go = (cols > rows[:, None]) & (cols < high[rows][:, None]) & (self.comp[rows][:, None] != self.comp[cols])
+            if two:
+                go &= self.block[rows][:, None] != self.block[cols]
+            x, y = np.nonzero(go)
+            x, y = rows[x], cols[y]
+            new = self.first_here(x, y)
+            x, y = x[new], y[new]
+            both = np.minimum(self.sketch[x], self.sketch[y]).sum(axis=1, dtype=np.int64)
+            both = np.where(self.full[x] | self.full[y], np.minimum(size[x], size[y]), both)
+            fit = 100 * both >= percent * (size[x] + size[y] - both)
+            first.append(x[fit])
+            second.append(y[fit])
+        return np.concatenate(first), np.concatenate(second)
+
+
+def across_components(members: DataFrame, percent: int, table_bits: int, block: int = BLOCK) -> DataFrame:
+    """a, b, n, m: the pairs of a bucket's members (key, c, id, n, comp, sketch, ga, gb) in different components that may be similar; a pair comes from one bucket only."""
     cells = F.ceil(F.col("c") / block).cast("int")
     dealt = members.withColumn("u", F.pmod(F.xxhash64("id"), cells).cast("int")).withColumn("v", F.explode(F.sequence(F.lit(0), cells - 1)))
-    dealt = dealt.select("key", F.least("u", "v").alias("p"), F.greatest("u", "v").alias("q"), "id", "n", "comp", "u", "sketch")
+    dealt = dealt.select("key", F.least("u", "v").alias("p"), F.greatest("u", "v").alias("q"), "id", "n", "comp", "u", "sketch", "ga", "gb")
 
     def pairs(held: list[pa.RecordBatch]) -> pa.RecordBatch:
-        t = pa.Table.from_batches(held)
-        ids, n, comp, u = (t[c].to_numpy() for c in ("id", "n", "comp", "u"))
-        x, y = _possible(ids, n, comp, u, np.frombuffer(b"".join(t["sketch"].to_pylist()), np.uint8).reshape(-1, BINS), percent)
-        swap = ids[x] > ids[y]
+        m = _Members(held, table_bits)
+        x, y = m.possible(percent)
+        swap = m.id[x] > m.id[y]
         x, y = np.where(swap, y, x), np.where(swap, x, y)
-        return pa.RecordBatch.from_arrays([pa.array(c) for c in (ids[x], ids[y], n[x], n[y])], ["a", "b", "n", "m"])
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in (m.id[x], m.id[y], m.n[x], m.n[y])], ["a", "b", "n", "m"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, last = [], None  # the cell at the end of a batch may go on in the next
@@ -185,6 +205,7 @@ def _fits(n, m, percent: int):
     return 100 * F.least(n, m) >= percent * F.greatest(n, m)
 
 
+@tidy
 def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: int = 80, bundles: int = BUNDLES, rows: int = ROWS) -> DataFrame:
     """One row per input row: doc_id, n_shingles, component_id, kept.
 
@@ -204,7 +225,9 @@ def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: i
     shared = codes.groupBy("i", "a").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").hint("merge")
     able = codes.join(shared, ["i", "a"], "left_semi").select("id").distinct().hint("merge")
     keyed = reps.join(able, "id", "left_semi").select("id", "n", "gb", F.posexplode("ga").alias("i", "a")).select("id", "n", "i", "a", F.posexplode("gb").alias("j", "b"))
-    keyed = materialize(spark, keyed.select(F.xxhash64("i", "j", "a", "b").alias("key"), "id", "n"), "table-keys")
+    bits = (bundles * bundles - 1).bit_length()  # a key ends in its table's number
+    key = F.shiftleft(F.xxhash64("i", "j", "a", "b"), bits) + F.col("i") * bundles + F.col("j")
+    keyed = materialize(spark, keyed.select(key.alias("key"), "id", "n"), "table-keys")
     buckets = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").hint("merge")
     members = materialize(spark, keyed.join(buckets, "key"), "buckets")
     ids = members.select("id").distinct()
@@ -223,8 +246,11 @@ def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: i
     # Buckets that still hold several components: confirm what is left across them.
     labelled = members.join(comps.hint("merge"), "id", "left").select("key", "c", "id", "n", F.coalesce("comp", "id").alias("comp"))
     mixed = labelled.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("key").hint("merge")
-    open_ = labelled.join(mixed, "key", "left_semi").join(sketches(sets).hint("merge"), "id")
-    rest = across_components(open_, percent)
+    open_ = materialize(spark, labelled.join(mixed, "key", "left_semi"), "mixed-buckets")
+    some = small_side(open_.select("id").distinct())
+    codes = named.select(F.col("doc_id").alias("id"), "ga", "gb").join(some, "id", "left_semi").distinct().hint("merge")
+    open_ = open_.join(sketches(sets.join(some, "id", "left_semi")).hint("merge"), "id").join(codes, "id")
+    rest = across_components(open_, percent, bits)
     rest = materialize(spark, rest.distinct().join(star.select("a", "b").hint("merge"), ["a", "b"], "left_anti"), "rest-pairs")
     found = rest.join(intersections(rest, sets).hint("merge"), ["a", "b"]).filter(_similar(F.col("both"), F.col("n"), F.col("m"), percent))
     more = materialize(spark, found.select("a", "b"), "more-links")
@@ -236,6 +262,7 @@ def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: i
     return rows_.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
 
 
+@tidy
 def drop_near_copies(spark: SparkSession, docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """docs with one document, the smallest doc_id, of each component; columns unchanged."""
     lost = materialize(spark, near_components(spark, docs, k, percent).filter(~F.col("kept")).select("doc_id").distinct(), "near-copies")

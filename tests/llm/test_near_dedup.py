@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from subsetlab.llm.graph import components
-from subsetlab.llm.near_dedup import drop_near_copies, across_components, near_components, op1_minhash_near_dedup, sketches
+from subsetlab.llm.near_dedup import across_components, drop_near_copies, near_components, op1_minhash_near_dedup, sketches
 
 
 def shingles(text, k):
@@ -86,16 +86,41 @@ def test_pairs_of_a_bucket_in_blocks(spark):
     sets = {i: np.sort(rng.choice(60, rng.integers(30, 45), replace=False).astype(np.uint64) * np.uint64(2**57 + 2**53)) for i in range(70)}
     sets[70] = np.arange(0, 90_000, dtype=np.uint64)  # counts over a byte
     sets[71] = np.arange(9, 90_000, dtype=np.uint64)
-    rows = [(5, len(sets), i, len(s), i % 9 if i < 70 else i, bytearray(s.tobytes())) for i, s in sets.items()]
-    df = spark.createDataFrame(rows, "key long, c long, id long, n long, comp long, hashes binary")
+    rows = [(4, len(sets), i, len(s), i % 9 if i < 70 else i, bytearray(s.tobytes())) for i, s in sets.items()]
+    rows = [(*r, [1], [2]) for r in rows]
+    df = spark.createDataFrame(rows, "key long, c long, id long, n long, comp long, hashes binary, ga array<long>, gb array<long>")
     members = df.drop("hashes").join(sketches(df.select("id", "hashes")), "id")
-    similar = {(a, b) for _, _, a, n, p, _ in rows for _, _, b, m, q, _ in rows if a < b and p != q and 100 * len(np.intersect1d(sets[a], sets[b])) >= 50 * len(np.union1d(sets[a], sets[b]))}
+    similar = {(a, b) for _, _, a, n, p, *_ in rows for _, _, b, m, q, *_ in rows if a < b and p != q and 100 * len(np.intersect1d(sets[a], sets[b])) >= 50 * len(np.union1d(sets[a], sets[b]))}
     assert len(similar) > 100 and (70, 71) in similar
     for block in (7, 1000):
-        got = across_components(members, 50, block).collect()
+        got = across_components(members, 50, 0, block).collect()
         assert similar <= {(r.a, r.b) for r in got} and all(r.a < r.b and (r.n, r.m) == (len(sets[r.a]), len(sets[r.b])) for r in got)
 
 
+@pytest.mark.parametrize(("k", "percent", "common", "own", "shared"), [(1, 85, 820, 100, 55), (5, 80, 820, 140, 60)])
+def test_a_family_of_templates(spark, k, percent, common, own, shared):
+    """Every text holds the template; pairs that also share some words are similar, all others are just not."""
+    word = lambda c, n: [f"{c}{i}" for i in range(n)]
+    docs = {}
+    for p in range(200):
+        for side in (0, 1):
+            docs[2 * p + side] = " ".join(word("t", common) + word(f"p{p}-", shared) + word(f"s{p}.{side}-", own - shared))
+    got = near_components(spark, spark.createDataFrame(list(docs.items()), "doc_id long, text string"), k, percent).collect()
+    want = brute_of_pairs(docs, k, percent)
+    assert len({v for v in want.values()}) == 200
+    assert {r.doc_id: r.component_id for r in got} == want
+
+
+def brute_of_pairs(docs, k, percent):
+    sets = {d: shingles(t, k) for d, t in docs.items()}
+    head = {d: d for d in docs}
+    for a in docs:
+        for b in docs:
+            if a < b and 100 * len(sets[a] & sets[b]) >= percent * len(sets[a] | sets[b]):
+                head[b] = min(head[b], head[a])
+    return head
+
+
 def test_components_of_a_path(spark):
     n = 40
     edges = spark.range(n - 1).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b"))
