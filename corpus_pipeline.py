@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from subsetlab.llm.common import materialize, table
+from subsetlab.llm.common import keep_read, made_so_far, materialize, table
 from subsetlab.llm.decontaminate import drop_contaminated
 from subsetlab.llm.exact_dedup import drop_exact_copies
 from subsetlab.llm.near_dedup import drop_near_copies
@@ -52,8 +52,13 @@ ORACLE_SQL = None  # a trained line field, confirmed links and tokenizer ids hav
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Apply the stages to documents. Each result is a table in the shared folder; cleanup() in subsetlab.llm.common deletes them."""
-    docs = table(spark, sf_dir, "documents")
+    """Apply the stages to documents.
+
+    Each result is a table in the shared folder; the tables behind it are deleted once the next one is written. The last
+    one stays until cleanup() in subsetlab.llm.common deletes it.
+    """
+    docs, since = table(spark, sf_dir, "documents"), made_so_far()
     for name, stage in STAGES:
         docs = materialize(spark, stage(spark, docs, sf_dir), f"stage-{name}")
+        keep_read(spark, since, docs)
     return docs
