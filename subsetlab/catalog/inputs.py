@@ -37,7 +37,11 @@ def bank(spark: SparkSession, d: str, labels: tuple[int, ...]) -> DataFrame:
 
 def e_test(spark: SparkSession, d: str, n: int = 50) -> DataFrame:
     """The n rows of highest entropy in a hash slice of the pool."""
-    rows = e_pool(spark, d).join(e_scores(spark, d), "sample_id").filter(F.conv(F.substring(F.md5(F.col("sample_id").cast("string")), 1, 8), 16, 10).cast("long") % 3 == 0)
+    return held_out(e_pool(spark, d), e_scores(spark, d), n)
+
+
+def held_out(pool: DataFrame, scores: DataFrame, n: int = 50) -> DataFrame:
+    rows = pool.join(scores, "sample_id").filter(F.conv(F.substring(F.md5(F.col("sample_id").cast("string")), 1, 8), 16, 10).cast("long") % 3 == 0)
     return rows.orderBy(F.round("entropy", 9).desc(), "sample_id").limit(n).select("sample_id", "vec", "label")
 
 
@@ -46,6 +50,12 @@ def e_candidates(spark: SparkSession, d: str, n: int = 50) -> DataFrame:
     return e_pool(spark, d).join(F.broadcast(e_test(spark, d, n).select("sample_id")), "sample_id", "left_anti")  # n rows
 
 
+def d_rows(spark: SparkSession, d: str) -> DataFrame:
+    """(sample_id, vec, label) of documents that have a vector; the class is the language."""
+    vectors = features.hashed_tokens(docs(spark, d)).filter("vec IS NOT NULL")
+    return vectors.join(table(spark, d, "documents").select(F.col("doc_id").alias("sample_id"), F.col("lang").alias("label")), "sample_id")
+
+
 def docs(spark: SparkSession, d: str) -> DataFrame:
     return load_samples(spark, d, DOCUMENTS)
 

@@ -2,6 +2,8 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+from ..sources.tables import tidy
+
 
 class Registry:
     def __init__(self):
@@ -12,7 +14,7 @@ class Registry:
         """Decorator: register fn(spark, sf_dir) under name with the SQL that gives the same rows."""
 
         def put(fn):
-            self.queries[name] = fn
+            self.queries[name] = tidy(fn)
             if sql is not None:
                 self.sql[name] = sql
             return fn

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..functions import levels as L
 from ..operators import relational as X
 from ..operators.entropy import sample_entropy
-from ..operators.measures import similar_pairs
+from ..operators.pairs import similar_pairs
 from ..operators.sampling import hash_order
 from ..operators.select import top_n, top_q_per_group
 from ..sources.tables import read, register_views, stage, table, work_dir, write
@@ -51,9 +51,9 @@ def _(s, d):
 
 for _how, _sql in (("left", "LEFT"), ("right", "RIGHT"), ("full", "FULL")):
 
-    @R.add(f"op_join_{_how}", f"SELECT coalesce(a.doc_id, b.doc_id) AS doc_id, quality, n_chars FROM (SELECT doc_id, n_chars FROM documents WHERE doc_id % 3 <> 0) a {_sql} JOIN (SELECT * FROM labels WHERE doc_id % 2 = 0) b ON a.doc_id = b.doc_id")
+    @R.add(f"op_join_{_how}", f"SELECT coalesce(a.doc_id, b.doc_id) AS doc_id, quality, n_chars FROM (SELECT doc_id, n_chars FROM documents WHERE lang <> 'fr') a {_sql} JOIN labels b ON a.doc_id = b.doc_id")
     def _(s, d, how=_how):
-        a, b = T(s, d, "documents").filter("doc_id % 3 <> 0").select("doc_id", "n_chars"), T(s, d, "labels").filter("doc_id % 2 = 0")
+        a, b = T(s, d, "documents").filter("lang <> 'fr'").select("doc_id", "n_chars"), T(s, d, "labels")
         return a.join(b, "doc_id", how).select("doc_id", "quality", "n_chars")
 
 
@@ -75,8 +75,9 @@ def _(s, d):
 @R.add("op_join_theta", "SELECT a.p_partkey AS a, b.p_partkey AS b FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_type = b.p_type AND a.p_partkey < b.p_partkey AND abs(a.p_size - b.p_size) <= 1")
 def _(s, d):
     p = T(s, d, "part").select("p_partkey", "p_brand", "p_type", "p_size")
-    a, b = p.alias("a"), p.alias("b")
-    on = (F.col("a.p_brand") == F.col("b.p_brand")) & (F.col("a.p_type") == F.col("b.p_type")) & (F.col("a.p_partkey") < F.col("b.p_partkey")) & (F.abs(F.col("a.p_size") - F.col("b.p_size")) <= 1)
+    # The band is part of the key: a row meets the sizes one below, equal and one above, not its whole brand and type.
+    a, b = p.alias("a"), p.withColumn("near", F.explode(F.array(*[F.col("p_size") + k for k in (-1, 0, 1)]))).alias("b")
+    on = (F.col("a.p_brand") == F.col("b.p_brand")) & (F.col("a.p_type") == F.col("b.p_type")) & (F.col("a.p_size") == F.col("b.near")) & (F.col("a.p_partkey") < F.col("b.p_partkey"))
     return a.join(b, on).select(F.col("a.p_partkey").alias("a"), F.col("b.p_partkey").alias("b"))
 
 
@@ -123,10 +124,12 @@ def _(s, d):
     return T(s, d, "events").groupBy("event_type").agg(F.count_distinct("user_id").alias("users"))
 
 
-@R.add("op_agg_approx_distinct")
+@R.add("op_agg_approx_distinct", "SELECT event_type, count(DISTINCT user_id) AS users, TRUE AS approx, TRUE AS hll, TRUE AS theta FROM events GROUP BY 1")
 def _(s, d):
+    """Three sketches, each within a twelfth of the exact number."""
     e = T(s, d, "events").groupBy("event_type")
-    return e.agg(F.approx_count_distinct("user_id").alias("approx"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("hll"), F.theta_sketch_estimate(F.theta_sketch_agg("user_id")).alias("theta"))
+    out = e.agg(F.count_distinct("user_id").alias("users"), F.approx_count_distinct("user_id").alias("approx"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("hll"), F.theta_sketch_estimate(F.theta_sketch_agg("user_id")).alias("theta"))
+    return out.select("event_type", "users", *[(F.abs(F.col(c) - F.col("users")) * 12 <= F.col("users")).alias(c) for c in ("approx", "hll", "theta")])
 
 
 @R.add("op_agg_percentile", P.with_(P.DOC_H, select="SELECT round(quantile_cont(h, 0.25), 6) AS q1, round(quantile_cont(h, 0.5), 6) AS q2, round(quantile_cont(h, 0.75), 6) AS q3 FROM dh"))
@@ -135,10 +138,13 @@ def _(s, d):
     return h.agg(*[F.round(F.percentile("entropy", q), 6).alias(f"q{i}") for i, q in enumerate((0.25, 0.5, 0.75), 1)])
 
 
-@R.add("op_agg_approx_percentile")
+@R.add("op_agg_approx_percentile", P.with_(P.DOC_H, select="SELECT count(*) AS n, TRUE AS q1, TRUE AS q2, TRUE AS q3, TRUE AS kll FROM dh"))
 def _(s, d):
-    h = sample_entropy(docs(s, d))
-    return h.agg(F.approx_percentile("entropy", [0.25, 0.5, 0.75], 1000).alias("approx"), F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("entropy"), F.lit(0.5)).alias("kll"))
+    """Sketched quantiles whose ranks are right to within a fiftieth of the rows."""
+    h = stage(s, sample_entropy(docs(s, d)), "h")
+    found = h.agg(F.approx_percentile("entropy", [0.25, 0.5, 0.75], 1000).alias("q"), F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("entropy"), F.lit(0.5)).alias("kll")).first()
+    rank = lambda v, q: F.abs(F.count_if(F.col("entropy") <= v) / F.count(F.lit(1)) - q) <= 0.02
+    return h.agg(F.count(F.lit(1)).alias("n"), *[rank(v, q).alias(f"q{i}") for i, (v, q) in enumerate(zip(found["q"], (0.25, 0.5, 0.75), strict=True), 1)], rank(found["kll"], 0.5).alias("kll"))
 
 
 for _kind, _clause in (("grouping_sets", "GROUPING SETS ((lang, source), (lang), ())"), ("cube", "CUBE (lang, source)"), ("rollup", "ROLLUP (lang, source)")):
@@ -261,10 +267,10 @@ def _(s, d):
 _SETS = {"union": "UNION", "union_all": "UNION ALL", "intersect": "INTERSECT", "intersect_all": "INTERSECT ALL", "except": "EXCEPT", "except_all": "EXCEPT ALL"}
 for _name, _sql in _SETS.items():
 
-    @R.add(f"op_set_{_name}", f"SELECT lang, source FROM documents WHERE doc_id % 2 = 0 {_sql} SELECT lang, source FROM documents WHERE doc_id % 3 = 0 AND n_chars > 1500")
+    @R.add(f"op_set_{_name}", f"SELECT lang, source FROM documents WHERE n_chars < 1500 {_sql} SELECT lang, source FROM documents WHERE n_chars > 1200 AND lang <> 'es'")
     def _(s, d, name=_name):
         df = T(s, d, "documents")
-        a, b = df.filter("doc_id % 2 = 0").select("lang", "source"), df.filter("doc_id % 3 = 0 AND n_chars > 1500").select("lang", "source")
+        a, b = df.filter("n_chars < 1500").select("lang", "source"), df.filter("n_chars > 1200 AND lang <> 'es'").select("lang", "source")
         return {"union": lambda: a.union(b).distinct(), "union_all": lambda: a.unionByName(b), "intersect": lambda: a.intersect(b), "intersect_all": lambda: a.intersectAll(b), "except": lambda: a.subtract(b), "except_all": lambda: a.exceptAll(b)}[name]()
 
 
@@ -321,14 +327,17 @@ def _(s, d):
     return top_n(T(s, d, "documents").select("doc_id", (-hash_order("doc_id")).alias("k")), 100, "k", "doc_id").select("doc_id")
 
 
-@R.add("op_sample_bernoulli")
+TENTH, HALF_ = 2**52 // 10, 2**52 // 2  # of the 52-bit hashes: samples that no partitioning changes
+
+
+@R.add("op_sample_bernoulli", f"SELECT doc_id FROM documents WHERE {P.hash_order('doc_id')} < {TENTH}")
 def _(s, d):
-    return T(s, d, "documents").select("doc_id").sample(0.1, seed=42)
+    return T(s, d, "documents").select("doc_id").filter(hash_order("doc_id") < TENTH)
 
 
-@R.add("op_sample_stratified")
+@R.add("op_sample_stratified", f"SELECT doc_id, lang FROM documents WHERE {P.hash_order('doc_id')} < CASE WHEN lang = 'en' THEN {TENTH} ELSE {HALF_} END")
 def _(s, d):
-    return T(s, d, "documents").select("doc_id", "lang").sampleBy("lang", {"en": 0.1, "de": 0.5, "fr": 0.5, "es": 0.5}, seed=42)
+    return T(s, d, "documents").select("doc_id", "lang").filter(hash_order("doc_id") < F.when(F.col("lang") == "en", TENTH).otherwise(HALF_))
 
 
 @R.add("op_dedup_exact", "SELECT min(doc_id) AS doc_id, count(*) AS n FROM documents GROUP BY text")

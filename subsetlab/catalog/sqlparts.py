@@ -53,18 +53,25 @@ def hash_order(col: str, seed: int = 42) -> str:
 TEST = f"""test AS MATERIALIZED (SELECT pool.* FROM pool JOIN eh USING (id) WHERE {MD5_8.format('CAST(id AS VARCHAR)')} % 3 = 0 ORDER BY round(h, 9) DESC, id LIMIT 50)"""
 CAND = "cand AS MATERIALIZED (SELECT * FROM pool WHERE id NOT IN (SELECT id FROM test))"
 
-DOC_TOKENS = f"dtok AS (SELECT doc_id AS id, unnest(string_split_regex(lower(text), '\\s+')) AS t FROM documents)"
-DOC_VEC = f"""dcnt AS (SELECT id, CAST({MD5_8.format('t')} % 64 AS INTEGER) AS b, sqrt(CAST(count(*) AS DOUBLE)) AS c FROM dtok WHERE t <> '' GROUP BY ALL),
-dfull AS (SELECT i.id, b.b, coalesce(c.c, 0.0) AS c FROM (SELECT DISTINCT id FROM dcnt) i CROSS JOIN (SELECT unnest(range(64)) AS b) b LEFT JOIN dcnt c ON c.id = i.id AND c.b = b.b),
-draw AS (SELECT id, list(c ORDER BY b) AS v FROM dfull GROUP BY id),
-dz AS MATERIALIZED (SELECT id, v, {unit('v')} AS z FROM draw)"""
+
+def text_vec(prefix: str, table: str, id_: str, text: str) -> str:
+    """prefix_z(id, v, z): hashed tokens of texts, square root of counts, and the unit vector."""
+    return f"""{prefix}tok AS (SELECT {id_} AS id, unnest(string_split_regex(lower({text}), '\\s+')) AS t FROM {table}),
+{prefix}cnt AS (SELECT id, CAST({MD5_8.format('t')} % 64 AS INTEGER) AS b, sqrt(CAST(count(*) AS DOUBLE)) AS c FROM {prefix}tok WHERE t <> '' GROUP BY ALL),
+{prefix}full AS (SELECT i.id, b.b, coalesce(c.c, 0.0) AS c FROM (SELECT DISTINCT id FROM {prefix}cnt) i CROSS JOIN (SELECT unnest(range(64)) AS b) b LEFT JOIN {prefix}cnt c ON c.id = i.id AND c.b = b.b),
+{prefix}raw AS (SELECT id, list(c ORDER BY b) AS v FROM {prefix}full GROUP BY id),
+{prefix}z AS MATERIALIZED (SELECT id, v, {unit('v')} AS z FROM {prefix}raw)"""
+
+
+DOC_VEC = text_vec("d", "documents", "doc_id", "text")
 D_REF = "dref AS MATERIALIZED (SELECT * FROM dz WHERE id IN (SELECT doc_id FROM labels WHERE quality = 1 AND toxic = 0))"
 D_POOL = "dpool AS MATERIALIZED (SELECT * FROM dz WHERE id NOT IN (SELECT doc_id FROM labels))"
 
 
-def kmeans(prefix: str, source: str, k: int, iters: int) -> str:
-    """prefix_c(k, z) after iters rounds of spherical k-means over source(id, z), seeded with its first k ids."""
-    out = [f"{prefix}_c0 AS MATERIALIZED (SELECT CAST(row_number() OVER (ORDER BY id) - 1 AS INTEGER) AS k, z FROM (SELECT id, z FROM {source} ORDER BY id LIMIT {k}))"]
+def kmeans(prefix: str, source: str, k: int, iters: int, seeds: str | None = None, order: str = "id") -> str:
+    """prefix_c(k, z) after iters rounds of spherical k-means over source(id, z), seeded with its first k rows in order, or with seeds(k, z)."""
+    first = f"SELECT CAST(row_number() OVER (ORDER BY {order}) - 1 AS INTEGER) AS k, z FROM (SELECT id, z FROM {source} ORDER BY {order} LIMIT {k})"
+    out = [f"{prefix}_c0 AS MATERIALIZED ({f'SELECT k, z FROM {seeds}' if seeds else first})"]
     for t in range(1, iters + 1):
         out.append(f"""{prefix}_a{t} AS MATERIALIZED (SELECT r.id, any_value(r.z) AS z, arg_max(c.k, {{'s': round(list_dot_product(r.z, c.z), 9), 'k': -c.k}}) AS k FROM {source} r CROSS JOIN {prefix}_c{t - 1} c GROUP BY r.id),
 {prefix}_s{t} AS (SELECT k, list(s ORDER BY pos) AS v FROM (SELECT k, pos, sum(x) AS s FROM (SELECT k, unnest(z) AS x, generate_subscripts(z, 1) AS pos FROM {prefix}_a{t}) GROUP BY k, pos) GROUP BY k),
@@ -73,6 +80,38 @@ def kmeans(prefix: str, source: str, k: int, iters: int) -> str:
     return ",\n".join(out)
 
 
+def farthest(name: str, source: str, k: int) -> str:
+    """name(k, id, z): the first id, then again and again the row whose largest similarity with the chosen ones is least."""
+    out = [f"{name}_0 AS MATERIALIZED (SELECT 0 AS k, id, z FROM {source} ORDER BY id LIMIT 1)"]
+    for t in range(1, k):
+        far = f"SELECT r.id, any_value(r.z) AS z, max(round(list_dot_product(r.z, s.z), 9)) AS near FROM {source} r CROSS JOIN {name}_{t - 1} s WHERE r.id NOT IN (SELECT id FROM {name}_{t - 1}) GROUP BY r.id"
+        out.append(f"{name}_{t} AS MATERIALIZED (SELECT * FROM {name}_{t - 1} UNION ALL SELECT * FROM (SELECT {t} AS k, id, z FROM ({far}) ORDER BY near, id LIMIT 1))")
+    out.append(f"{name} AS (SELECT * FROM {name}_{k - 1})")
+    return ",\n".join(out)
+
+
+def projected(name: str, source: str, d_in: int, d_out: int, vec: str = "v") -> str:
+    """name(id, z): unit rows of source's vectors in d_out dimensions, by signs from MD5."""
+    sign = f"CASE WHEN {MD5_8.format("'42:' || i || ':' || j")} % 2 = 1 THEN 1.0 ELSE -1.0 END / sqrt({d_out}.0)"
+    return f"""{name}_m AS MATERIALIZED (SELECT j, list(CAST({sign} AS DOUBLE) ORDER BY i) AS m FROM (SELECT unnest(range({d_in})) AS i) CROSS JOIN (SELECT unnest(range({d_out})) AS j) GROUP BY j),
+{name}_p AS MATERIALIZED (SELECT id, list(list_dot_product({vec}, m) ORDER BY j) AS p FROM {source} CROSS JOIN {name}_m GROUP BY id),
+{name} AS MATERIALIZED (SELECT id, {unit('p')} AS z FROM {name}_p)"""
+
+
+def minibatch(prefix: str, source: str, k: int, batches: int, share: int = 10) -> str:
+    """prefix_c(k, z) after so many mini-batches of one hash slice in share; a centre moves by the part that a batch has of all rows it saw."""
+    out = [f"{prefix}_c0 AS MATERIALIZED (SELECT CAST(row_number() OVER (ORDER BY id) - 1 AS INTEGER) AS k, z, CAST(0 AS DOUBLE) AS seen FROM (SELECT id, z FROM {source} ORDER BY id LIMIT {k}))"]
+    for t in range(1, batches + 1):
+        slice_ = MD5_8.format(f"'42:{(t - 1) // share}:' || CAST(r.id AS VARCHAR)")
+        moved = "list_transform(list_zip(c.z, coalesce(s.v, c.z)), lambda p: (1 - coalesce(s.n, 0) / greatest(c.seen + coalesce(s.n, 0), 1)) * p[1] + coalesce(s.n, 0) / greatest(c.seen + coalesce(s.n, 0), 1) * p[2] / coalesce(s.n, 1))"
+        out.append(f"""{prefix}_a{t} AS MATERIALIZED (SELECT r.id, any_value(r.z) AS z, arg_max(c.k, {{'s': round(list_dot_product(r.z, c.z), 9), 'k': -c.k}}) AS k FROM {source} r CROSS JOIN {prefix}_c{t - 1} c WHERE {slice_} % {share} = {(t - 1) % share} GROUP BY r.id),
+{prefix}_s{t} AS (SELECT k, list(s ORDER BY pos) AS v, CAST(any_value(n) AS DOUBLE) AS n FROM (SELECT k, pos, sum(x) AS s, count(*) AS n FROM (SELECT k, unnest(z) AS x, generate_subscripts(z, 1) AS pos FROM {prefix}_a{t}) GROUP BY k, pos) GROUP BY k),
+{prefix}_m{t} AS (SELECT c.k, c.z, c.seen + coalesce(s.n, 0) AS seen, s.n > 0 AS hit, {moved} AS w FROM {prefix}_c{t - 1} c LEFT JOIN {prefix}_s{t} s ON s.k = c.k),
+{prefix}_c{t} AS MATERIALIZED (SELECT k, CASE WHEN hit THEN coalesce({norm_safe('w')}, z) ELSE z END AS z, seen FROM {prefix}_m{t})""")
+    out.append(f"{prefix}_c AS (SELECT k, z FROM {prefix}_c{batches})")
+    return ",\n".join(out)
+
+
 def assign(name: str, rows: str, centroids: str, vec: str = "z") -> str:
     """name(id, k, sim)"""
     return f"""{name} AS MATERIALIZED (SELECT r.id, arg_max(c.k, {{'s': round(list_dot_product(r.{vec}, c.z), 9), 'k': -c.k}}) AS k, max(list_dot_product(r.{vec}, c.z)) AS sim

@@ -35,8 +35,12 @@ def byte_levels(payload: Column) -> Column:
 
 
 def quantize_levels(vec: Column, levels: int, lo: float | None = None, hi: float | None = None) -> Column:
-    """Levels 0 .. levels-1 over the fixed range lo to hi (clamped), or over each sample's own range where lo is None."""
+    """Levels 0 .. levels-1 over the fixed range lo to hi (clamped), or over each sample's own range where lo is None.
+
+    A sample with a null, NaN or infinite element has no levels (null), as it has no unit vector.
+    """
     low = F.array_min(vec) if lo is None else F.lit(float(lo))
     high = F.array_max(vec) if hi is None else F.lit(float(hi))
     step = lambda x: F.coalesce(F.floor(F.try_divide(x - low, high - low) * levels), F.lit(0)).cast("int")
-    return F.transform(vec, lambda x: F.greatest(F.lit(0), F.least(F.lit(levels - 1), step(x))))
+    broken = F.exists(vec, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
+    return F.when(~broken, F.transform(vec, lambda x: F.greatest(F.lit(0), F.least(F.lit(levels - 1), step(x)))))

@@ -5,23 +5,17 @@ The paper names them and little more; where a definition is ours the docstring s
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import vectors as V
 from ..sources.tables import stage
-from .assign import assign_clusters, ranked
+from .assign import assign_clusters
 from .centroids import CentroidModel, class_centroids, fit_centroids, fit_minibatch
 from .features import random_projection
-from .sampling import allocate, hash_order, scene_sample, take_allocated
-from .select import top_n
-
-REF_BLOCK = 4096  # reference rows that a pass compares with at most
-
+from .pairs import best_similarity, drop_near_copies, nearest_rows
+from .sampling import allocate, hash_order, scene_sample, take_allocated, take_quota
+from .select import DEFAULT, SelectionPlanner, flag_top_q, group_median, top_n, top_q_per_group
 
 def full(samples: DataFrame) -> DataFrame:
     return samples.select("sample_id")
@@ -33,7 +27,7 @@ def random_rows(samples: DataFrame, budget: int, seed: int = 42) -> DataFrame:
     return top_n(keyed, budget, "_k", "sample_id").select("sample_id")
 
 
-def moderate_distance(vectors: DataFrame, group: str, budget: int) -> DataFrame:
+def moderate_distance(vectors: DataFrame, group: str, budget: int, planner: SelectionPlanner = DEFAULT) -> DataFrame:
     """(sample_id, gap): rows whose distance from their group's centre is nearest to the group's median distance.
 
     Groups get a share of the budget in proportion (floored); what is left goes to the smallest gaps anywhere. Ours in
@@ -43,13 +37,13 @@ def moderate_distance(vectors: DataFrame, group: str, budget: int) -> DataFrame:
     z = V.l2_normalize(F.col("vec"))
     far = vectors.join(F.broadcast(centres), group).select("sample_id", group, F.round(1 - V.dot(z, F.col("centroid")), 9).alias("dist"))
     far = stage(vectors.sparkSession, far.filter("dist IS NOT NULL"), "distances")
-    middle = far.groupBy(group).agg(F.percentile("dist", 0.5).alias("mid"), F.count(F.lit(1)).alias("n"))
+    middle = stage(vectors.sparkSession, group_median(far, group, "dist", "sample_id", planner), "medians")
     total = far.count()
-    gaps = far.join(F.broadcast(middle), group).withColumn("gap", F.round(F.abs(F.col("dist") - F.col("mid")), 9))
-    quota = F.floor(F.lit(budget) * F.col("n") / F.lit(max(total, 1)))
-    first = F.row_number().over(Window.partitionBy(group).orderBy("gap", "sample_id")) <= quota
-    scored = gaps.withColumn("_k", F.when(first, 10.0).otherwise(0.0) - F.col("gap"))
-    return top_n(scored, budget, "_k", "sample_id").select("sample_id", "gap")
+    near = -F.round(F.abs(F.col("dist") - F.col("median")), 9)
+    gaps = stage(vectors.sparkSession, far.join(planner.small(middle), group).select("sample_id", group, near.alias("_near")), "gaps")
+    quotas = middle.select(group, F.floor(F.lit(budget) * F.col("n") / F.lit(max(total, 1))).alias("quota"))
+    scored = flag_top_q(gaps, group, quotas, "_near", "sample_id", planner).withColumn("_k", F.when(F.col("picked"), 10.0).otherwise(0.0) + F.col("_near"))
+    return top_n(scored, budget, "_k", "sample_id", planner).select("sample_id", (-F.col("_near")).alias("gap"))
 
 
 def cluster_nearest(pool: DataFrame, k: int, budget: int, iters: int = 5) -> DataFrame:
@@ -58,63 +52,13 @@ def cluster_nearest(pool: DataFrame, k: int, budget: int, iters: int = 5) -> Dat
     return scene_sample(assign_clusters(pool, model), budget, k)
 
 
-def _blocks(ref: DataFrame, rows: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(ids, unit rows) of the reference in id order, rows at a time; the reference is curated and bounded by blocks."""
-    unit = ref.select("sample_id", V.l2_normalize(F.col("vec")).alias("z")).filter("z IS NOT NULL").orderBy("sample_id")
-    ids, zs = [], []
-    for r in unit.toLocalIterator():
-        ids.append(r["sample_id"])
-        zs.append(r["z"])
-        if len(ids) == rows:
-            yield np.array(ids), np.array(zs)
-            ids, zs = [], []
-    if ids:
-        yield np.array(ids), np.array(zs)
-
-
-def nearest_rows(pool: DataFrame, ref: DataFrame, m: int, block: int = REF_BLOCK) -> DataFrame:
-    """(ref_id, sample_id, sim, rank): the m pool rows nearest to each reference row."""
-    out = None
-    for ids, z in _blocks(ref, block):
-        shared = pool.sparkSession.sparkContext.broadcast((ids, z))
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            ids, z = shared.value
-            for batch in batches:
-                x, valid = V.matrix(batch.column(1), z.shape[1])
-                u, ok = V.unit_rows(x)
-                mine = np.asarray(batch.column(0))[valid[ok]]
-                sim = np.round(z @ u[ok].T, 9)
-                top = np.lexsort((np.broadcast_to(mine, sim.shape), -sim), axis=1)[:, :m]
-                n = top.shape[1]
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, n)), pa.array(mine[top].ravel()), pa.array(np.take_along_axis(sim, top, 1).ravel())], ["ref_id", "sample_id", "sim"])
-
-        part = pool.select("sample_id", "vec").mapInArrow(run, "ref_id long, sample_id long, sim double")
-        out = part if out is None else out.unionByName(part)
-    order = Window.partitionBy("ref_id").orderBy(F.col("sim").desc(), "sample_id")
-    return out.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= m)
-
-
-def best_similarity(pool: DataFrame, ref: DataFrame, block: int = REF_BLOCK) -> DataFrame:
-    """(sample_id, best): largest cosine with any reference row."""
-    out = None
-    for _, z in _blocks(ref, block):
-        shared = pool.sparkSession.sparkContext.broadcast(z)
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                x, valid = V.matrix(batch.column(1), shared.value.shape[1])
-                u, ok = V.unit_rows(x)
-                best = (u[ok] @ shared.value.T).max(axis=1) if ok.any() else np.zeros(0)
-                yield pa.RecordBatch.from_arrays([pa.array(np.asarray(batch.column(0))[valid[ok]]), pa.array(best)], ["sample_id", "best"])
-
-        part = pool.select("sample_id", "vec").mapInArrow(run, "sample_id long, best double")
-        out = part if out is None else out.unionByName(part)
-    return out.groupBy("sample_id").agg(F.max("best").alias("best"))
-
-
-def retrieval_nearest(pool: DataFrame, ref: DataFrame, budget: int, m: int = 4) -> DataFrame:
-    """(sample_id, best): rows that some curated row retrieves among its m nearest come first, then the best similarity."""
+def retrieval_nearest(pool: DataFrame, ref: DataFrame, budget: int, m: int = 4, copies: float | None = None) -> DataFrame:
+    """(sample_id, best): rows that some curated row retrieves among its m nearest come first, then the best similarity.
+
+    copies: similarity from which on pool rows count as copies of one another; of those only the first stays for retrieval.
+    """
+    if copies is not None:
+        pool = drop_near_copies(pool, copies)
     hits = nearest_rows(pool, ref, m).select("sample_id").distinct().withColumn("hit", F.lit(10.0))
     scored = best_similarity(pool, ref).join(hits, "sample_id", "left").withColumn("_k", F.round("best", 9) + F.coalesce("hit", F.lit(0.0)))
     return top_n(scored, budget, "_k", "sample_id").select("sample_id", "best")
@@ -127,37 +71,41 @@ def retrieval_clusters(pool: DataFrame, ref: DataFrame, model: CentroidModel, bu
     return take_allocated(assign_clusters(pool, model), quotas).select("sample_id", "cluster_id", "sim")
 
 
-def anchor_stratified(samples: DataFrame, strata: list[Column], budget: int, seed: int = 42) -> DataFrame:
+def anchor_stratified(samples: DataFrame, strata: list[Column], budget: int, seed: int = 42, planner: SelectionPlanner = DEFAULT) -> DataFrame:
     """Equal hash-random shares of coarse strata, the rest in hash order from all. The paper's baseline is undescribed; this is ours."""
-    keyed = samples.select("sample_id", F.concat_ws("|", *strata).alias("stratum"), hash_order(seed=seed).alias("_h"))
+    keyed = samples.select("sample_id", F.concat_ws("|", *strata).alias("stratum"), (-hash_order(seed=seed)).alias("_h"))
     n = keyed.select("stratum").distinct().count()
-    first = F.row_number().over(Window.partitionBy("stratum").orderBy("_h", "sample_id")) <= budget // max(n, 1)
+    flagged = flag_top_q(keyed, "stratum", budget // max(n, 1), "_h", "sample_id", planner)
     # 52-bit hashes stay exact in a double next to the flag
-    scored = keyed.withColumn("_k", F.when(first, F.lit(float(1 << 52))).otherwise(F.lit(0.0)) - F.col("_h").cast("double"))
-    return top_n(scored, budget, "_k", "sample_id").select("sample_id", "stratum")
+    scored = flagged.withColumn("_k", F.when(F.col("picked"), F.lit(float(1 << 52))).otherwise(F.lit(0.0)) + F.col("_h").cast("double"))
+    return top_n(scored, budget, "_k", "sample_id", planner).select("sample_id", "stratum")
+
 
+def rule_curation(docs: DataFrame, scored: DataFrame, min_chars: int, tau: float, per_source: int, planner: SelectionPlanner = DEFAULT) -> DataFrame:
+    """(sample_id, source): one row of each equal text, size and entropy floors, a cap for each source in hash order. Rules are ours.
 
-def rule_curation(docs: DataFrame, scored: DataFrame, min_chars: int, tau: float, per_source: int) -> DataFrame:
-    """(sample_id, source): one row of each equal text, size and entropy floors, a cap for each source in hash order. Rules are ours."""
-    first = F.row_number().over(Window.partitionBy(F.sha2("payload", 256), "payload").orderBy("sample_id"))
-    kept = docs.filter(F.length("payload") >= min_chars).withColumn("_f", first).filter("_f = 1").join(scored.filter(F.col("entropy") >= tau).select("sample_id"), "sample_id", "left_semi")
-    place = F.row_number().over(Window.partitionBy("source").orderBy(hash_order(), "sample_id"))
-    return kept.withColumn("_p", place).filter(F.col("_p") <= per_source).select("sample_id", "source")
+    Equal texts are told by a 256-bit digest, so only digests and ids are exchanged.
+    """
+    long = docs.filter(F.length("payload") >= min_chars).select("sample_id", "source", F.sha2("payload", 256).alias("digest"))
+    first = long.groupBy("digest").agg(F.min(F.struct("sample_id", "source")).alias("r")).select("r.*")
+    kept = first.join(scored.filter(F.col("entropy") >= tau).select("sample_id"), "sample_id", "left_semi")
+    kept = stage(docs.sparkSession, kept.withColumn("_h", -hash_order()), "kept")
+    return top_q_per_group(kept, "source", per_source, "_h", "sample_id", planner).select("sample_id", "source")
 
 
-def score_ranked(samples: DataFrame, scores: DataFrame, budget: int) -> DataFrame:
-    """Supervised: largest score first, hash order within equal scores."""
-    keyed = samples.select("sample_id").join(scores.select("sample_id", "score"), "sample_id")
-    return top_n(keyed.withColumn("_k", F.col("score") * F.lit(float(1 << 52)) - hash_order().cast("double")), budget, "_k", "sample_id").select("sample_id", "score")
+def score_ranked(samples: DataFrame, scores: DataFrame, budget: int, planner: SelectionPlanner = DEFAULT) -> DataFrame:
+    """Supervised: largest score first, hash order within equal scores, whatever the scores' scale. Null and NaN scores are never taken."""
+    keyed = samples.select("sample_id").join(scores.select("sample_id", "score"), "sample_id").withColumn("_h", hash_order())
+    return top_n(keyed, budget, "score", "sample_id", planner, ties="_h").select("sample_id", "score")
 
 
-def union_capped(sets: list[DataFrame], cap: int) -> DataFrame:
+def union_capped(sets: list[DataFrame], cap: int, planner: SelectionPlanner = DEFAULT) -> DataFrame:
     """(bank, sample_id, class_label): concatenated classification sets with at most cap rows of a class in hash order."""
     out = sets[0]
     for s in sets[1:]:
         out = out.unionByName(s)
-    place = F.row_number().over(Window.partitionBy("bank", "class_label").orderBy(hash_order(), "sample_id"))
-    return out.withColumn("_p", place).filter(F.col("_p") <= cap).drop("_p")
+    keyed = out.withColumn("_class", F.to_json(F.struct("bank", "class_label"))).withColumn("_h", -hash_order())
+    return top_q_per_group(keyed, "_class", cap, "_h", "sample_id", planner).drop("_class", "_h")
 
 
 def centroids_full(pool: DataFrame, k: int, iters: int = 5) -> CentroidModel:
@@ -174,4 +122,4 @@ def centroids_reference(bank: DataFrame, k: int, iters: int = 5) -> CentroidMode
 
 
 def nearest_of_pool(assigned: DataFrame, per_cluster: int) -> DataFrame:
-    return ranked(assigned).filter(F.col("rank_in_cluster") <= per_cluster)
+    return take_quota(assigned, per_cluster)

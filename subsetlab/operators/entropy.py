@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import levels as L
@@ -20,11 +20,10 @@ def h_from_counts(n: Column) -> Column:
 
 
 def level_histogram(samples: DataFrame, level: Column) -> DataFrame:
-    """(sample_id, level, n, prob); samples without levels have no rows."""
+    """(sample_id, level, n, total, prob); samples without levels have no rows. A sample has at most as many rows as there are levels."""
     counts = samples.select("sample_id", F.explode(level).alias("level")).groupBy("sample_id", "level").agg(F.count(F.lit(1)).alias("n"))
-    from pyspark.sql import Window
-
-    return counts.withColumn("prob", F.col("n") / F.sum("n").over(Window.partitionBy("sample_id")))
+    total = counts.withColumn("total", F.sum("n").over(Window.partitionBy("sample_id")))
+    return total.withColumn("prob", F.col("n") / F.col("total"))
 
 
 def sample_entropy(samples: DataFrame, kind: str = BYTES, engine: str = "arrow", levels: int = 16, lo: float | None = -0.5, hi: float | None = 0.5, base: float = math.e, normalized: bool = False) -> DataFrame:

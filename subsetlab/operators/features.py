@@ -1,9 +1,10 @@
-"""Encoders: payload to vector. The paper's frozen image encoder is a plug-in; these stand in for it."""
+"""Encoders: payload to vector. A frozen model plugs in through Encoder and encode(); the others stand in for one."""
 
 from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from typing import Protocol
 
 import numpy as np
 import pyarrow as pa
@@ -16,6 +17,33 @@ from ..functions import vectors as V
 DIM = 64
 
 
+class Encoder(Protocol):
+    """A frozen model: payloads of one batch in, one row of size numbers for each out. It travels with the task's function, which Spark broadcasts if large.
+
+    A row of NaN stands for a payload that has no vector.
+    """
+
+    size: int
+
+    def __call__(self, payloads: pa.Array) -> np.ndarray: ...
+
+
+def encode(samples: DataFrame, encoder: Encoder) -> DataFrame:
+    """(sample_id, vec) by any frozen encoder, batch by batch in a map-only pass; null payloads and rows of NaN have a null vector."""
+    size = encoder.size
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = np.asarray(encoder(batch.column(1)), np.float64)
+            if out.shape != (batch.num_rows, size):
+                raise ValueError(f"the encoder gave {out.shape}, not {(batch.num_rows, size)}")
+            none = np.isnan(out).any(axis=1) | np.asarray(batch.column(1).is_null())
+            vec = pa.ListArray.from_arrays(pa.array(np.arange(len(out) + 1, dtype=np.int32) * size), pa.array(out.ravel()), mask=pa.array(none))
+            yield pa.RecordBatch.from_arrays([batch.column(0), vec], ["sample_id", "vec"])
+
+    return samples.select("sample_id", "payload").mapInArrow(run, "sample_id long, vec array<double>")
+
+
 def identity(samples: DataFrame) -> DataFrame:
     """(sample_id, vec): the payload is the vector."""
     return samples.select("sample_id", L.doubles(F.col("payload")).alias("vec"))

@@ -12,7 +12,10 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import vectors as V
+from ..sources.tables import stage
+from .pairs import best_similarity, nearest_rows, similar_pairs
 from .sampling import hash_order
+from .select import DEFAULT, SelectionPlanner, group_median, rank_in_group
 
 
 def moments(vectors: DataFrame, *by: str) -> DataFrame:
@@ -87,8 +90,6 @@ def paired_feature_distance(pairs: DataFrame, a: str = "a", b: str = "b", side:
 
 def super_resolution(selected: DataFrame, test: DataFrame, side: int = 8, cell: int = 4) -> DataFrame:
     """(test_id, truth, guess): each held-out row's low version finds the nearest low version in the subset; its high version is the guess."""
-    from .baselines import nearest_rows
-
     low = lambda df: df.select("sample_id", pooled(F.col("vec"), side, cell).alias("vec"))
     found = nearest_rows(low(selected), low(test), 1).select("ref_id", "sample_id")
     return found.join(selected.select("sample_id", F.col("vec").alias("guess")), "sample_id").join(F.broadcast(test.select(F.col("sample_id").alias("ref_id"), F.col("vec").alias("truth"))), "ref_id").select(F.col("ref_id").alias("test_id"), "truth", "guess")
@@ -120,35 +121,10 @@ def balance(selected: DataFrame, key: str, k: int | None = None) -> DataFrame:
 
 def representativeness(selected: DataFrame, pool: DataFrame, picks: DataFrame) -> DataFrame:
     """(to_centroid, pool_to_subset): mean similarity of picks to their centroid, and of pool rows to their nearest pick."""
-    from .baselines import best_similarity
-
     a = selected.agg(F.avg("sim").alias("to_centroid"))
     return a.crossJoin(best_similarity(pool, picks).agg(F.avg("best").alias("pool_to_subset")))
 
 
-def similar_pairs(vectors: DataFrame, least: float, block: int = 2048) -> DataFrame:
-    """(a, b, sim) with a < b and cosine of at least least; the smaller side goes round in blocks."""
-    from .baselines import _blocks
-
-    out = None
-    for ids, z in _blocks(vectors, block):
-        shared = vectors.sparkSession.sparkContext.broadcast((ids, z))
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            ids, z = shared.value
-            for batch in batches:
-                x, valid = V.matrix(batch.column(1), z.shape[1])
-                u, ok = V.unit_rows(x)
-                mine = np.asarray(batch.column(0))[valid[ok]]
-                sim = u[ok] @ z.T
-                i, j = np.nonzero((np.round(sim, 9) >= least) & (mine[:, None] < ids[None, :]))
-                yield pa.RecordBatch.from_arrays([pa.array(mine[i]), pa.array(ids[j]), pa.array(sim[i, j])], ["a", "b", "sim"])
-
-        part = vectors.select("sample_id", "vec").mapInArrow(run, "a long, b long, sim double")
-        out = part if out is None else out.unionByName(part)
-    return out
-
-
 def redundancy(vectors: DataFrame, least: float) -> DataFrame:
     """(n, with_neighbour, share): rows that have another row at similarity least or more."""
     pairs = similar_pairs(vectors, least)
@@ -160,8 +136,9 @@ def redundancy(vectors: DataFrame, least: float) -> DataFrame:
 def entropy_profile(scored: DataFrame, kept: DataFrame) -> DataFrame:
     """(part, n, mean_h, min_h, median_h, max_h) of kept and dropped rows."""
     flag = scored.join(kept.select("sample_id").withColumn("part", F.lit("kept")), "sample_id", "left").withColumn("part", F.coalesce("part", F.lit("dropped")))
-    h = F.round("entropy", 9)
-    return flag.groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.avg("entropy").alias("mean_h"), F.min("entropy").alias("min_h"), F.percentile(h, 0.5).alias("median_h"), F.max("entropy").alias("max_h"))
+    middle = group_median(flag.withColumn("_h", F.round("entropy", 9)), "part", "_h", "sample_id").select("part", F.col("median").alias("median_h"))
+    facts = flag.groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.avg("entropy").alias("mean_h"), F.min("entropy").alias("min_h"), F.max("entropy").alias("max_h"))
+    return facts.join(F.broadcast(middle), "part").select("part", "n", "mean_h", "min_h", "median_h", "max_h")  # two rows
 
 
 def purity(assigned: DataFrame, labels: DataFrame) -> DataFrame:
@@ -178,10 +155,11 @@ def overlap(a: DataFrame, b: DataFrame) -> DataFrame:
     return x.agg(F.count("x").alias("n_a"), F.count("y").alias("n_b"), both.alias("both"), (both / F.count(F.lit(1))).alias("jaccard"))
 
 
-def convergence(selected: DataFrame, test: DataFrame, batch: int = 256, seed: int = 42, by: str = "method") -> DataFrame:
+def convergence(selected: DataFrame, test: DataFrame, batch: int = 256, seed: int = 42, by: str = "method", planner: SelectionPlanner = DEFAULT) -> DataFrame:
     """by, step, n, moment: mini-batches in hash order update running moments; the distance to the held-out rows after each step."""
-    place = F.row_number().over(Window.partitionBy(by).orderBy(hash_order(seed=seed), "sample_id")) - 1
-    long = selected.withColumn("step", F.floor(place / batch).cast("long") + 1).select(by, "step", F.posexplode("vec").alias("pos", "x"))
+    keys = stage(selected.sparkSession, selected.select(by, "sample_id", (-hash_order(seed=seed)).alias("_h")), "keys")
+    place = rank_in_group(keys, by, "_h", "sample_id", "_r", planner).select(by, "sample_id", (F.floor((F.col("_r") - 1) / batch) + 1).cast("long").alias("step"))
+    long = selected.join(place, [by, "sample_id"]).select(by, "step", F.posexplode("vec").alias("pos", "x"))
     sums = long.groupBy(by, "step", "pos").agg(F.sum("x").alias("s"), F.sum(F.col("x") * F.col("x")).alias("ss"), F.count(F.lit(1)).alias("c"))
     run = Window.partitionBy(by, "pos").orderBy("step")
     acc = sums.select(by, "step", "pos", F.sum("s").over(run).alias("s"), F.sum("ss").over(run).alias("ss"), F.sum("c").over(run).alias("n"))

@@ -15,6 +15,9 @@ from ..operators.select import DEFAULT, SelectionPlanner
 from ..sources.tables import stage
 
 
+BROADCAST_IDS = 2_000_000  # survivors whose ids are broadcast at most
+
+
 def budget_of(n: int, rho_bp: int) -> int:
     """floor((1 - rho) * N), rho in basis points of the original set."""
     return n * (10_000 - rho_bp) // 10_000
@@ -51,5 +54,10 @@ def prune(scored: DataFrame, vectors: DataFrame, model: CentroidModel | None, rh
         return PruneResult(out, None, n, budget, budget)
     keep = default_stage1_keep(rho_bp) if stage1_keep_bp is None else stage1_keep_bp
     survivors = scored if keep >= 10_000 else prune_top_fraction(scored, keep, n, planner=planner)
-    assigned = stage(spark, assign_clusters(vectors.join(survivors.select("sample_id"), "sample_id", "left_semi"), model), "assigned")
+    survivors = survivors.select("sample_id")
+    if keep >= 10_000 or n * keep // 10_000 > BROADCAST_IDS:  # wide vectors are not exchanged: all are assigned in a map-only pass, narrow rows meet
+        assigned = assign_clusters(vectors, model).join(survivors, "sample_id", "left_semi")
+    else:
+        assigned = assign_clusters(vectors.join(F.broadcast(survivors), "sample_id", "left_semi"), model)
+    assigned = stage(spark, assigned, "assigned")
     return PruneResult(scene_sample(assigned, budget, model.k, planner=planner), pool_sizes(assigned, model.k), n, n * keep // 10_000, budget)

@@ -10,7 +10,7 @@ from collections.abc import Callable
 from dataclasses import dataclass
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators import baselines as B
@@ -51,9 +51,12 @@ def _union(parts: list[DataFrame]) -> DataFrame:
 
 
 def _measured(tagged: DataFrame, test: DataFrame, by: list[str]) -> DataFrame:
-    """by, n, moment, classes (with a row), evenness over ten classes is left to balance()."""
+    """by, n, classes (with a row), evenness over them (0 for a single class), moment."""
     tagged = stage(tagged.sparkSession, tagged, "tagged")
-    counts = tagged.groupBy(*by).agg(F.count(F.lit(1)).alias("n"), F.count_distinct("label").alias("classes"))
+    cells = tagged.groupBy(*by, "label").agg(F.count(F.lit(1)).alias("c"))
+    n, k = F.sum("c"), F.count(F.lit(1))
+    h = F.ln(n.cast("double")) - F.sum(F.col("c") * F.ln(F.col("c").cast("double"))) / n
+    counts = cells.groupBy(*by).agg(n.alias("n"), k.alias("classes"), F.when(k > 1, h / F.ln(k.cast("double"))).otherwise(0.0).alias("evenness"))
     return counts.join(M.moment_distance(tagged, test, *by).select(*by, "moment"), by)
 
 
@@ -176,26 +179,40 @@ def class_vs_overcluster(b: Bench, k: int, iters: int) -> DataFrame:
     return _union([assign_clusters(b.cand, m).agg(F.lit(name).alias("kind"), F.lit(m.k).alias("k"), F.avg("sim").alias("cohesion")) for name, m in models.items()])
 
 
-def metric_agreement(results: DataFrame, a: str, b: str) -> DataFrame:
-    """(n, spearman): rank correlation of two measures over the result rows."""
-    from pyspark.sql import Window
-
-    ranked = results.select(F.rank().over(Window.orderBy(a)).cast("double").alias("x"), F.rank().over(Window.orderBy(b)).cast("double").alias("y"))  # a row for each setting
-    return ranked.agg(F.count(F.lit(1)).alias("n"), F.corr("x", "y").alias("spearman"))
+def metric_agreement(results: DataFrame, a: str, others: list[str]) -> DataFrame:
+    """(measure, n, spearman): rank correlation of a with each other measure over the result rows."""
+    rank = lambda c: F.rank().over(Window.orderBy(c)).cast("double")  # noqa: E731  a row for each setting
+    return _union([results.select(rank(a).alias("x"), rank(b).alias("y")).agg(F.lit(b).alias("measure"), F.count(F.lit(1)).alias("n"), F.corr("x", "y").alias("spearman")) for b in others])
 
 
 def restoration_scores(b: Bench, rho_bp: int, k: int, iters: int, methods: tuple[str, ...] = METHODS) -> DataFrame:
-    """method, moment, sr, sis: the generation proxy beside both downstream proxies."""
+    """method, moment, sr, sr_paired, sis, sis_paired, unsupported: the generation proxy beside both downstream proxies.
+
+    Each of those is scored by the squared gap and by the paired distance of truth and guess; unsupported is the share of
+    held-out rows whose condition the subset does not hold, which have no guess.
+    """
     model, out = fit_centroids(b.ref, k, iters), []
     for m in methods:
         rows = stage(b.cand.sparkSession, b.rows(select_by(b, m, budget_of(b.n, rho_bp), rho_bp, k, iters, model)), "rows")
         gap = F.avg(M.square_gap(F.col("truth"), F.col("guess")))
-        sr = M.super_resolution(rows, b.test).agg(gap.alias("sr"))
-        sis = M.from_condition(rows, b.test, "label").agg(gap.alias("sis"))
-        out.append(M.moment_distance(rows, b.test).select(F.lit(m).alias("method"), "moment").crossJoin(sr).crossJoin(sis))
+        sr, sis = M.super_resolution(rows, b.test), M.from_condition(rows, b.test, "label")
+        paired = lambda df, name: M.paired_feature_distance(df, "truth", "guess").select(F.col("paired").alias(name))
+        facts = sr.agg(gap.alias("sr")).crossJoin(paired(sr, "sr_paired"))  # one row each
+        facts = facts.crossJoin(sis.agg(gap.alias("sis"), F.avg(F.col("guess").isNull().cast("double")).alias("unsupported"))).crossJoin(paired(sis, "sis_paired"))
+        out.append(M.moment_distance(rows, b.test).select(F.lit(m).alias("method"), "moment").crossJoin(facts))
     return _union(out)
 
 
+def scale_transfer(benches: dict[str, Bench], rho_bp: int, k: int, iters: int, methods: tuple[str, ...] = ("random", "entropy", "two_stage")) -> DataFrame:
+    """scale, method, n, classes, evenness, moment: the same comparison on pools of several sizes."""
+    parts = []
+    for name, b in benches.items():
+        model = fit_centroids(b.ref, k, iters)
+        rows = [b.rows(select_by(b, m, budget_of(b.n, rho_bp), rho_bp, k, iters, model), scale=name, method=m) for m in methods]
+        parts.append(_measured(_union(rows), b.test, ["scale", "method"]))
+    return _union(parts)
+
+
 def web_filter(pages: DataFrame, min_chars: int, tau: float) -> DataFrame:
     """(sample_id, n_chars, entropy): tags stripped, size and entropy floors, one page of each equal text."""
     text = F.trim(F.regexp_replace(F.regexp_replace("html", "<[^>]*>", " "), "[ \\n\\r\\t]+", " "))

@@ -3,12 +3,18 @@
 from __future__ import annotations
 
 import tempfile
+import threading
 import uuid
+from collections.abc import Callable, Iterator
+from functools import wraps
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
+from ..functions.levels import LUMA, equal_weights
 from ..schemas import SampleSpec
 
 
@@ -33,12 +39,39 @@ def read(spark: SparkSession, path: str, fmt: str, schema: StructType | str | No
     return (reader.schema(schema) if schema is not None else reader).load(path)
 
 
-def read_images(spark: SparkSession, path: str, pattern: str = "*") -> DataFrame:
-    """(sample_id, payload, stratum): raw files as byte payloads; the id is a hash of the path."""
+def read_files(spark: SparkSession, path: str, pattern: str = "*") -> DataFrame:
+    """(sample_id, payload, stratum): raw files as byte payloads; the id is a hash of the path.
+
+    For uncompressed files. The bytes of a compressed image say nothing about its grey levels: read_images decodes them.
+    """
     files = spark.read.format("binaryFile").option("pathGlobFilter", pattern).option("recursiveFileLookup", "true").load(path)
     return files.select(F.xxhash64("path").alias("sample_id"), F.col("content").alias("payload"), F.lit(None).cast("string").alias("stratum"))
 
 
+def read_images(spark: SparkSession, path: str, pattern: str = "*", weights: dict[int, tuple[float, ...]] | None = None) -> DataFrame:
+    """(sample_id, payload, stratum, height, width, bands): decoded images, the payload one byte of grey level for each pixel.
+
+    PNG, JPEG, GIF and BMP files of one, three or four bands; what cannot be decoded is left out. Grey is the weighted sum
+    of the bands in file order (red, green, blue, and the fourth), rounded: luminance weights for three bands, equal ones
+    for four, unless weights has others by number of bands. The id is a hash of the path.
+    """
+    weights = {1: (1.0,), 3: LUMA, 4: equal_weights(4)} | (weights or {})
+    files = spark.read.format("image").option("dropInvalid", True).option("pathGlobFilter", pattern).option("recursiveFileLookup", "true").load(path)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            gray = []
+            for n, data in zip(batch.column(3).to_pylist(), batch.column(4), strict=True):
+                pixels = np.frombuffer(data.as_buffer(), np.uint8).reshape(-1, n)
+                order = [0] if n == 1 else [2, 1, 0, 3][:n]  # decoded pixels begin with blue
+                gray.append(np.clip(np.rint(pixels[:, order] @ np.array(weights[n])), 0, 255).astype(np.uint8).tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(gray, pa.binary()), *batch.columns[1:4]], ["sample_id", "payload", "height", "width", "bands"])
+
+    rows = files.select(F.xxhash64("image.origin").alias("sample_id"), "image.height", "image.width", "image.nChannels", "image.data")
+    out = rows.mapInArrow(run, "sample_id long, payload binary, height int, width int, bands int")
+    return out.select("sample_id", "payload", F.lit(None).cast("string").alias("stratum"), "height", "width", "bands")
+
+
 def stream(spark: SparkSession, path: str, fmt: str, schema: StructType, **options) -> DataFrame:
     return spark.readStream.format(fmt).schema(schema).options(**options).load(path)
 
@@ -64,17 +97,52 @@ def materialize_selection(samples: DataFrame, selected: DataFrame) -> DataFrame:
 
 
 def work_dir(spark: SparkSession) -> str:
-    """Folder shared by driver and executors: spark.checkpoint.dir, or one of our own where it is unset."""
-    conf = spark.conf.get("spark.checkpoint.dir", None)
+    """Folder that the driver and all executors share: spark.checkpoint.dir. In local mode one of our own where it is unset; on a cluster it must be set."""
+    conf = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not conf:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         conf = getattr(work_dir, "own", None)
         if conf is None:
             conf = work_dir.own = "file://" + tempfile.mkdtemp(prefix="subsetlab-")
     return conf.rstrip("/")
 
 
+_here = threading.local()
+
+
 def stage(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
     """Write a narrow stage table into the shared folder and read it back: later steps reuse it, lost executors cost little."""
     path = f"{work_dir(spark)}/{name}-{uuid.uuid4().hex[:12]}"
     df.write.parquet(path)
+    staged().append(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def staged() -> list[str]:
+    """Stage folders of this thread that are still there."""
+    if not hasattr(_here, "paths"):
+        _here.paths = []
+    return _here.paths
+
+
+def drop_stages(spark: SparkSession, since: int = 0, *results: DataFrame) -> None:
+    """Delete this thread's stage folders, from the since-th on, that the results do not read."""
+    read = {part for r in results for file in r.inputFiles() for part in file.split("/")}
+    for path in [p for p in staged()[since:] if p.rsplit("/", 1)[1] not in read]:
+        place = spark._jvm.org.apache.hadoop.fs.Path(path)
+        place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+        staged().remove(path)
+
+
+def tidy(build: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
+    """Decorator of a function of (spark, ...): when it returns, the stage tables that its result does not read are deleted."""
+
+    @wraps(build)
+    def run(spark: SparkSession, *args, **kwargs) -> DataFrame:
+        since = len(staged())
+        out = build(spark, *args, **kwargs)
+        drop_stages(spark, since, out)
+        return out
+
+    return run

@@ -61,16 +61,15 @@ def top_q_stateful(assigned: DataFrame, q: int) -> DataFrame:
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
     def step(key: tuple, batches, state: GroupState):
-        held = list(state.get[0]) if state.exists else []
-        held = [(-r[0], r[1]) for r in zip(held[::2], held[1::2], strict=True)]
+        held = list(zip(*state.get, strict=True)) if state.exists else []
         for pdf in batches:
-            held += [(-round(s, 9), i) for s, i in zip(pdf["sim"], pdf["sample_id"], strict=True)]
+            held += [(-round(s, 9), int(i)) for s, i in zip(pdf["sim"], pdf["sample_id"], strict=True)]
         held = sorted(set(held))[:q]
-        state.update(([x for s, i in held for x in (-s, float(i))],))
-        yield pd.DataFrame({"cluster_id": [key[0]] * len(held), "sample_id": [int(i) for _, i in held], "sim": [-s for s, _ in held]})
+        state.update(([s for s, _ in held], [i for _, i in held]))
+        yield pd.DataFrame({"cluster_id": [key[0]] * len(held), "sample_id": [i for _, i in held], "sim": [-s for s, _ in held]})
 
     rows = assigned.filter("cluster_id IS NOT NULL")
-    return rows.groupBy("cluster_id").applyInPandasWithState(step, "cluster_id int, sample_id long, sim double", "best array<double>", "update", GroupStateTimeout.NoTimeout)
+    return rows.groupBy("cluster_id").applyInPandasWithState(step, "cluster_id int, sample_id long, sim double", "best array<double>, ids array<long>", "update", GroupStateTimeout.NoTimeout)
 
 
 def drain(query_frame: DataFrame, path: str, mode: str = "append") -> None:
@@ -81,5 +80,3 @@ def drain(query_frame: DataFrame, path: str, mode: str = "append") -> None:
 
 def drain_batches(query_frame: DataFrame, path: str, fn: Callable[[DataFrame, int], None], mode: str = "append") -> None:
     query_frame.writeStream.outputMode(mode).option("checkpointLocation", f"{path}-checkpoint").trigger(availableNow=True).foreachBatch(fn).start().awaitTermination()
-
-

@@ -7,8 +7,9 @@ from subsetlab.operators import assign as A
 from subsetlab.operators import centroids as C
 from subsetlab.operators import measures as M
 from subsetlab.operators import sampling as S
-from subsetlab.operators.select import SelectionPlanner, top_n, top_q_per_group
+from subsetlab.operators.select import SelectionPlanner, flag_top_q, group_median, rank_in_group, top_n, top_q_per_group
 from subsetlab.plans.pipeline import budget_of, default_stage1_keep
+from subsetlab.sources.tables import stage
 
 FORCE = SelectionPlanner(sort_rows=0, window_rows=0, boundary_rows=3)
 POOL = [(1, 0, 0.99), (2, 0, 0.95), (3, 0, 0.90), (4, 0, 0.70), (5, 1, 0.60)]
@@ -59,8 +60,8 @@ def test_kmeans_against_numpy(spark, sf):
             if (at == k).any():
                 c[k] = z[at == k].sum(0)
         c /= np.linalg.norm(c, axis=1, keepdims=True)
-    for parts in (1, 7):
-        fitted = C.fit_centroids(e_ref(spark, sf).repartition(parts), 12, 4)
+    for parts, local in ((1, 0), (7, 0), (3, 10**6)):
+        fitted = C.fit_centroids(e_ref(spark, sf).repartition(parts), 12, 4, local_numbers=local)
         assert np.abs(fitted.matrix - c).max() < 1e-9
         assert np.allclose(fitted.history, gains) and all(b >= a - 1e-9 for a, b in zip(gains, gains[1:], strict=False))
     with pytest.raises(ValueError, match="clusters need"):
@@ -73,7 +74,7 @@ def test_model_round_trip(spark, tmp_path):
     assert (C.CentroidModel.load(spark, str(tmp_path / "m")).matrix == m.matrix).all()
 
 
-@settings(max_examples=12, deadline=None, suppress_health_check=[HealthCheck.function_scoped_fixture])
+@settings(max_examples=8, deadline=None, suppress_health_check=[HealthCheck.function_scoped_fixture])
 @given(st.lists(st.tuples(st.integers(0, 3), st.integers(0, 6)), min_size=1, max_size=60), st.integers(0, 70))
 def test_kernels_against_sorting(spark, rows, n):
     df = spark.createDataFrame([(i, g, s / 3) for i, (g, s) in enumerate(rows)], "id long, g int, s double")
@@ -83,6 +84,32 @@ def test_kernels_against_sorting(spark, rows, n):
     assert {r.id for r in top_q_per_group(df, "g", n, "s", "id", FORCE).collect()} == want
 
 
+@settings(max_examples=4, deadline=None, suppress_health_check=[HealthCheck.function_scoped_fixture])
+@given(st.lists(st.tuples(st.integers(0, 3), st.integers(0, 5)), min_size=1, max_size=50), st.lists(st.integers(0, 20), min_size=4, max_size=4))
+def test_group_kernels_against_sorting(spark, rows, quotas):
+    df = stage(spark, spark.createDataFrame([(i, g, s / 3) for i, (g, s) in enumerate(rows)], "id long, g int, s double"), "t")
+    order = {g: sorted((-s / 3, i) for i, (h, s) in enumerate(rows) if h == g) for g in range(4)}
+    quota = spark.createDataFrame(list(enumerate(quotas)), "g int, quota long")
+    want = {i for g in range(4) for _, i in order[g][: quotas[g]]}
+    for planner in (SelectionPlanner(), FORCE):
+        assert {r.id for r in flag_top_q(df, "g", quota, "s", "id", planner).collect() if r.picked} == want
+        assert {r.id: r.rank for r in rank_in_group(df, "g", "s", "id", "rank", planner).collect()} == {i: k for g in order.values() for k, (_, i) in enumerate(g, 1)}
+        got = {r.g: (r.median, r.n) for r in group_median(df, "g", "s", "id", planner).collect()}
+        assert {g: (pytest.approx(np.median([-s for s, _ in v])), len(v)) for g, v in order.items() if v} == got
+
+
+def test_plans_of_group_kernels(spark, sf):
+    """Few winners: groups are limited early. Flags: no window over whole groups. Selected vectors meet narrow rows only."""
+    rows = stage(spark, spark.range(5000).selectExpr("id AS sample_id", "CAST(id % 7 AS INT) AS cluster_id", "id / 7.0 AS sim"), "t")
+    plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    assert "WindowGroupLimit" in plan(top_q_per_group(rows, "cluster_id", 20, "sim", "sample_id"))
+    for planner in (SelectionPlanner(), FORCE):
+        flagged = plan(flag_top_q(rows, "cluster_id", 20, "sim", "sample_id", planner))
+        assert "Window" not in flagged and "Exchange hashpartitioning" not in flagged and "BroadcastHashJoin" in flagged
+    dealt = rank_in_group(rows, "cluster_id", "sim", "sample_id", "r", SelectionPlanner(sort_rows=10))
+    assert "hashpartitioning(cluster_id" in plan(dealt) and "_p" in plan(dealt).split("hashpartitioning(cluster_id")[1][:20]
+
+
 def test_selection_invariants(spark, sf):
     from subsetlab.catalog.inputs import e_pool, e_ref
 

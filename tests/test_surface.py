@@ -1,10 +1,16 @@
 import datetime as dt
+import math
+import struct
+import zlib
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from subsetlab.operators import baselines as B
+from subsetlab.operators import features as F_
 from subsetlab.operators import measures as M
+from subsetlab.operators import pairs as PR
 from subsetlab.operators.centroids import CentroidModel, reference_bank
 from subsetlab.operators.features import hashed_tokens
 from subsetlab.session import get_session
@@ -28,18 +34,72 @@ def test_read_write(spark, tmp_path):
     assert T.materialize_selection(samples, df.filter("sample_id < 4")).count() == 4
 
 
-def test_images(spark, tmp_path):
+def test_raw_files(spark, tmp_path):
     for i in range(3):
         (tmp_path / f"{i}.raw").write_bytes(bytes(range(i * 20 + 1)))
-    images = T.read_images(spark, str(tmp_path), "*.raw")
+    images = T.read_files(spark, str(tmp_path), "*.raw")
     from subsetlab.operators.entropy import sample_entropy
 
-    import math
-
     got = sorted(r.entropy for r in sample_entropy(images).collect())
     assert got == pytest.approx([0, math.log(21), math.log(41)])
 
 
+def png(path, width, rows, color):
+    """A PNG file of 8-bit rows; color 0 is grey, 2 is red, green, blue, 6 has a fourth band."""
+    chunk = lambda kind, data: struct.pack(">I", len(data)) + kind + data + struct.pack(">I", zlib.crc32(kind + data))
+    head = struct.pack(">IIBBBBB", width, len(rows), 8, color, 0, 0, 0)
+    path.write_bytes(b"\x89PNG\r\n\x1a\n" + chunk(b"IHDR", head) + chunk(b"IDAT", zlib.compress(b"".join(b"\0" + bytes(r) for r in rows))) + chunk(b"IEND", b""))
+
+
+def test_images_are_decoded_to_grey_levels(spark, tmp_path):
+    from subsetlab.operators.entropy import sample_entropy
+
+    png(tmp_path / "a.png", 4, [[0, 0, 255, 255], [0, 0, 255, 255]], 0)
+    png(tmp_path / "b.png", 2, [[255, 0, 0, 0, 255, 0], [0, 0, 255, 10, 10, 10]], 2)
+    png(tmp_path / "c.png", 2, [[8, 16, 24, 32, 40, 40, 40, 40]], 6)
+    (tmp_path / "d.png").write_bytes(b"no image")
+    images = T.read_images(spark, str(tmp_path))
+    got = {r.bands: (list(r.payload), r.height, r.width) for r in images.collect()}
+    assert got == {1: ([0, 0, 255, 255] * 2, 2, 4), 3: ([76, 150, 29, 10], 2, 2), 4: ([20, 40], 1, 2)}
+    entropies = {r.sample_id: r.entropy for r in sample_entropy(images).collect()}
+    assert sorted(entropies.values()) == pytest.approx([math.log(2), math.log(2), math.log(4)])
+    red = T.read_images(spark, str(tmp_path), "b.png", {3: (1.0, 0.0, 0.0)}).first()
+    assert list(red.payload) == [255, 0, 0, 10]
+
+
+def test_any_encoder_plugs_in(spark):
+    class MeanAndSpread:
+        size = 2
+
+        def __call__(self, payloads):
+            return np.array([[np.nan] * 2 if not p else [np.mean(list(p)), np.std(list(p))] for p in payloads.to_pylist()])
+
+    df = spark.createDataFrame([(1, bytearray([1, 3])), (2, bytearray()), (3, None)], "sample_id long, payload binary")
+    assert {r.sample_id: r.vec for r in F_.encode(df, MeanAndSpread()).collect()} == {1: [2.0, 1.0], 2: None, 3: None}
+
+
+def test_broken_vectors_have_no_levels(spark):
+    from subsetlab.operators.entropy import sample_entropy
+    from subsetlab.schemas import VECTOR
+
+    nan, inf = float("nan"), float("inf")
+    rows = [(1, [0.1, 0.2, -0.3]), (2, [nan, 0.1, 0.2]), (3, [0.1, None, 0.2]), (4, [inf, 0.1, 0.2]), (5, None), (6, [])]
+    for engine in ("arrow", "sql"):
+        for lo in (-0.5, None):
+            got = {r.sample_id: r.entropy for r in sample_entropy(spark.createDataFrame(rows, "sample_id long, payload array<double>"), VECTOR, engine, lo=lo).collect()}
+            assert got[1] > 0.6 and [got[i] for i in range(2, 7)] == [0] * 5
+
+
+def test_stream_state_keeps_large_ids(spark, tmp_path):
+    src, out, big = str(tmp_path / "src"), str(tmp_path / "out"), 2**62 + 1
+    for k in range(2):
+        spark.createDataFrame([(big + 2 * k, 0, 0.5), (big + 2 * k + 1, 0, 0.1)], "sample_id long, cluster_id int, sim double").coalesce(1).write.mode("append").parquet(src)
+        stream = spark.readStream.schema("sample_id long, cluster_id int, sim double").parquet(src)
+        got = []
+        ST.drain_batches(ST.top_q_stateful(stream, 2), out, lambda df, _: got.extend(df.collect()), "update")
+    assert {r.sample_id for r in got} == {big, big + 2}
+
+
 def test_bucketed_join_needs_no_exchange(spark):
     df = spark.range(1000).withColumnRenamed("id", "k")
     for name in ("bucket_a", "bucket_b"):
@@ -105,9 +165,40 @@ def vectors(spark, rows):
 
 def test_retrieval_blocks_do_not_matter(spark):
     pool, ref = vectors(spark, [(1, i / 7) for i in range(20)]), vectors(spark, [(i / 5, 1) for i in range(7)])
-    a, b = ({tuple(r) for r in B.nearest_rows(pool, ref, 3, block).collect()} for block in (2, 100))
+    a, b = ({tuple(r) for r in PR.nearest_rows(pool, ref, 3, block).collect()} for block in (2, 100))
     assert a == b and len(a) == 21
-    assert {r.sample_id: round(r.best, 9) for r in B.best_similarity(pool, ref, 2).collect()} == {r.sample_id: round(r.best, 9) for r in B.best_similarity(pool, ref).collect()}
+    assert {r.sample_id: round(r.best, 9) for r in PR.best_similarity(pool, ref, 2).collect()} == {r.sample_id: round(r.best, 9) for r in PR.best_similarity(pool, ref).collect()}
+
+
+def test_similar_pairs_against_all_pairs(spark):
+    rng = np.random.default_rng(7)
+    centre = rng.normal(size=(6, 5))
+    rows = np.concatenate([centre[rng.integers(0, 6, 300)] + rng.normal(size=(300, 5)) * 0.15, np.zeros((1, 5))])
+    df = vectors(spark, rows)
+    z = rows[:300] / np.linalg.norm(rows[:300], axis=1, keepdims=True)
+    sim = np.round(z @ z.T, 9)
+    for least in (0.99, 0.9, 0.2):
+        want = {(a, b) for a, b in zip(*(x.tolist() for x in np.nonzero(sim >= least)), strict=True) if a < b}
+        for pivots, block in ((3, 1000), (40, 17)):
+            found = [(r.a, r.b) for r in PR.similar_pairs(df, least, pivots, block).collect()]
+            assert len(found) == len(set(found)) and set(found) == want
+    assert PR.similar_pairs(df.limit(0), 0.9).count() == 0
+    left = {r.sample_id for r in PR.drop_near_copies(df, 0.99).collect()}
+    assert left == {i for i in range(301)} - {b for _, b in zip(*(x.tolist() for x in np.nonzero(np.triu(sim >= 0.99, 1))), strict=True)}
+
+
+def test_scores_of_any_scale_rank(spark):
+    from subsetlab.operators.select import SelectionPlanner
+
+    samples = spark.range(200).withColumnRenamed("id", "sample_id")
+    for scale in (1e-3, 1.0, 1e12):
+        scores = samples.withColumn("score", F.floor(F.col("sample_id") / 2) * scale).unionByName(spark.createDataFrame([(500, None), (501, float("nan"))], "sample_id long, score double"))
+        for planner in (SelectionPlanner(), SelectionPlanner(sort_rows=0, boundary_rows=1)):
+            assert {r.sample_id for r in B.score_ranked(samples, scores, 20, planner).collect()} == set(range(180, 200))
+    flat = samples.withColumn("score", F.lit(0.5))
+    first = {r.sample_id for r in B.score_ranked(samples, flat, 20).collect()}
+    assert first == {r.sample_id for r in B.score_ranked(samples, flat, 20, SelectionPlanner(sort_rows=0, boundary_rows=1)).collect()}
+    assert first == {r.sample_id for r in B.random_rows(samples, 20).collect()}
 
 
 def test_measures_in_words(spark):
