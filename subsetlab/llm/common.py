@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import ctypes
+import shutil
 import tempfile
 import threading
 import uuid
@@ -36,7 +38,9 @@ def shared_dir(spark: SparkSession) -> str:
             raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         conf = getattr(shared_dir, "own", None)
         if conf is None:
-            conf = shared_dir.own = "file://" + tempfile.mkdtemp(prefix="subsetlab-")
+            own = tempfile.mkdtemp(prefix="subsetlab-")
+            atexit.register(shutil.rmtree, own, ignore_errors=True)
+            conf = shared_dir.own = "file://" + own
     return conf.rstrip("/")
 
 

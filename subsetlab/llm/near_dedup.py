@@ -264,7 +264,10 @@ def near_components(spark: SparkSession, docs: DataFrame, k: int = 5, percent: i
 
 @tidy
 def drop_near_copies(spark: SparkSession, docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
-    """docs with one document, the smallest doc_id, of each component; columns unchanged."""
+    """docs with one document, the smallest doc_id, of each component; columns unchanged.
+
+    Rows that share a doc_id are one document: if any of their texts links to a smaller doc_id, all of them go. Rows without doc_id stay.
+    """
     lost = materialize(spark, near_components(spark, docs, k, percent).filter(~F.col("kept")).select("doc_id").distinct(), "near-copies")
     return docs.join(small_side(lost), "doc_id", "left_anti").select(*docs.columns)
 

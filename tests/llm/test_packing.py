@@ -8,7 +8,7 @@ from hypothesis import strategies as st
 from tokenizers import Tokenizer
 
 from subsetlab.llm.common import materialize
-from subsetlab.llm.packing import best_fit, op9_best_fit_packing, pack, pack_documents
+from subsetlab.llm.packing import FAN_IN, _passed_up, best_fit, op9_best_fit_packing, pack, pack_documents
 from subsetlab.llm.word_bpe import WordBpe
 
 PATH = public_tokenizers.path("word_bpe_49k.json")
@@ -83,6 +83,32 @@ def test_texts_of_more_stretches_than_the_table_holds():
         assert len(bpe.hashes) <= 60
 
 
+def test_cuts_at_multiples_and_very_long_texts(spark):
+    library = Tokenizer.from_file(PATH)
+    word = "the "
+    assert len(library.encode(word * 10, add_special_tokens=False).ids) == 10
+    texts = {1: word * 2047, 2: word * 2048, 3: word * 4095, 4: "ab12 " * 60_000, 5: "x" * 30_000}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    out = pack_documents(spark, docs).collect()
+    assert check(out, 2048) >= sum(r.length for r in out) / 2048
+    cut = {d: [r.length for r in sorted((r for r in out if r.doc_id == d), key=lambda r: r.piece)] for d in texts}
+    assert (cut[1], cut[2], cut[3]) == ([2048], [2048, 1], [2048, 2048])
+    for d in (4, 5):
+        ids = np.array([*library.encode(texts[d], add_special_tokens=False).ids, 0], "<u4")
+        assert sum(cut[d]) == len(ids) and set(cut[d][:-1]) <= {2048}
+        assert {r.ids_crc32 for r in out if r.doc_id == d} == {zlib.crc32(ids[a : a + 2048].tobytes()) for a in range(0, len(ids), 2048)}
+
+
+def test_merge_nodes_stay_small(spark):
+    rng = np.random.default_rng(8)
+    sizes = rng.integers(1, 65, 6000)
+    pieces = materialize(spark, spark.createDataFrame([(i, int(x)) for i, x in enumerate(sizes)], "id long, length long"), "t")
+    out = pack(spark, pieces, 64, leaf_pieces=20).collect()  # 300 leaves, three levels
+    assert check(out, 64) <= 1.2 * sizes.sum() / 64
+    fill = np.array([40] * 500 + [20])
+    assert _passed_up(fill, 64, 2, 0).sum() == 1 + 2 * FAN_IN
+
+
 def test_nulls_and_empty_table(spark):
     docs = spark.createDataFrame([(1, None, 9), (2, "", 9), (2, "", 9)], "doc_id long, text string, length long")
     out = pack_documents(spark, docs).collect()
