@@ -8,6 +8,7 @@ from ..operators import assign as A
 from ..operators import baselines as B
 from ..operators import centroids as C
 from ..operators import entropy as H
+from ..operators import features
 from ..operators import measures as M
 from ..operators import sampling as S
 from ..operators.pairs import drop_near_copies
@@ -120,6 +121,13 @@ def _(spark, d):
     return B.rule_curation(samples, H.sample_entropy(docs(spark, d)), 300, 2.6, 15)
 
 
+@R.add("bl_rules_classes_copies", P.with_(P.DOC_H, P.DOC_VEC, "cl AS (SELECT source FROM documents JOIN dh ON id = doc_id GROUP BY source HAVING round(avg(h), 9) >= 2.87)", "f AS MATERIALIZED (SELECT doc_id AS id, source FROM documents JOIN dh ON id = doc_id WHERE length(text) >= 300 AND h >= 2.6 AND source IN (SELECT source FROM cl) AND doc_id IN (SELECT min(doc_id) FROM documents WHERE length(text) >= 300 GROUP BY text))", "v AS MATERIALIZED (SELECT id, z FROM dz JOIN f USING (id))", "n AS (SELECT DISTINCT b.id FROM v a JOIN v b ON a.id < b.id AND round(list_dot_product(a.z, b.z), 9) >= 0.95)", select=f"SELECT id AS sample_id, source FROM (SELECT *, row_number() OVER (PARTITION BY source ORDER BY {P.hash_order('id')}, id) AS rk FROM f WHERE id NOT IN (SELECT id FROM n)) WHERE rk <= 15"))
+def _(spark, d):
+    """The rules, and besides no near copies and no sources of low mean entropy."""
+    samples = docs(spark, d).drop("stratum").join(table(spark, d, "documents").select(F.col("doc_id").alias("sample_id"), "source"), "sample_id")
+    return B.rule_curation(samples, H.sample_entropy(docs(spark, d)), 300, 2.6, 15, 2.87, features.hashed_tokens(docs(spark, d)).filter("vec IS NOT NULL"))
+
+
 _SCORE = "(quality * 1000 + n_chars * 100 // (n_chars + 1000)) / 3000.0::DOUBLE"
 
 

@@ -13,7 +13,7 @@ from ..sources.tables import stage
 from .assign import assign_clusters
 from .centroids import CentroidModel, class_centroids, fit_centroids, fit_minibatch
 from .features import random_projection
-from .pairs import best_similarity, drop_near_copies, nearest_rows
+from .pairs import best_similarity, drop_near_copies, nearest_rows, similar_pairs
 from .sampling import allocate, hash_order, scene_sample, take_allocated, take_quota
 from .select import DEFAULT, SelectionPlanner, flag_top_q, group_median, top_n, top_q_per_group
 
@@ -81,14 +81,29 @@ def anchor_stratified(samples: DataFrame, strata: list[Column], budget: int, see
     return top_n(scored, budget, "_k", "sample_id", planner).select("sample_id", "stratum")
 
 
-def rule_curation(docs: DataFrame, scored: DataFrame, min_chars: int, tau: float, per_source: int, planner: SelectionPlanner = DEFAULT) -> DataFrame:
+def informative_classes(samples: DataFrame, scored: DataFrame, group: str, tau: float) -> DataFrame:
+    """(group): classes whose mean entropy is at least tau, for leaving out those of little information as a whole."""
+    means = samples.select("sample_id", group).join(scored.select("sample_id", "entropy"), "sample_id").groupBy(group).agg(F.avg("entropy").alias("mean"))
+    return means.filter(F.round("mean", 9) >= tau).select(group)
+
+
+def rule_curation(docs: DataFrame, scored: DataFrame, min_chars: int, tau: float, per_source: int, class_tau: float | None = None, vectors: DataFrame | None = None, copies: float = 0.95, planner: SelectionPlanner = DEFAULT) -> DataFrame:
     """(sample_id, source): one row of each equal text, size and entropy floors, a cap for each source in hash order. Rules are ours.
 
-    Equal texts are told by a 256-bit digest, so only digests and ids are exchanged.
+    class_tau leaves out sources of a lower mean entropy; with vectors (sample_id, vec) also the near copies, from the
+    similarity copies on, of smaller ids. Equal texts are told by a 256-bit digest, so only digests and ids are exchanged.
     """
     long = docs.filter(F.length("payload") >= min_chars).select("sample_id", "source", F.sha2("payload", 256).alias("digest"))
     first = long.groupBy("digest").agg(F.min(F.struct("sample_id", "source")).alias("r")).select("r.*")
     kept = first.join(scored.filter(F.col("entropy") >= tau).select("sample_id"), "sample_id", "left_semi")
+    if class_tau is not None:
+        classes = stage(docs.sparkSession, informative_classes(docs, scored, "source", class_tau), "classes")
+        kept = kept.join(planner.small(classes), "source", "left_semi").select("sample_id", "source")
+    if vectors is not None:
+        kept = stage(docs.sparkSession, kept, "kept")
+        own = vectors.select("sample_id", "vec").join(kept, "sample_id", "left_semi")
+        found = stage(docs.sparkSession, similar_pairs(own, copies).select(F.col("b").alias("sample_id")).distinct(), "copies")
+        kept = kept.join(found, "sample_id", "left_anti")
     kept = stage(docs.sparkSession, kept.withColumn("_h", -hash_order()), "kept")
     return top_q_per_group(kept, "source", per_source, "_h", "sample_id", planner).select("sample_id", "source")
 

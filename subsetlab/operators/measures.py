@@ -92,7 +92,7 @@ def super_resolution(selected: DataFrame, test: DataFrame, side: int = 8, cell:
     """(test_id, truth, guess): each held-out row's low version finds the nearest low version in the subset; its high version is the guess."""
     low = lambda df: df.select("sample_id", pooled(F.col("vec"), side, cell).alias("vec"))
     found = nearest_rows(low(selected), low(test), 1).select("ref_id", "sample_id")
-    return found.join(selected.select("sample_id", F.col("vec").alias("guess")), "sample_id").join(F.broadcast(test.select(F.col("sample_id").alias("ref_id"), F.col("vec").alias("truth"))), "ref_id").select(F.col("ref_id").alias("test_id"), "truth", "guess")
+    return found.join(selected.select("sample_id", F.col("vec").alias("guess")), "sample_id").join(test.select(F.col("sample_id").alias("ref_id"), F.col("vec").alias("truth")), "ref_id").select(F.col("ref_id").alias("test_id"), "truth", "guess")
 
 
 def condition_means(selected: DataFrame, condition: str) -> DataFrame:
@@ -102,7 +102,7 @@ def condition_means(selected: DataFrame, condition: str) -> DataFrame:
 
 def from_condition(selected: DataFrame, test: DataFrame, condition: str) -> DataFrame:
     """(test_id, truth, guess): the subset's mean for the held-out row's condition; guess is null without support."""
-    return test.join(F.broadcast(condition_means(selected, condition)), condition, "left").select(F.col("sample_id").alias("test_id"), F.col("vec").alias("truth"), "guess")
+    return test.join(condition_means(selected, condition), condition, "left").select(F.col("sample_id").alias("test_id"), F.col("vec").alias("truth"), "guess")
 
 
 def balance(selected: DataFrame, key: str, k: int | None = None) -> DataFrame:

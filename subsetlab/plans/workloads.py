@@ -191,16 +191,18 @@ def restoration_scores(b: Bench, rho_bp: int, k: int, iters: int, methods: tuple
     Each of those is scored by the squared gap and by the paired distance of truth and guess; unsupported is the share of
     held-out rows whose condition the subset does not hold, which have no guess.
     """
-    model, out = fit_centroids(b.ref, k, iters), []
+    spark, model, rows, pairs = b.cand.sparkSession, fit_centroids(b.ref, k, iters), [], []
     for m in methods:
-        rows = stage(b.cand.sparkSession, b.rows(select_by(b, m, budget_of(b.n, rho_bp), rho_bp, k, iters, model)), "rows")
-        gap = F.avg(M.square_gap(F.col("truth"), F.col("guess")))
-        sr, sis = M.super_resolution(rows, b.test), M.from_condition(rows, b.test, "label")
-        paired = lambda df, name: M.paired_feature_distance(df, "truth", "guess").select(F.col("paired").alias(name))
-        facts = sr.agg(gap.alias("sr")).crossJoin(paired(sr, "sr_paired"))  # one row each
-        facts = facts.crossJoin(sis.agg(gap.alias("sis"), F.avg(F.col("guess").isNull().cast("double")).alias("unsupported"))).crossJoin(paired(sis, "sis_paired"))
-        out.append(M.moment_distance(rows, b.test).select(F.lit(m).alias("method"), "moment").crossJoin(facts))
-    return _union(out)
+        own = stage(spark, b.rows(select_by(b, m, budget_of(b.n, rho_bp), rho_bp, k, iters, model), method=m), "rows")
+        rows.append(own)
+        for kind, found in (("sr", M.super_resolution(own, b.test)), ("sis", M.from_condition(own, b.test, "label"))):
+            pairs.append(found.select(F.lit(m).alias("method"), F.lit(kind).alias("kind"), "truth", "guess"))
+    both = stage(spark, _union(pairs), "pairs")
+    gaps = both.groupBy("method").agg(*[F.avg(F.when(F.col("kind") == kind, M.square_gap(F.col("truth"), F.col("guess")))).alias(kind) for kind in ("sr", "sis")], F.avg(F.when(F.col("kind") == "sis", F.col("guess").isNull().cast("double"))).alias("unsupported"))
+    paired = M.paired_feature_distance(both, "truth", "guess", 8, "method", "kind").groupBy("method").pivot("kind", ["sr", "sis"]).agg(F.first("paired"))
+    paired = paired.select("method", F.col("sr").alias("sr_paired"), F.col("sis").alias("sis_paired"))
+    moments = M.moment_distance(stage(spark, _union(rows), "tagged"), b.test, "method").select("method", "moment")
+    return moments.join(gaps, "method").join(paired, "method")
 
 
 def scale_transfer(benches: dict[str, Bench], rho_bp: int, k: int, iters: int, methods: tuple[str, ...] = ("random", "entropy", "two_stage")) -> DataFrame:

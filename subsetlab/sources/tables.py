@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import threading
 import uuid
@@ -104,7 +106,9 @@ def work_dir(spark: SparkSession) -> str:
             raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         conf = getattr(work_dir, "own", None)
         if conf is None:
-            conf = work_dir.own = "file://" + tempfile.mkdtemp(prefix="subsetlab-")
+            own = tempfile.mkdtemp(prefix="subsetlab-")
+            atexit.register(shutil.rmtree, own, ignore_errors=True)
+            conf = work_dir.own = "file://" + own
     return conf.rstrip("/")
 
 

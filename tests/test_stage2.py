@@ -136,6 +136,23 @@ def test_moment_distance(spark):
     assert M.moment_distance_full(same, same, 2) == pytest.approx(0, abs=1e-6)
 
 
+def test_prune_assigns_before_it_joins_many_survivors(spark, monkeypatch):
+    from subsetlab.plans import pipeline
+
+    rng = np.random.default_rng(11)
+    vectors = stage(spark, spark.createDataFrame([(i, rng.normal(size=4).tolist()) for i in range(60)], "sample_id long, vec array<double>"), "v")
+    scored = spark.createDataFrame([(i, float(x)) for i, x in enumerate(rng.random(60))], "sample_id long, entropy double")
+    m = model([1, 0, 0, 0], [0, 1, 0, 0], [0, 0, 1, 0])
+    few = {tuple(r) for r in pipeline.prune(scored, vectors, m, 8500).selected.collect()}
+    joined = []
+    monkeypatch.setattr(pipeline, "BROADCAST_IDS", 0)
+    monkeypatch.setattr(pipeline, "stage", lambda s, df, name: joined.append((name, df._jdf.queryExecution().analyzed().toString())) or stage(s, df, name))
+    many = {tuple(r) for r in pipeline.prune(scored, vectors, m, 8500).selected.collect()}
+    assert few == many and len(few) == 9
+    plan = dict(joined)["assigned"]
+    assert plan.index("Join LeftSemi") < plan.index("MapInArrow")  # the join stands above the map
+
+
 def test_budgets():
     assert [budget_of(1001, r) for r in (0, 7000, 8500, 10_000)] == [1001, 300, 150, 0]
     assert [default_stage1_keep(r) for r in (9000, 8500, 7000, 5000, 0)] == [3000, 3000, 6000, 10_000, 10_000]
