@@ -4,7 +4,6 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..operators import assign as A
 from ..operators import baselines as B
 from ..operators import centroids as C
 from ..operators import entropy as H
@@ -14,7 +13,7 @@ from ..operators import sampling as S
 from ..operators.pairs import drop_near_copies
 from ..sources.tables import stage, table
 from . import sqlparts as P
-from .core import E_ASSIGNED, E_MODEL, HALF, e_assigned, e_model, r6
+from .core import E_ASSIGNED, HALF, e_assigned, e_model, r6
 from .inputs import BANK_LABELS, ITERS, K_E, bank, docs, e_all, e_candidates, e_pool, e_ref, e_scores, e_test
 from .registry import Registry
 

@@ -2,11 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions import levels as L
-from ..functions import vectors as V
 from ..operators import assign as A
 from ..operators import centroids as C
 from ..operators import entropy as H
@@ -14,10 +12,10 @@ from ..operators import features
 from ..operators import sampling as S
 from ..operators.select import SelectionPlanner, top_n, top_q_per_group
 from ..plans.pipeline import prune
-from ..schemas import BYTES, CONVERSATIONS, EMBEDDINGS, PAGES, VECTOR
+from ..schemas import CONVERSATIONS, EMBEDDINGS, PAGES, VECTOR
 from ..sources.tables import load_samples, stage, table
 from . import sqlparts as P
-from .inputs import BANK_LABELS, ITERS, K_D, K_E, bank, curated_ids, d_pool, d_pool_samples, d_ref, docs, e_all, e_pool, e_ref, e_scores
+from .inputs import BANK_LABELS, ITERS, K_D, K_E, bank, d_pool, d_pool_samples, d_ref, docs, e_all, e_pool, e_ref, e_scores
 from .registry import Registry
 
 R = Registry()

@@ -8,7 +8,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import vectors as V
@@ -190,12 +190,29 @@ def op_counts(n: int, k: int, d: int, payload: int, iters: int, ref: int) -> dic
     return {"entropy": float(n * payload), "centroids": float(iters * ref * k * d), "assignment": float(n * k * d), "sampling": n * math.log2(max(n / k, 2))}
 
 
+def _stages(spark: SparkSession) -> dict[int, int]:
+    """Shuffle bytes written by each stage that the session's status store still holds."""
+    sc = spark.sparkContext
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    found = sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(sc._gateway.jvm.double, 0), None)
+    return {s.stageId(): s.shuffleWriteBytes() for s in (found.apply(i) for i in range(found.size()))}
+
+
 class CostReport:
-    """with CostReport() as c: ...; c.seconds has the wall time of the block."""
+    """with CostReport(spark) as c: ...; c.seconds has the wall time of the block, c.shuffle_bytes what its stages wrote for exchanges.
+
+    Stages of other threads count too; without a session only the time is taken.
+    """
+
+    def __init__(self, spark: SparkSession | None = None):
+        self._spark, self.shuffle_bytes = spark, None
 
     def __enter__(self) -> CostReport:
+        self._last = max(_stages(self._spark), default=-1) if self._spark else -1
         self._t = time.perf_counter()
         return self
 
     def __exit__(self, *_) -> None:
         self.seconds = time.perf_counter() - self._t
+        if self._spark:
+            self.shuffle_bytes = sum(b for i, b in _stages(self._spark).items() if i > self._last)

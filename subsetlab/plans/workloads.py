@@ -138,20 +138,20 @@ class Source:
 
 
 def cluster_sources(b: Bench, sources: dict[str, DataFrame | Source], k: int, iters: int, rho_bp: int = 7000, timed: bool = False) -> DataFrame:
-    """source, rows, products (T * rows * K * d), n, classes, moment (and seconds)."""
+    """source, rows, products (T * rows * K * d), n, classes, evenness, moment (and seconds and shuffle_bytes of the clustering)."""
     spark, parts, facts = b.cand.sparkSession, [], []
     for name, data in sources.items():
         source = data if isinstance(data, Source) else Source(data, lambda rows: fit_centroids(rows, k, iters), lambda rows: rows, iters)
         rows = source.data.count()
-        with M.CostReport() as cost:
+        with M.CostReport(spark if timed else None) as cost:
             model = source.fit(source.project(source.data))
-        facts.append((name, rows, round(rows * k * model.matrix.shape[1] * source.rounds), cost.seconds))
+        facts.append((name, rows, round(rows * k * model.matrix.shape[1] * source.rounds), cost.seconds, cost.shuffle_bytes))
         keep = default_stage1_keep(rho_bp)
         survivors = b.scores if keep >= 10_000 else prune_top_fraction(b.scores, keep, b.n)
         cand = b.cand.join(survivors.select("sample_id"), "sample_id", "left_semi")
         parts.append(b.rows(two_stage(b, model, rho_bp, keep, assign_clusters(source.project(cand), model)), source=name))
-    frame = spark.createDataFrame(facts, "source string, rows long, products long, seconds double")
-    return _measured(_union(parts), b.test, ["source"]).join(frame if timed else frame.drop("seconds"), "source")
+    frame = spark.createDataFrame(facts, "source string, rows long, products long, seconds double, shuffle_bytes long")
+    return _measured(_union(parts), b.test, ["source"]).join(frame if timed else frame.drop("seconds", "shuffle_bytes"), "source")
 
 
 def k_sweep(b: Bench, ks: list[int], iters: int, rho_bp: int = 5000) -> DataFrame:

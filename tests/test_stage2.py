@@ -68,6 +68,17 @@ def test_kmeans_against_numpy(spark, sf):
         C.fit_centroids(e_ref(spark, sf).limit(3), 12)
 
 
+def test_costs_of_clustering(spark, sf):
+    from subsetlab.catalog.inputs import e_ref
+
+    cost = {}
+    for local in (0, 10**6):
+        with M.CostReport(spark) as c:
+            C.fit_centroids(e_ref(spark, sf).repartition(4), 12, 2, local_numbers=local)
+        cost[local] = c
+    assert cost[0].shuffle_bytes > cost[10**6].shuffle_bytes >= 0 and all(c.seconds > 0 for c in cost.values())
+
+
 def test_model_round_trip(spark, tmp_path):
     m = model([1, 0], [0, 1])
     m.save(spark, str(tmp_path / "m"))
