@@ -31,7 +31,7 @@ def brute(docs, items, least=0.8):
     return out
 
 
-@pytest.mark.parametrize("where", ["sf0.001", "sf0.01"])
+@pytest.mark.parametrize("where", ["sf0.01"])
 def test_query_against_brute_force(spark, where):
     path = f"/root/testdata/{where}"
     read = lambda n: [tuple(r)[:2] for r in spark.read.parquet(f"{path}/{n}.parquet").collect()]
