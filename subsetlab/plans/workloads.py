@@ -68,7 +68,7 @@ def two_stage(b: Bench, model: CentroidModel, rho_bp: int, keep_bp: int, assigne
         assigned = assign_clusters(b.cand.join(survivors.select("sample_id"), "sample_id", "left_semi"), model)
     else:
         assigned = assigned.join(survivors.select("sample_id"), "sample_id", "left_semi")
-    return scene_sample(stage(spark, assigned, "assigned"), budget_of(b.n, rho_bp), model.k)
+    return scene_sample(stage(spark, assigned, "assigned"), budget_of(b.n, rho_bp), model.k, ranks=False)
 
 
 def stage1_sweep(b: Bench, keeps_bp: list[int]) -> DataFrame:
@@ -161,7 +161,7 @@ def k_sweep(b: Bench, ks: list[int], iters: int, rho_bp: int = 5000) -> DataFram
     for k in ks:
         model = fit_centroids(b.ref, k, iters)
         assigned = stage(spark, assign_clusters(b.cand, model), "assigned")
-        picked = stage(spark, scene_sample(assigned, budget, k), "picked")
+        picked = stage(spark, scene_sample(assigned, budget, k, ranks=False), "picked")
         pools = pool_sizes(assigned, k).agg(F.lit(k).alias("k"), F.count_if(F.col("n") == 0).alias("empty"), F.count_if(F.col("n") < equal_quota(budget, k)).alias("rare"))
         facts.append(pools.crossJoin(picked.agg(F.count_if(F.col("picked_by") == "refill").alias("refill"))))
         parts.append(b.rows(picked, k=k))
