@@ -3,7 +3,8 @@
 A reference (curated rows, or the picks of a selection) goes round in blocks of bounded size, one broadcast at a time.
 All pairs of one set over a similarity meet in cells around pivots: a row belongs to the cell of its nearest pivot and
 visits the cells that are at most twice the angle further away, so by the triangle inequality every similar pair meets in the
-home cell of its smaller id. Large cells are dealt out as pairs of blocks.
+home cell of its smaller id. Large cells are dealt out as pairs of blocks. Where the angle is so wide that cells would copy
+rows many times, which is counted first, the rows themselves go round in blocks instead and nothing is copied.
 """
 
 from __future__ import annotations
@@ -22,6 +23,9 @@ from .select import DEFAULT, SelectionPlanner, top_q_per_group
 
 REF_BLOCK = 4096  # reference rows that are broadcast and compared with at a time, about
 PIVOTS, CELL_BLOCK = 64, 2048
+COPIES = 8  # copies of a row, on average, that cells may exchange
+BLOCK_BYTES = 64 << 20  # of a block of the set's own rows
+TILE_ROWS, TILE_REFS = 1024, 2048  # rows that are multiplied at a time
 
 
 def _unit(vectors: DataFrame) -> DataFrame:
@@ -33,8 +37,11 @@ def by_blocks(pool: DataFrame, ref: DataFrame, rows: int, compare: Callable, sch
 
     A block's broadcast is released before the next one is read; the reference itself stays in a table.
     """
+    return _by_blocks(pool, stage(pool.sparkSession, _unit(ref), "reference"), rows, lambda *of: [compare(*of)], schema, merge)
+
+
+def _by_blocks(pool: DataFrame, unit: DataFrame, rows: int, compare: Callable, schema: str, merge: Callable[[DataFrame], DataFrame]) -> DataFrame:
     spark = pool.sparkSession
-    unit = stage(spark, _unit(ref), "reference")
     n = -(-unit.count() // rows)
 
     def against(part: DataFrame):
@@ -48,7 +55,7 @@ def by_blocks(pool: DataFrame, ref: DataFrame, rows: int, compare: Callable, sch
             for batch in batches:
                 x, valid = V.matrix(batch.column(1), z.shape[1])
                 u, ok = V.unit_rows(x)
-                yield compare(ids, z, np.asarray(batch.column(0))[valid[ok]], u[ok])
+                yield from compare(ids, z, np.asarray(batch.column(0))[valid[ok]], u[ok])
 
         return merge(pool.select("sample_id", "vec").mapInArrow(run, schema)), shared
 
@@ -89,21 +96,79 @@ def similar_pairs(vectors: DataFrame, least: float, pivots: int = PIVOTS, block:
 
     Exact. The cost grows with the rows that cells share: little for near-copies, all pairs where least is low.
     """
-    spark = vectors.sparkSession
-    unit = stage(spark, _unit(vectors), "unit")
+    unit = stage(vectors.sparkSession, _unit(vectors), "unit")
+    pairs = _in_cells(unit, least, pivots, block)
+    return _in_blocks(unit, least) if pairs is None else pairs
+
+
+def _in_blocks(unit: DataFrame, least: float, kind: str = "pairs") -> DataFrame:
+    """All rows against blocks of the rows: pairs (a, b, sim), or (sample_id) of the rows that have any, or an earlier, similar row."""
+    first = unit.limit(1).toArrow()
+    if not first.num_rows:
+        return unit.sparkSession.createDataFrame([], "a long, b long, sim double" if kind == "pairs" else "sample_id long")
+    rows = max(TILE_REFS, BLOCK_BYTES // (8 * len(first["z"][0])))
+    tasks = max(2 * unit.sparkSession.sparkContext.defaultParallelism, -(-unit.count() // (2 * TILE_ROWS)))
+    pool = unit.withColumnRenamed("z", "vec").repartition(tasks, "sample_id")
+    compare = lambda ids, z, mine, u: tiles(ids, z, mine, u, least, kind)
+    if kind == "pairs":
+        return _by_blocks(pool, unit, rows, compare, "a long, b long, sim double", lambda df: df)
+    return _by_blocks(pool, unit, rows, compare, "sample_id long", lambda df: df.distinct())
+
+
+def tiles(ids: np.ndarray, z: np.ndarray, mine: np.ndarray, u: np.ndarray, least: float, kind: str) -> Iterator[pa.RecordBatch]:
+    """What _in_blocks finds of the rows mine with unit vectors u in a block of ids, ascending, with unit vectors z; tile by tile."""
+    order = np.argsort(mine, kind="stable")
+    mine, u = mine[order], u[order]
+    for i in range(0, len(mine), TILE_ROWS):
+        own, x = mine[i : i + TILE_ROWS], u[i : i + TILE_ROWS]
+        end = len(ids) if kind == "any" else int(np.searchsorted(ids, own[-1]))
+        for j in range(0, end, TILE_REFS):
+            ref = ids[j : min(end, j + TILE_REFS)]
+            sim = x @ z[j : j + len(ref)].T
+            at, to = np.divmod(np.flatnonzero(sim >= least - 1e-8), len(ref))
+            sim = sim[at, to]
+            hit = (np.round(sim, 9) >= least) & (ref[to] != own[at] if kind == "any" else ref[to] < own[at])
+            at, to = at[hit], to[hit]
+            if kind == "pairs":
+                if len(at):
+                    yield pa.RecordBatch.from_arrays([pa.array(ref[to]), pa.array(own[at]), pa.array(sim[hit])], ["a", "b", "sim"])
+                continue
+            found = np.zeros(len(own), bool)
+            found[at] = True
+            yield pa.RecordBatch.from_arrays([pa.array(own[found])], ["sample_id"])
+            own, x = own[~found], x[~found]
+            if not len(own):
+                break
+
+
+def _in_cells(unit: DataFrame, least: float, pivots: int, block: int) -> DataFrame | None:
+    """The pairs (a, b, sim) by cells; None where those would exchange more than COPIES copies of a row."""
+    spark = unit.sparkSession
     first = unit.orderBy(F.xxhash64("sample_id"), "sample_id").limit(pivots).toArrow()
     if not first.num_rows:
         return spark.createDataFrame([], "a long, b long, sim double")
     centres = spark.sparkContext.broadcast(V.matrix(first["z"])[0])
     reach = 2 * math.acos(min(1.0, max(-1.0, least - 1e-9))) + 1e-6
 
+    def near(z: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        angle = np.arccos(np.clip(z @ centres.value.T, -1, 1))
+        return angle.argmin(axis=1), angle <= angle.min(axis=1)[:, None] + reach
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n = np.zeros(len(centres.value), np.int64)
+        for batch in batches:
+            n += near(V.matrix(batch.column(0), centres.value.shape[1])[0])[1].sum(axis=0)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(n))), pa.array(n)], ["cell", "n"])
+
+    counts = [r["n"] for r in unit.select("z").mapInArrow(count, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).collect()]  # a row for each pivot
+    if sum(n * -(-n // block) for n in counts) > COPIES * unit.count():
+        centres.destroy()
+        return None
+
     def to_cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = centres.value
         for batch in batches:
-            z, _ = V.matrix(batch.column(1), c.shape[1])
-            angle = np.arccos(np.clip(z @ c.T, -1, 1))
-            home = angle.argmin(axis=1)
-            row, cell = np.nonzero(angle <= angle.min(axis=1)[:, None] + reach)
+            home, reached = near(V.matrix(batch.column(1), centres.value.shape[1])[0])
+            row, cell = np.nonzero(reached)
             yield pa.RecordBatch.from_arrays([pa.array(cell), pa.array(home[row] == cell), batch.column(0).take(pa.array(row)), batch.column(1).take(pa.array(row))], ["cell", "home", "id", "z"])
 
     cells = stage(spark, unit.mapInArrow(to_cells, "cell long, home boolean, id long, z array<double>"), "cells")

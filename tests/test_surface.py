@@ -217,3 +217,26 @@ def test_bank_needs_a_choice(spark):
     with pytest.raises(ValueError, match="no bank"):
         reference_bank({})
     assert CentroidModel.__doc__
+
+
+def test_wide_angles_copy_no_rows(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    rows = rng.normal(size=(900, 4))
+    df = vectors(spark, rows)
+    z = rows / np.linalg.norm(rows, axis=1, keepdims=True)
+    sim = np.round(z @ z.T, 9)
+    written, keep = [], PR.stage
+
+    def counted(session, part, name):
+        out = keep(session, part, name)
+        written.append(out.count())
+        return out
+
+    monkeypatch.setattr(PR, "stage", counted)
+    monkeypatch.setattr(PR, "BLOCK_BYTES", 1)
+    monkeypatch.setattr(PR, "TILE_REFS", 400)  # blocks of 400 rows
+    monkeypatch.setattr(PR, "TILE_ROWS", 70)
+    want = np.triu(sim >= 0.96, 1)
+    found = [(r.a, r.b) for r in PR.similar_pairs(df, 0.96, 16, 10).collect()]
+    assert len(found) == len(set(found)) == want.sum() and all(want[p] for p in found)
+    assert sum(written) <= 900 + len(found)
