@@ -101,6 +101,18 @@ def similar_pairs(vectors: DataFrame, least: float, pivots: int = PIVOTS, block:
     return _in_blocks(unit, least) if pairs is None else pairs
 
 
+def similar_rows(vectors: DataFrame, least: float, later: bool = False, pivots: int = PIVOTS, block: int = CELL_BLOCK) -> DataFrame:
+    """(sample_id): rows that some other row, with later one of smaller id, resembles to least or more. Exact, as similar_pairs is.
+
+    In blocks a row is not compared any further once another one is found, and no pair leaves its task.
+    """
+    unit = stage(vectors.sparkSession, _unit(vectors), "unit")
+    pairs = _in_cells(unit, least, pivots, block)
+    if pairs is None:
+        return _in_blocks(unit, least, "later" if later else "any")
+    return pairs.select(F.col("b").alias("sample_id") if later else F.explode(F.array("a", "b")).alias("sample_id")).distinct()
+
+
 def _in_blocks(unit: DataFrame, least: float, kind: str = "pairs") -> DataFrame:
     """All rows against blocks of the rows: pairs (a, b, sim), or (sample_id) of the rows that have any, or an earlier, similar row."""
     first = unit.limit(1).toArrow()
@@ -208,5 +220,5 @@ def _in_cells(unit: DataFrame, least: float, pivots: int, block: int) -> DataFra
 
 def drop_near_copies(vectors: DataFrame, least: float) -> DataFrame:
     """vectors without the rows that a row of smaller id resembles to least or more: the copy removal before retrieval."""
-    copies = stage(vectors.sparkSession, similar_pairs(vectors, least).select(F.col("b").alias("sample_id")).distinct(), "copies")
+    copies = stage(vectors.sparkSession, similar_rows(vectors, least, later=True), "copies")
     return vectors.join(copies, "sample_id", "left_anti")
