@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from ..functions import vectors as V
 from ..sources.tables import stage
-from .pairs import best_similarity, nearest_rows, similar_pairs
+from .pairs import best_similarity, nearest_rows, similar_rows
 from .sampling import hash_order
 from .select import DEFAULT, SelectionPlanner, group_median, rank_in_group
 
@@ -127,8 +127,7 @@ def representativeness(selected: DataFrame, pool: DataFrame, picks: DataFrame) -
 
 def redundancy(vectors: DataFrame, least: float) -> DataFrame:
     """(n, with_neighbour, share): rows that have another row at similarity least or more."""
-    pairs = similar_pairs(vectors, least)
-    near = pairs.select(F.explode(F.array("a", "b")).alias("sample_id")).distinct().withColumn("near", F.lit(1))
+    near = similar_rows(vectors, least).withColumn("near", F.lit(1))
     both = vectors.select("sample_id").join(near, "sample_id", "left")
     return both.agg(F.count(F.lit(1)).alias("n"), F.count("near").alias("with_neighbour"), (F.count("near") / F.count(F.lit(1))).alias("share"))
 

@@ -240,5 +240,6 @@ def test_wide_angles_copy_no_rows(spark, monkeypatch):
     found = [(r.a, r.b) for r in PR.similar_pairs(df, 0.96, 16, 10).collect()]
     assert len(found) == len(set(found)) == want.sum() and all(want[p] for p in found)
     assert sum(written) <= 900 + len(found)
+    assert {r.sample_id for r in PR.similar_rows(df, 0.96, False, 16, 10).collect()} == set(np.flatnonzero((want | want.T).any(axis=0)).tolist())
     assert {r.sample_id for r in PR.similar_rows(df, 0.96, True, 16, 10).collect()} == set(np.flatnonzero(want.any(axis=0)).tolist())
     assert PR.similar_rows(df.limit(0), 0.96).count() == 0
