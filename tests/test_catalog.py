@@ -93,3 +93,17 @@ def test_plans(spark, sf):
     assert "Exchange" not in h and "ReadSchema: struct<doc_id:bigint,text:string>" in h
     a = plan(assign_clusters(e_pool(spark, sf), CentroidModel(np.eye(64)[:3])))
     assert "Exchange" not in a and "PushedFilters" in a
+
+
+@pytest.mark.parametrize("name, column", [("s1_gray_luma", "gray")])
+def test_rounded_vectors_keep_the_sign_of_zero(spark, tmp_path, name, column):
+    row = [0.6, -0.8, -1e-7, 1e-7, -0.0, 0.0, -4.9e-7, -5.1e-7] + [0.0] * 56
+    rows = spark.createDataFrame([(0, row, 1), (1, row[::-1], 2)], "vec_id long, embedding array<float>, label int")
+    rows.write.parquet(f"{tmp_path}/embeddings.parquet")
+    got = {r["sample_id"]: list(map(repr, r[column])) for r in entry.queries()[name](spark, str(tmp_path)).collect()}
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW embeddings AS SELECT * FROM '{tmp_path}/embeddings.parquet/*.parquet'")
+    cursor = con.execute(entry.oracle_sql()[name])
+    names = [c[0] for c in cursor.description]
+    want = {r[names.index("sample_id")]: list(map(repr, r[names.index(column)])) for r in cursor.fetchall()}
+    assert "-0.0" in want[0] and got == want
