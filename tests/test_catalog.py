@@ -95,7 +95,7 @@ def test_plans(spark, sf):
     assert "Exchange" not in a and "PushedFilters" in a
 
 
-@pytest.mark.parametrize("name, column", [("s1_gray_luma", "gray")])
+@pytest.mark.parametrize("name, column", [("s1_gray_luma", "gray"), ("s2_normalize", "vec")])
 def test_rounded_vectors_keep_the_sign_of_zero(spark, tmp_path, name, column):
     row = [0.6, -0.8, -1e-7, 1e-7, -0.0, 0.0, -4.9e-7, -5.1e-7] + [0.0] * 56
     rows = spark.createDataFrame([(0, row, 1), (1, row[::-1], 2)], "vec_id long, embedding array<float>, label int")
