@@ -13,7 +13,7 @@ from ..sources.tables import stage
 from .assign import assign_clusters
 from .centroids import CentroidModel, class_centroids, fit_centroids, fit_minibatch
 from .features import random_projection
-from .pairs import best_similarity, drop_near_copies, nearest_rows, similar_pairs
+from .pairs import drop_near_copies, retrieved, similar_pairs
 from .sampling import allocate, hash_order, scene_sample, take_allocated, take_quota
 from .select import DEFAULT, SelectionPlanner, flag_top_q, group_median, top_n, top_q_per_group
 
@@ -27,23 +27,28 @@ def random_rows(samples: DataFrame, budget: int, seed: int = 42) -> DataFrame:
     return top_n(keyed, budget, "_k", "sample_id").select("sample_id")
 
 
-def moderate_distance(vectors: DataFrame, group: str, budget: int, planner: SelectionPlanner = DEFAULT) -> DataFrame:
+def moderate_distance(vectors: DataFrame, group: str, budget: int, planner: SelectionPlanner = DEFAULT, gaps: tuple[DataFrame, DataFrame] | None = None) -> DataFrame:
     """(sample_id, gap): rows whose distance from their group's centre is nearest to the group's median distance.
 
     Groups get a share of the budget in proportion (floored); what is left goes to the smallest gaps anywhere. Ours in
-    detail: distance is one minus cosine.
+    detail: distance is one minus cosine. gaps may hold what moderate_gaps gives for these vectors.
     """
+    gaps, middle = gaps or moderate_gaps(vectors, group, planner)
+    total = gaps.count()
+    quotas = middle.select(group, F.floor(F.lit(budget) * F.col("n") / F.lit(max(total, 1))).alias("quota"))
+    scored = flag_top_q(gaps, group, quotas, "_near", "sample_id", planner).withColumn("_k", F.when(F.col("picked"), 10.0).otherwise(0.0) + F.col("_near"))
+    return top_n(scored, budget, "_k", "sample_id", planner).select("sample_id", (-F.col("_near")).alias("gap"))
+
+
+def moderate_gaps(vectors: DataFrame, group: str, planner: SelectionPlanner = DEFAULT) -> tuple[DataFrame, DataFrame]:
+    """Tables (sample_id, group, _near), the negative gaps, and (group, median, n): the part of moderate_distance without a budget."""
     centres = class_centroids(vectors.select("sample_id", "vec", group), group)
     z = V.l2_normalize(F.col("vec"))
     far = vectors.join(F.broadcast(centres), group).select("sample_id", group, F.round(1 - V.dot(z, F.col("centroid")), 9).alias("dist"))
     far = stage(vectors.sparkSession, far.filter("dist IS NOT NULL"), "distances")
     middle = stage(vectors.sparkSession, group_median(far, group, "dist", "sample_id", planner), "medians")
-    total = far.count()
     near = -F.round(F.abs(F.col("dist") - F.col("median")), 9)
-    gaps = stage(vectors.sparkSession, far.join(planner.small(middle), group).select("sample_id", group, near.alias("_near")), "gaps")
-    quotas = middle.select(group, F.floor(F.lit(budget) * F.col("n") / F.lit(max(total, 1))).alias("quota"))
-    scored = flag_top_q(gaps, group, quotas, "_near", "sample_id", planner).withColumn("_k", F.when(F.col("picked"), 10.0).otherwise(0.0) + F.col("_near"))
-    return top_n(scored, budget, "_k", "sample_id", planner).select("sample_id", (-F.col("_near")).alias("gap"))
+    return stage(vectors.sparkSession, far.join(planner.small(middle), group).select("sample_id", group, near.alias("_near")), "gaps"), middle
 
 
 def cluster_nearest(pool: DataFrame, k: int, budget: int, iters: int = 5) -> DataFrame:
@@ -59,9 +64,13 @@ def retrieval_nearest(pool: DataFrame, ref: DataFrame, budget: int, m: int = 4,
     """
     if copies is not None:
         pool = drop_near_copies(pool, copies)
-    hits = nearest_rows(pool, ref, m).select("sample_id").distinct().withColumn("hit", F.lit(10.0))
-    scored = best_similarity(pool, ref).join(hits, "sample_id", "left").withColumn("_k", F.round("best", 9) + F.coalesce("hit", F.lit(0.0)))
-    return top_n(scored, budget, "_k", "sample_id").select("sample_id", "best")
+    return best_retrieved(retrieved(pool, ref, m), budget)
+
+
+def best_retrieved(scored: DataFrame, budget: int) -> DataFrame:
+    """(sample_id, best) of a table from pairs.retrieved, for any budget: hits first, then the best similarity."""
+    keyed = scored.withColumn("_k", F.round("best", 9) + F.when(F.col("hit"), 10.0).otherwise(0.0))
+    return top_n(keyed, budget, "_k", "sample_id").select("sample_id", "best")
 
 
 def retrieval_clusters(pool: DataFrame, ref: DataFrame, model: CentroidModel, budget: int) -> DataFrame:

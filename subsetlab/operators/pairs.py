@@ -37,10 +37,14 @@ def by_blocks(pool: DataFrame, ref: DataFrame, rows: int, compare: Callable, sch
 
     A block's broadcast is released before the next one is read; the reference itself stays in a table.
     """
-    return _by_blocks(pool, stage(pool.sparkSession, _unit(ref), "reference"), rows, lambda *of: [compare(*of)], schema, merge)
+    return _by_blocks(pool, stage(pool.sparkSession, _unit(ref), "reference"), rows, lambda ids, z, batches: (compare(ids, z, *own) for own in batches), schema, merge)
 
 
-def _by_blocks(pool: DataFrame, unit: DataFrame, rows: int, compare: Callable, schema: str, merge: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def _by_blocks(pool: DataFrame, unit: DataFrame, rows: int, compare: Callable, schema: str, merge: Callable[[DataFrame], DataFrame], keep: bool = False) -> DataFrame:
+    """As by_blocks, with unit (sample_id, z) as a table; compare(ids, z, iterator of own ids and own z) sees a whole task and gives record batches.
+
+    keep: a single block's result becomes a table too.
+    """
     spark = pool.sparkSession
     n = -(-unit.count() // rows)
 
@@ -52,16 +56,13 @@ def _by_blocks(pool: DataFrame, unit: DataFrame, rows: int, compare: Callable, s
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             ids, z = shared.value
-            for batch in batches:
-                x, valid = V.matrix(batch.column(1), z.shape[1])
-                u, ok = V.unit_rows(x)
-                yield from compare(ids, z, np.asarray(batch.column(0))[valid[ok]], u[ok])
+            yield from compare(ids, z, (own_rows(batch, z.shape[1]) for batch in batches))
 
         return merge(pool.select("sample_id", "vec").mapInArrow(run, schema)), shared
 
-    if n <= 1:
+    if n <= 1 and not keep:
         return against(unit)[0]
-    out = None
+    out, n = None, max(n, 1)
     for block in range(n):
         found, shared = against(unit.filter(F.pmod(F.xxhash64("sample_id"), F.lit(n)) == block))
         found = stage(spark, found, "block")
@@ -71,15 +72,73 @@ def _by_blocks(pool: DataFrame, unit: DataFrame, rows: int, compare: Callable, s
     return merge(out)
 
 
+def own_rows(batch: pa.RecordBatch, d: int) -> tuple[np.ndarray, np.ndarray]:
+    """Ids and unit vectors of a batch (sample_id, vec), without rows that have none."""
+    x, valid = V.matrix(batch.column(1), d)
+    u, ok = V.unit_rows(x)
+    return np.asarray(batch.column(0))[valid[ok]], u[ok]
+
+
 def nearest_rows(pool: DataFrame, ref: DataFrame, m: int, block: int = REF_BLOCK, planner: SelectionPlanner = DEFAULT) -> DataFrame:
     """(ref_id, sample_id, sim): the m pool rows nearest to each reference row, similarities rounded to 9 digits."""
 
-    def compare(ids, z, mine, u):
-        sim = np.round(z @ u.T, 9)
-        top = np.lexsort((np.broadcast_to(mine, sim.shape), -sim), axis=1)[:, :m]
-        return pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, top.shape[1])), pa.array(mine[top].ravel()), pa.array(np.take_along_axis(sim, top, 1).ravel())], ["ref_id", "sample_id", "sim"])
+    unit = stage(pool.sparkSession, _unit(ref), "reference")
+    return _by_blocks(pool, unit, block, lambda ids, z, batches: running_top(ids, z, batches, m), FOUND, lambda df: top_q_per_group(df, "ref_id", m, "sim", "sample_id", planner))
+
+
+FOUND = "ref_id long, sample_id long, sim double"
 
-    return by_blocks(pool, ref, block, compare, "ref_id long, sample_id long, sim double", lambda df: top_q_per_group(df, "ref_id", m, "sim", "sample_id", planner))
+
+def running_top(ids: np.ndarray, z: np.ndarray, batches: Iterator[tuple[np.ndarray, np.ndarray]], m: int, best: bool = False) -> Iterator[pa.RecordBatch]:
+    """(ref_id, sample_id, sim): the m rows of a task nearest to each reference row; with best also each row's largest similarity, under no ref_id.
+
+    Similarities with references are rounded to 9 digits, smaller ids go first. Once m rows are held, only what reaches the
+    least of them is sorted.
+    """
+    top, who = np.full((len(ids), m), -np.inf), np.full((len(ids), m), np.iinfo(np.int64).max)
+    for mine, u in batches:
+        most = np.full(len(mine), -np.inf)
+        for i in range(0, len(mine), TILE_ROWS):
+            own, x = mine[i : i + TILE_ROWS], u[i : i + TILE_ROWS]
+            for j in range(0, len(ids), TILE_REFS):
+                sim = x @ z[j : j + TILE_REFS].T
+                if best:
+                    np.maximum(most[i : i + len(x)], sim.max(axis=1), out=most[i : i + len(x)])
+                floor = top[j : j + TILE_REFS, -1]
+                if len(x) > m and np.isinf(floor).any():
+                    floor = np.maximum(floor, np.partition(sim, len(x) - m, axis=0)[len(x) - m])
+                at, ref = np.divmod(np.flatnonzero(sim >= floor - 1e-9), sim.shape[1])
+                value, found, ref = np.round(sim[at, ref], 9), own[at], ref + j
+                use = (value > top[ref, -1]) | ((value == top[ref, -1]) & (found < who[ref, -1]))
+                if not use.any():
+                    continue
+                value, found, ref = value[use], found[use], ref[use]
+                some = np.unique(ref)
+                value, found, ref = np.concatenate([value, top[some].ravel()]), np.concatenate([found, who[some].ravel()]), np.concatenate([ref, np.repeat(some, m)])
+                order = np.lexsort((found, -value, ref))
+                begin = np.searchsorted(ref[order], some)
+                order = order[begin[:, None] + np.arange(m)]
+                top[some], who[some] = value[order], found[order]
+        if best:
+            yield pa.RecordBatch.from_arrays([pa.nulls(len(mine), pa.int64()), pa.array(mine), pa.array(most)], ["ref_id", "sample_id", "sim"])
+    for j in range(0, len(ids), TILE_REFS):
+        row, at = np.nonzero(np.isfinite(top[j : j + TILE_REFS]))
+        yield pa.RecordBatch.from_arrays([pa.array(ids[row + j]), pa.array(who[row + j, at]), pa.array(top[row + j, at])], ["ref_id", "sample_id", "sim"])
+
+
+def retrieved(pool: DataFrame, ref: DataFrame, m: int, block: int | None = None, planner: SelectionPlanner = DEFAULT) -> DataFrame:
+    """(sample_id, best, hit): largest cosine with any reference row, and whether some reference row has the row among its m nearest.
+
+    Both come from one multiplication of all rows with all references.
+    """
+    spark = pool.sparkSession
+    unit = stage(spark, _unit(ref), "reference")
+    first = unit.limit(1).toArrow()
+    rows = block or (max(TILE_REFS, BLOCK_BYTES // (8 * len(first["z"][0]))) if first.num_rows else 1)
+    found = _by_blocks(pool, unit, rows, lambda ids, z, batches: running_top(ids, z, batches, m, True), FOUND, lambda df: df, keep=True)
+    hits = top_q_per_group(found.filter("ref_id IS NOT NULL"), "ref_id", m, "sim", "sample_id", planner).select("sample_id").distinct()
+    best = found.filter("ref_id IS NULL").groupBy("sample_id").agg(F.max("sim").alias("best"))
+    return best.join(hits.withColumn("hit", F.lit(True)), "sample_id", "left").withColumn("hit", F.coalesce("hit", F.lit(False)))
 
 
 def best_similarity(pool: DataFrame, ref: DataFrame, block: int = REF_BLOCK) -> DataFrame:
@@ -121,7 +180,7 @@ def _in_blocks(unit: DataFrame, least: float, kind: str = "pairs") -> DataFrame:
     rows = max(TILE_REFS, BLOCK_BYTES // (8 * len(first["z"][0])))
     tasks = max(2 * unit.sparkSession.sparkContext.defaultParallelism, -(-unit.count() // (2 * TILE_ROWS)))
     pool = unit.withColumnRenamed("z", "vec").repartition(tasks, "sample_id")
-    compare = lambda ids, z, mine, u: tiles(ids, z, mine, u, least, kind)
+    compare = lambda ids, z, batches: (found for own in batches for found in tiles(ids, z, *own, least, kind))
     if kind == "pairs":
         return _by_blocks(pool, unit, rows, compare, "a long, b long, sim double", lambda df: df)
     return _by_blocks(pool, unit, rows, compare, "sample_id long", lambda df: df.distinct())

@@ -18,6 +18,7 @@ from ..operators import measures as M
 from ..operators.assign import assign_clusters, pool_sizes
 from ..operators.centroids import CentroidModel, fit_centroids
 from ..operators.entropy import prune_top_fraction, sample_entropy
+from ..operators.pairs import retrieved
 from ..operators.sampling import equal_quota, scene_sample
 from ..schemas import BYTES
 from ..sources.tables import stage
@@ -81,20 +82,28 @@ def stage1_sweep(b: Bench, keeps_bp: list[int]) -> DataFrame:
 METHODS = ("random", "moderate", "cluster_nearest", "retrieval", "anchor", "entropy", "two_stage")
 
 
-def select_by(b: Bench, method: str, budget: int, rho_bp: int, k: int, iters: int, model: CentroidModel) -> DataFrame:
+def select_by(b: Bench, method: str, budget: int, rho_bp: int, k: int, iters: int, model: CentroidModel, shared: dict | None = None) -> DataFrame:
+    """shared, one for all budgets of a bench and model, keeps the tables that do not depend on the budget."""
+    shared, spark = {} if shared is None else shared, b.cand.sparkSession
+
+    def once(make: Callable):
+        if method not in shared:
+            shared[method] = make()
+        return shared[method]
+
     if method == "random":
         return B.random_rows(b.cand, budget)
     if method == "moderate":
-        return B.moderate_distance(b.cand, "label", budget)
+        return B.moderate_distance(b.cand, "label", budget, gaps=once(lambda: B.moderate_gaps(b.cand, "label")))
     if method == "cluster_nearest":
-        return B.cluster_nearest(b.cand, k, budget, iters)
+        return scene_sample(once(lambda: stage(spark, assign_clusters(b.cand, fit_centroids(b.cand, k, iters)), "assigned")), budget, k, ranks=False)
     if method == "retrieval":
-        return B.retrieval_nearest(b.cand, b.ref, budget)
+        return B.best_retrieved(once(lambda: stage(spark, retrieved(b.cand, b.ref, 4), "retrieved")), budget)
     if method == "anchor":
         return B.anchor_stratified(b.cand, [F.col("label")], budget)
     if method == "entropy":
         return prune_top_fraction(b.scores, 10_000 - rho_bp, b.n)
-    return two_stage(b, model, rho_bp, default_stage1_keep(rho_bp))
+    return two_stage(b, model, rho_bp, default_stage1_keep(rho_bp), once(lambda: stage(spark, assign_clusters(b.cand, model), "assigned")))
 
 
 def compare_methods(b: Bench, rho_bp: int, k: int, iters: int, methods: tuple[str, ...] = METHODS) -> DataFrame:
@@ -107,7 +116,8 @@ def compare_methods(b: Bench, rho_bp: int, k: int, iters: int, methods: tuple[st
 def convergence_curves(b: Bench, rhos_bp: list[int], k: int, iters: int, batch: int, methods: tuple[str, ...]) -> DataFrame:
     """method ('rho:method'), step, n, moment"""
     model = fit_centroids(b.ref, k, iters)
-    parts = [b.rows(select_by(b, m, budget_of(b.n, r), r, k, iters, model), method=f"{r}:{m}") for r in rhos_bp for m in methods]
+    shared: dict = {}
+    parts = [b.rows(select_by(b, m, budget_of(b.n, r), r, k, iters, model, shared), method=f"{r}:{m}") for r in rhos_bp for m in methods]
     return M.convergence(stage(b.cand.sparkSession, _union(parts), "curves"), b.test, batch)
 
 

@@ -243,3 +243,39 @@ def test_wide_angles_copy_no_rows(spark, monkeypatch):
     assert {r.sample_id for r in PR.similar_rows(df, 0.96, False, 16, 10).collect()} == set(np.flatnonzero((want | want.T).any(axis=0)).tolist())
     assert {r.sample_id for r in PR.similar_rows(df, 0.96, True, 16, 10).collect()} == set(np.flatnonzero(want.any(axis=0)).tolist())
     assert PR.similar_rows(df.limit(0), 0.96).count() == 0
+
+
+def test_running_top_equals_sorting_everything(monkeypatch):
+    import pyarrow as pa
+
+    rng = np.random.default_rng(1)
+    u = rng.integers(-2, 3, size=(400, 4)).astype(float)  # many ties
+    u = u[(u != 0).any(axis=1)]
+    u /= np.linalg.norm(u, axis=1, keepdims=True)
+    z, ids, mine = u[rng.choice(len(u), 150)], np.arange(1000, 1150), rng.permutation(len(u))
+    monkeypatch.setattr(PR, "TILE_ROWS", 50)
+    monkeypatch.setattr(PR, "TILE_REFS", 70)
+    sim = np.round(z @ u.T, 9)
+    order = np.lexsort((np.broadcast_to(mine, sim.shape), -sim), axis=1)[:, :4]
+    for size in (3, 64, 1000):
+        parts = ((mine[i : i + size], u[i : i + size]) for i in range(0, len(u), size))
+        t = pa.Table.from_batches(PR.running_top(ids, z, parts, 4, True)).to_pylist()
+        assert {(r["ref_id"], r["sample_id"]) for r in t if r["ref_id"] is not None} == {(int(ids[r]), int(mine[c])) for r in range(len(ids)) for c in order[r]}
+        assert {r["sample_id"]: round(r["sim"], 9) for r in t if r["ref_id"] is None} == dict(zip(mine.tolist(), sim.max(axis=0).tolist(), strict=True))
+
+
+def test_curves_multiply_pool_and_reference_once(spark, sf, monkeypatch):
+    from subsetlab.catalog.workload import bench
+    from subsetlab.plans import workloads as WL
+
+    passes, run = [], PR._by_blocks
+    monkeypatch.setattr(PR, "_by_blocks", lambda *a, **kw: passes.append(1) or run(*a, **kw))
+    b = bench(spark, sf)
+    curves = WL.convergence_curves(b, [5000, 9000], 4, 2, 16, ("retrieval",))
+    assert {r.method for r in curves.collect()} == {"5000:retrieval", "9000:retrieval"} and len(passes) == 1
+    for rho in (5000, 9000):
+        budget = WL.budget_of(b.n, rho)
+        sim = {r.sample_id: r.best for r in PR.best_similarity(b.cand, b.ref).collect()}
+        hits = {r.sample_id for r in PR.nearest_rows(b.cand, b.ref, 4).collect()}
+        first = sorted(sim, key=lambda i: (-round(sim[i], 9) - 10 * (i in hits), i))[:budget]
+        assert {r.sample_id for r in B.retrieval_nearest(b.cand, b.ref, budget).collect()} == set(first)
